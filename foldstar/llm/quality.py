@@ -179,7 +179,10 @@ def judge(df: DataFrame, rules=RULES, text: str = "text", into: str = "_m") -> D
 
 def keep_good(df: DataFrame, rules=RULES, text: str = "text") -> DataFrame:
     """The rows of `df` that pass, with the columns of `df`."""
-    return judge(df, rules, text).where("_m.kept").select(*[F.col(f"`{c}`") for c in df.columns])
+    into = "_m"
+    while into in df.columns:
+        into += "_"
+    return judge(df, rules, text, into).where(F.col(f"{into}.kept")).select(*[F.col(f"`{c}`") for c in df.columns])
 
 
 def op5_quality_rules(spark, sf_dir: str) -> DataFrame:
