@@ -1,6 +1,10 @@
 """Queries and SQL of this subpackage, for the driver's entry module."""
 
-from foldstar.llm import quality
+from foldstar.llm import bpe, quality, token_counts
 
-QUERIES = {"op5_quality_rules": quality.op5_quality_rules}
+QUERIES = {
+    "op1_token_counts": token_counts.op1_token_counts,
+    "op5_quality_rules": quality.op5_quality_rules,
+    "op9_byte_bpe": bpe.op9_byte_bpe,
+}
 ORACLES = {"op5_quality_rules": quality.OP5_SQL}
