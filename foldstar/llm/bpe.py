@@ -21,32 +21,41 @@ from heapq import heappop, heappush
 import pandas as pd
 import regex
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 from foldstar.llm.shared import ship, table
 
 
 class RankQueue:
-    """Buckets of places by rank under a three-level bitmap of 64-bit words."""
+    """Buckets of places by rank under a three-level bitmap of 64-bit words.
+
+    A bucket is one place, or a heap of places where a rank has several at once.
+    """
 
     def __init__(self, n_ranks: int):
-        self.buckets: dict[int, list[int]] = {}
+        self.buckets: dict[int, int | list[int]] = {}
         n0 = (n_ranks >> 6) + 1
         self.leaf = [0] * n0
         self.mid = [0] * ((n0 >> 6) + 1)
         self.top = 0
 
     def push(self, rank: int, place: int) -> None:
-        b = self.buckets.get(rank)
-        if b is not None:
-            heappush(b, place)
+        buckets = self.buckets
+        if rank in buckets:
+            b = buckets[rank]
+            if b.__class__ is list:
+                heappush(b, place)
+            else:
+                buckets[rank] = [b, place] if b < place else [place, b]
             return
-        self.buckets[rank] = [place]
+        buckets[rank] = place
         i = rank >> 6
-        if not self.leaf[i]:
+        word = self.leaf[i]
+        self.leaf[i] = word | 1 << (rank & 63)
+        if not word:
             j = i >> 6
             self.mid[j] |= 1 << (i & 63)
             self.top |= 1 << j
-        self.leaf[i] |= 1 << (rank & 63)
 
     def pop(self) -> tuple[int, int]:
         """The lowest rank and its leftmost place."""
@@ -58,22 +67,27 @@ class RankQueue:
         low = word & -word
         rank = (i << 6) + low.bit_length() - 1
         b = self.buckets[rank]
-        place = heappop(b)
-        if not b:
-            del self.buckets[rank]
-            word ^= low
-            self.leaf[i] = word
-            if not word:
-                self.mid[j] ^= 1 << (i & 63)
-                if not self.mid[j]:
-                    self.top ^= 1 << j
+        if b.__class__ is list:
+            place = heappop(b)
+            if b:
+                return rank, place
+        else:
+            place = b
+        del self.buckets[rank]
+        word ^= low
+        self.leaf[i] = word
+        if not word:
+            left = self.mid[j] ^ (1 << (i & 63))
+            self.mid[j] = left
+            if not left:
+                self.top = top ^ (1 << j)
         return rank, place
 
 
 class ByteBPE:
     """Encoder and decoder for a table of ranks (token bytes to rank)."""
 
-    def __init__(self, ranks: dict[bytes, int], pattern: str, keep: int = 300_000):
+    def __init__(self, ranks: dict[bytes, int], pattern: str, keep: int = 400_000):
         self.ranks, self.keep = ranks, keep
         self.tokens = {v: k for k, v in ranks.items()}
         self.split = regex.compile(pattern).findall
@@ -82,7 +96,6 @@ class ByteBPE:
         self.cut = regex.compile(r"(?<=\S)(?= \S)").split
         self.new: dict[str, tuple[bytes, bytes]] = {}
         self.old: dict[str, tuple[bytes, bytes]] = {}
-        self.new_tokens: dict[str, tuple[bytes, bytes]] = {}
 
     @classmethod
     def from_file(cls, path: str, pattern: str) -> ByteBPE:
@@ -96,17 +109,17 @@ class ByteBPE:
         if whole is not None:
             return [whole]
         n = len(piece)
+        get, q = ranks.get, self.queue
+        push, pop = q.push, q.pop
         # symbol at place p spans piece[p:after[p]]; before[p] is the place to its left
         after, before = list(range(1, n + 2)), list(range(-1, n))
-        pair = [-1] * n  # rank of the pair that starts at a place, as last queued
-        q = self.queue
-        for p in range(n - 1):
-            r = ranks.get(piece[p : p + 2])
-            if r is not None:
-                pair[p] = r
-                q.push(r, p)
+        pair = [get(piece[p : p + 2], -1) for p in range(n)]  # rank of the pair at a place, as last queued
+        pair[n - 1] = -1
+        for p, r in enumerate(pair):
+            if r >= 0:
+                push(r, p)
         while q.top:
-            r, p = q.pop()
+            r, p = pop()
             if pair[p] != r:
                 continue  # stale: the pair here has changed
             mid = after[p]
@@ -115,27 +128,22 @@ class ByteBPE:
             pair[mid] = -1
             if end < n:
                 before[end] = p
-                s = ranks.get(piece[p : after[end]])
-                if s is None:
-                    pair[p] = -1
-                else:
-                    pair[p] = s
-                    q.push(s, p)
+                pair[p] = s = get(piece[p : after[end]], -1)
+                if s >= 0:
+                    push(s, p)
             else:
                 pair[p] = -1
             left = before[p]
             if left >= 0:
-                s = ranks.get(piece[left:end])
-                if s is None:
-                    pair[left] = -1
-                else:
-                    if pair[left] != s:
-                        q.push(s, left)
-                    pair[left] = s
+                s = get(piece[left:end], -1)
+                if s >= 0 and pair[left] != s:
+                    push(s, left)
+                pair[left] = s
         out, p = [], 0
         while p < n:
-            out.append(ranks[piece[p : after[p]]])
-            p = after[p]
+            e = after[p]
+            out.append(ranks[piece[p:e]])
+            p = e
         return out
 
     def encode(self, text: str) -> list[int]:
@@ -149,18 +157,13 @@ class ByteBPE:
 
     def _piece(self, piece: str) -> tuple[bytes, bytes]:
         """Decimal ids and decoded bytes of a piece whose pre-tokens do not depend on what surrounds it."""
-        known, parts = self.new_tokens, []
-        for pre in self.split(piece):
-            got = known.get(pre)
-            if got is None:
-                ids = self.merge(pre.encode())
-                got = (",".join(map(str, ids)).encode(), self.decode(ids))
-                if len(pre) <= 64:
-                    if len(known) >= self.keep:
-                        known.clear()
-                    known[pre] = got
-            parts.append(got)
-        made = parts[0] if len(parts) == 1 else (b",".join([a for a, _ in parts]), b"".join([b for _, b in parts]))
+        pre = self.split(piece)
+        if len(pre) == 1:
+            ids = self.merge(piece.encode())
+            made = (str(ids)[1:-1].replace(" ", "").encode(), self.decode(ids))
+        else:
+            parts = [self.new.get(x) or self.old.get(x) or self._piece(x) for x in pre]
+            made = (b",".join([a for a, _ in parts]), b"".join([b for _, b in parts]))
         if len(piece) <= 64:
             if len(self.new) >= self.keep:
                 self.old, self.new = self.new, {}
@@ -210,14 +213,12 @@ def round_trip(docs: DataFrame, path: str, pattern: str, key: str = "doc_id", te
     """Per row: key, n_tokens, ids_sha256, decoded_sha256. One scan, no shuffle."""
     ship(docs.sparkSession)
 
-    def run(frames):
+    @F.pandas_udf("n_tokens long, ids_sha256 string, decoded_sha256 string")
+    def digests(texts: pd.Series) -> pd.DataFrame:
         bpe = loaded(path, pattern)
-        for f in frames:
-            rows = [bpe.digest(t or "") for t in f[text]]
-            yield pd.DataFrame({key: f[key], "n_tokens": [r[0] for r in rows], "ids_sha256": [r[1] for r in rows], "decoded_sha256": [r[2] for r in rows]})
+        return pd.DataFrame([bpe.digest(t or "") for t in texts], columns=["n_tokens", "ids_sha256", "decoded_sha256"])
 
-    kind = docs.schema[key].dataType.simpleString()
-    return docs.select(key, text).mapInPandas(run, f"`{key}` {kind}, n_tokens long, ids_sha256 string, decoded_sha256 string")
+    return docs.select(F.col(f"`{key}`"), digests(F.col(f"`{text}`")).alias("_d")).select(F.col(f"`{key}`"), "_d.*")
 
 
 def encoded(docs: DataFrame, path: str, pattern: str, key: str = "doc_id", text: str = "text") -> DataFrame:

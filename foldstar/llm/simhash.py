@@ -62,12 +62,11 @@ def fingerprints(docs: DataFrame, key: str = "doc_id", text: str = "text", shing
     """Columns _k (the key) and fp (long)."""
     ship(docs.sparkSession)
 
-    def run(frames):
-        for f in frames:
-            yield pd.DataFrame({"_k": f["_k"], "fp": np.fromiter((fingerprint(t, shingle) for t in f["_t"]), dtype=np.int64, count=len(f))})
+    @F.pandas_udf("long")
+    def prints(texts: pd.Series) -> pd.Series:
+        return pd.Series(np.fromiter((fingerprint(t, shingle) for t in texts), dtype=np.int64, count=len(texts)))
 
-    source = docs.select(F.col(f"`{key}`").alias("_k"), F.col(f"`{text}`").alias("_t"))
-    return source.mapInPandas(run, f"_k {source.schema['_k'].dataType.simpleString()}, fp long")
+    return docs.select(F.col(f"`{key}`").alias("_k"), prints(F.col(f"`{text}`")).alias("fp"))
 
 
 def masks(blocks: int, distance: int) -> list[int]:
