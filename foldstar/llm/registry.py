@@ -1,10 +1,12 @@
 """Queries and SQL of this subpackage, for the driver's entry module."""
 
-from foldstar.llm import bpe, quality, token_counts
+from foldstar.llm import bpe, quality, simhash, substrings, token_counts
 
 QUERIES = {
     "op1_token_counts": token_counts.op1_token_counts,
     "op5_quality_rules": quality.op5_quality_rules,
+    "op6_simhash": simhash.op6_simhash,
+    "op8_substrings": substrings.op8_substrings,
     "op9_byte_bpe": bpe.op9_byte_bpe,
 }
 ORACLES = {"op5_quality_rules": quality.OP5_SQL}
