@@ -26,72 +26,18 @@ from pyspark.sql import functions as F
 from foldstar.llm.shared import ship, table
 
 
-class RankQueue:
-    """Buckets of places by rank under a three-level bitmap of 64-bit words.
-
-    A bucket is one place, or a heap of places where a rank has several at once.
-    """
-
-    def __init__(self, n_ranks: int):
-        self.buckets: dict[int, int | list[int]] = {}
-        n0 = (n_ranks >> 6) + 1
-        self.leaf = [0] * n0
-        self.mid = [0] * ((n0 >> 6) + 1)
-        self.top = 0
-
-    def push(self, rank: int, place: int) -> None:
-        buckets = self.buckets
-        if rank in buckets:
-            b = buckets[rank]
-            if b.__class__ is list:
-                heappush(b, place)
-            else:
-                buckets[rank] = [b, place] if b < place else [place, b]
-            return
-        buckets[rank] = place
-        i = rank >> 6
-        word = self.leaf[i]
-        self.leaf[i] = word | 1 << (rank & 63)
-        if not word:
-            j = i >> 6
-            self.mid[j] |= 1 << (i & 63)
-            self.top |= 1 << j
-
-    def pop(self) -> tuple[int, int]:
-        """The lowest rank and its leftmost place."""
-        top = self.top
-        j = (top & -top).bit_length() - 1
-        word = self.mid[j]
-        i = (j << 6) + (word & -word).bit_length() - 1
-        word = self.leaf[i]
-        low = word & -word
-        rank = (i << 6) + low.bit_length() - 1
-        b = self.buckets[rank]
-        if b.__class__ is list:
-            place = heappop(b)
-            if b:
-                return rank, place
-        else:
-            place = b
-        del self.buckets[rank]
-        word ^= low
-        self.leaf[i] = word
-        if not word:
-            left = self.mid[j] ^ (1 << (i & 63))
-            self.mid[j] = left
-            if not left:
-                self.top = top ^ (1 << j)
-        return rank, place
-
-
 class ByteBPE:
     """Encoder and decoder for a table of ranks (token bytes to rank)."""
 
     def __init__(self, ranks: dict[bytes, int], pattern: str, keep: int = 400_000):
         self.ranks, self.keep = ranks, keep
         self.tokens = {v: k for k, v in ranks.items()}
+        self.decimal = [b"%d" % i for i in range(max(self.tokens) + 1)].__getitem__
         self.split = regex.compile(pattern).findall
-        self.queue = RankQueue(max(ranks.values()) + 1)
+        # the queue: one place or a heap of places by rank, and which ranks have any, in three levels
+        words = (max(ranks.values()) >> 6) + 1
+        self.buckets: dict[int, int | list[int]] = {}
+        self.leaf, self.mid = [0] * words, [0] * ((words >> 6) + 1)
         self.uneven = regex.compile(r"\s\s|^\s|\s$").search
         self.cut = regex.compile(r"(?<=\S)(?= \S)").split
         self.new: dict[str, tuple[bytes, bytes]] = {}
@@ -109,35 +55,70 @@ class ByteBPE:
         if whole is not None:
             return [whole]
         n = len(piece)
-        get, q = ranks.get, self.queue
-        push, pop = q.push, q.pop
+        get, buckets, leaf, mid = ranks.get, self.buckets, self.leaf, self.mid
+        top = 0
         # symbol at place p spans piece[p:after[p]]; before[p] is the place to its left
         after, before = list(range(1, n + 2)), list(range(-1, n))
         pair = [get(piece[p : p + 2], -1) for p in range(n)]  # rank of the pair at a place, as last queued
         pair[n - 1] = -1
-        for p, r in enumerate(pair):
-            if r >= 0:
-                push(r, p)
-        while q.top:
-            r, p = pop()
+        fresh = [(r, p) for p, r in enumerate(pair) if r >= 0]
+        while True:
+            for r, p in fresh:
+                if r in buckets:
+                    b = buckets[r]
+                    if b.__class__ is list:
+                        heappush(b, p)
+                    else:
+                        buckets[r] = [b, p] if b < p else [p, b]
+                    continue
+                buckets[r] = p
+                i = r >> 6
+                word = leaf[i]
+                leaf[i] = word | 1 << (r & 63)
+                if not word:
+                    mid[i >> 6] |= 1 << (i & 63)
+                    top |= 1 << (i >> 6)
+            if not top:
+                break
+            # find first set, level by level: the lowest rank that has a place
+            j = (top & -top).bit_length() - 1
+            word = mid[j]
+            i = (j << 6) + (word & -word).bit_length() - 1
+            word = leaf[i]
+            low = word & -word
+            r = (i << 6) + low.bit_length() - 1
+            p = buckets[r]
+            if p.__class__ is list:
+                b, p = p, heappop(p)
+                if len(b) == 1:
+                    buckets[r] = b[0]
+            else:
+                del buckets[r]
+                word ^= low
+                leaf[i] = word
+                if not word:
+                    mid[j] ^= 1 << (i & 63)
+                    if not mid[j]:
+                        top ^= 1 << j
+            fresh = []
             if pair[p] != r:
                 continue  # stale: the pair here has changed
-            mid = after[p]
-            end = after[mid]
+            m = after[p]
+            end = after[m]
             after[p] = end
-            pair[mid] = -1
+            pair[m] = -1
             if end < n:
                 before[end] = p
                 pair[p] = s = get(piece[p : after[end]], -1)
                 if s >= 0:
-                    push(s, p)
+                    fresh.append((s, p))
             else:
                 pair[p] = -1
             left = before[p]
             if left >= 0:
                 s = get(piece[left:end], -1)
                 if s >= 0 and pair[left] != s:
-                    push(s, left)
+                    fresh.append((s, left))
                 pair[left] = s
         out, p = [], 0
         while p < n:
@@ -160,7 +141,7 @@ class ByteBPE:
         pre = self.split(piece)
         if len(pre) == 1:
             ids = self.merge(piece.encode())
-            made = (str(ids)[1:-1].replace(" ", "").encode(), self.decode(ids))
+            made = (b",".join(map(self.decimal, ids)), self.decode(ids))
         else:
             parts = [self.new.get(x) or self.old.get(x) or self._piece(x) for x in pre]
             made = (b",".join([a for a, _ in parts]), b"".join([b for _, b in parts]))

@@ -88,7 +88,7 @@ def _linked(distance: int):
             f = g["fp"].to_numpy()
             u = f.view(np.uint64)
             forest = Forest(len(u))
-            step = max(1, (1 << 22) // len(u))
+            step = max(1, (1 << 19) // len(u))
             for s in range(0, len(u), step):
                 i, j = np.nonzero(np.bitwise_count(u[s : s + step, None] ^ u[None, :]) <= distance)
                 forest.add(i + s, j)
