@@ -1,11 +1,13 @@
 """Queries and SQL of this subpackage, for the driver's entry module."""
 
-from foldstar.llm import bpe, quality, simhash, substrings, token_counts
+from foldstar.llm import bpe, packing, quality, simhash, substrings, token_counts, vectors
 
 QUERIES = {
     "op1_token_counts": token_counts.op1_token_counts,
+    "op3_vectors": vectors.op3_vectors,
     "op5_quality_rules": quality.op5_quality_rules,
     "op6_simhash": simhash.op6_simhash,
+    "op7_packing": packing.op7_packing,
     "op8_substrings": substrings.op8_substrings,
     "op9_byte_bpe": bpe.op9_byte_bpe,
 }
