@@ -48,9 +48,16 @@ def stored(df: DataFrame, tag: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+#: Rows of an Arrow batch where the session has Spark's default: whole texts are long rows.
+BATCH_ROWS = 1000
+
+
 def ship(spark: SparkSession) -> None:
-    """Make this package importable in Python workers, once a session."""
+    """Make this package importable in Python workers, once a session; bound Arrow batches of texts."""
     sc = spark.sparkContext
+    batch = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if spark.conf.get(batch) == "10000":
+        spark.conf.set(batch, str(BATCH_ROWS))
     if getattr(sc, "_foldstar_shipped", False):
         return
     root = Path(__file__).resolve().parents[1]
