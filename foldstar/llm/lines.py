@@ -86,8 +86,10 @@ def _judged(docs: DataFrame, key: str, text: str, min_lines: int) -> DataFrame:
     """_row (all columns of `docs`), _kept (text without deleted lines), _n and _gone (counts of lines with a word)."""
     t = F.col(f"`{text}`")
     gone = stored(_deleted(docs, key, text, min_lines), "deleted-lines")
-    source = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_row"), F.col(f"`{key}`").alias("_k"), F.xxhash64(t).alias("_r"), t.alias("_t"))
-    met = source.join(gone, ["_k", "_r"], "left").select("_row", "_t", "gone", F.when(F.col("_t").isNotNull(), _split(F.col("_t"))).alias("_l"))
+    others = [F.col(f"`{c}`") for c in docs.columns if c != text]
+    source = docs.select(F.struct(*others, F.lit(0).alias("_fill")).alias("_row"), F.col(f"`{key}`").alias("_k"), F.xxhash64(t).alias("_r"), t.alias("_t"))
+    # a merge join at every size: `gone` grows with the corpus, so it is never broadcast
+    met = source.join(gone.hint("merge"), ["_k", "_r"], "left").select("_row", "_t", "gone", F.when(F.col("_t").isNotNull(), _split(F.col("_t"))).alias("_l"))
     stay = F.array_except(F.sequence(F.lit(0), F.size("_l") - 1), F.col("gone"))
     kept = F.when(F.col("gone").isNull(), F.col("_t")).otherwise(F.array_join(F.transform(stay, lambda i: F.get(F.col("_l"), i)), "\n"))
     n = F.coalesce(F.size(F.filter(F.col("_l"), _worded)), F.lit(0)).cast("long")

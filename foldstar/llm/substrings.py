@@ -135,7 +135,7 @@ def _fragments(docs: DataFrame, window: int, gram: int) -> DataFrame:
     marks = stored(known.mapInPandas(scan, "_k long, _r long, a long"), "anchors")
     twice = marks.groupBy("a").agg(F.min("_k").alias("lo"), F.max("_k").alias("hi")).where("lo < hi").select("a")
     near = marks.join(twice, "a").groupBy("_k", "_r").agg(F.collect_list("a").alias("near"))
-    return stored(known.join(near, ["_k", "_r"]).mapInPandas(cut, "_k long, _r long, at long, body string"), "fragments")
+    return stored(known.join(near.hint("merge"), ["_k", "_r"]).mapInPandas(cut, "_k long, _r long, at long, body string"), "fragments")
 
 
 def _digest_pairs(body: str, window: int) -> tuple[np.ndarray, np.ndarray]:
@@ -268,10 +268,12 @@ def repeats(docs: DataFrame, key: str = "doc_id", text: str = "text", window: in
 
 
 def _marked(docs: DataFrame, key: str, text: str, window: int, gram: int) -> DataFrame:
-    """`docs` as a struct _row with _t and spans (null where nothing repeats)."""
+    """`docs` as a struct _row of the other columns, with _t and spans (null where nothing repeats)."""
     spans = repeats(docs, key, text, window, gram)
-    source = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_row"), F.col(f"`{key}`").cast("long").alias("_k"), F.xxhash64(F.col(f"`{text}`")).alias("_r"), F.col(f"`{text}`").alias("_t"))
-    return source.join(spans, ["_k", "_r"], "left")
+    others = [F.col(f"`{c}`") for c in docs.columns if c != text]
+    source = docs.select(F.struct(*others, F.lit(0).alias("_fill")).alias("_row"), F.col(f"`{key}`").cast("long").alias("_k"), F.xxhash64(F.col(f"`{text}`")).alias("_r"), F.col(f"`{text}`").alias("_t"))
+    # a merge join at every size: the spans grow with the corpus, so they are never broadcast
+    return source.join(spans.hint("merge"), ["_k", "_r"], "left")
 
 
 def _gone(n: int, spans) -> np.ndarray:
