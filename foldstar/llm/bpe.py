@@ -40,6 +40,7 @@ class ByteBPE:
         self.leaf, self.mid = [0] * words, [0] * ((words >> 6) + 1)
         self.uneven = regex.compile(r"\s\s|^\s|\s$").search
         self.cut = regex.compile(r"(?<=\S)(?= \S)").split
+        self.tails: dict[str, tuple[bytes, bytes]] = {}
         self.new: dict[str, tuple[bytes, bytes]] = {}
         self.old: dict[str, tuple[bytes, bytes]] = {}
 
@@ -136,46 +137,55 @@ class ByteBPE:
     def decode(self, ids) -> bytes:
         return b"".join(map(self.tokens.__getitem__, ids))
 
-    def _piece(self, piece: str) -> tuple[bytes, bytes]:
-        """Decimal ids and decoded bytes of a piece whose pre-tokens do not depend on what surrounds it."""
-        pre = self.split(piece)
-        if len(pre) == 1:
-            ids = self.merge(piece.encode())
-            made = (b",".join(map(self.decimal, ids)), self.decode(ids))
-        else:
-            parts = [self.new.get(x) or self.old.get(x) or self._piece(x) for x in pre]
-            made = (b",".join([a for a, _ in parts]), b"".join([b for _, b in parts]))
-        if len(piece) <= 64:
+    def _made(self, pre: str) -> tuple[bytes, bytes]:
+        """Decimal ids joined by commas, and decoded bytes, of one pre-token."""
+        ids = self.merge(pre.encode("utf-8", "replace"))
+        return b",".join(map(self.decimal, ids)), self.decode(ids)
+
+    def _bare(self, pre: str) -> tuple[bytes, bytes]:
+        """The same for a pre-token without a space before it: marks, line breaks, first words."""
+        got = self.tails.get(pre)
+        if got is None:
+            got = self._made(pre)
+            if len(pre) <= 64:
+                if len(self.tails) >= self.keep:
+                    self.tails.clear()
+                self.tails[pre] = got
+        return got
+
+    def _piece(self, word: str) -> tuple[bytes, bytes]:
+        """The same for a space and what follows it up to the next; kept under what follows."""
+        got = self.old.get(word)
+        if got is None:
+            pre = self.split(" " + word)
+            if len(pre) == 1:
+                got = self._made(pre[0])
+            else:
+                head = pre[0][1:]
+                parts = [self.new.get(head) or self._piece(head), *map(self._bare, pre[1:])]
+                got = b",".join([a for a, _ in parts]), b"".join([b for _, b in parts])
+        if len(word) <= 64:
             if len(self.new) >= self.keep:
                 self.old, self.new = self.new, {}
-            self.new[piece] = made
-        return made
+            self.new[word] = got
+        return got
 
     def digest(self, text: str) -> tuple[int, str, str]:
         """Number of tokens, SHA-256 of the decimal ids joined by commas, SHA-256 of the decoded bytes."""
         if not text:
             empty = hashlib.sha256(b"").hexdigest()
             return 0, empty, empty
-        # cut before single spaces between two non-spaces: no pre-token reaches across such a place
+        # cut at single spaces between two non-spaces: no pre-token reaches across such a place
         if self.uneven(text) is None:
             pieces = text.split(" ")
-            first = pieces[0]
-            pieces = [" " + p for p in pieces]
-            pieces[0] = first
+            first = pieces.pop(0)
         else:
-            pieces = self.cut(text)
-        new, old, make = self.new, self.old, self._piece
-        found = []
-        for p in pieces:
-            got = new.get(p)
-            if got is None:
-                got = old.get(p)
-                if got is None:
-                    got = make(p)
-                    new, old = self.new, self.old
-                else:
-                    new[p] = got
-            found.append(got)
+            first, *pieces = self.cut(text)
+            pieces = [p[1:] for p in pieces]
+        found = list(map(self.new.get, pieces))
+        if None in found:
+            found = [got or self._piece(p) for got, p in zip(found, pieces)]
+        found[:0] = map(self._bare, self.split(first))
         ids = b",".join([a for a, _ in found])
         return ids.count(b",") + 1, hashlib.sha256(ids).hexdigest(), hashlib.sha256(b"".join([b for _, b in found])).hexdigest()
 
