@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from foldstar.llm import lines, packing, quality, simhash, substrings
-from foldstar.llm.shared import stored, table
+from foldstar.llm.shared import filtered, stored, table
 
 
 def _sized(before: DataFrame, after: DataFrame) -> DataFrame:
@@ -40,7 +40,7 @@ def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> D
 def substring_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Passages that a document with a smaller id has are cut; documents left without a word go."""
     cut = _sized(docs, substrings.cleaned(docs))
-    return cut.where(F.col("text").rlike(r"[^ \t-\r]"))
+    return filtered(cut, F.col("text").rlike(r"[^ \t-\r]"))
 
 
 def packing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -22,7 +22,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from foldstar.llm.shared import partitions, stored, table
+from foldstar.llm.shared import filtered, partitions, stored, table
 
 MIN_LINES = 2
 
@@ -104,7 +104,7 @@ def summary(docs: DataFrame, key: str = "doc_id", text: str = "text", min_lines:
 
 def deduped(docs: DataFrame, key: str = "doc_id", text: str = "text", min_lines: int = MIN_LINES) -> DataFrame:
     """`docs` without the lines of later copies; rows that lose every line with a word go."""
-    j = _judged(docs, key, text, min_lines).where("_gone = 0 or _gone < _n")
+    j = filtered(_judged(docs, key, text, min_lines), (F.col("_gone") == 0) | (F.col("_gone") < F.col("_n")))
     return j.select(*[F.col("_kept").alias(c) if c == text else F.col("_row").getField(c).alias(c) for c in docs.columns])
 
 

@@ -18,7 +18,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from foldstar.llm.shared import table, words
+from foldstar.llm.shared import filtered, table, words
 
 # Characters counted as symbols.
 SYMBOLS = "#*$%&|<>"
@@ -182,7 +182,7 @@ def keep_good(df: DataFrame, rules=RULES, text: str = "text") -> DataFrame:
     into = "_m"
     while into in df.columns:
         into += "_"
-    return judge(df, rules, text, into).where(F.col(f"{into}.kept")).select(*[F.col(f"`{c}`") for c in df.columns])
+    return filtered(judge(df, rules, text, into), F.col(f"{into}.kept")).select(*[F.col(f"`{c}`") for c in df.columns])
 
 
 def op5_quality_rules(spark, sf_dir: str) -> DataFrame:

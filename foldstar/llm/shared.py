@@ -76,6 +76,15 @@ def words(text) -> F.Column:
     return F.array_remove(F.split(F.coalesce(text, F.lit("")), "[ \\t-\\r]+", -1), "")
 
 
+def filtered(df: DataFrame, condition) -> DataFrame:
+    """`df.where(condition)` that is judged after the columns of `df` are made, once.
+
+    A plain filter is pushed below the projections it reads and repeats their expressions there; a
+    column that is not deterministic keeps it above.
+    """
+    return df.withColumn("_at", F.spark_partition_id()).where(condition & (F.col("_at") >= 0)).drop("_at")
+
+
 def partitions(df: DataFrame, factor: int = 1) -> int:
     """A number of partitions that follows the session: its shuffle partitions times `factor`."""
     return max(1, int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")) * factor)
