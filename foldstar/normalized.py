@@ -18,6 +18,12 @@ from foldstar import dense
 from foldstar.matrix import Matrix, RowMatrix
 
 
+def _met(frame: DataFrame, on: str, block: Wide | Coo) -> DataFrame:
+    """`frame` joined with a block's cells on its column `on`; the block's key comes as `_key`."""
+    cells = block.df.withColumnRenamed(block.key, "_key")
+    return frame.join(cells, frame[on] == cells["_key"])
+
+
 @dataclass
 class Wide:
     """A block with one numeric column per feature."""
@@ -38,10 +44,10 @@ class Wide:
 
     def fold_product(self, folded: DataFrame, on: str, cols: list[str]) -> np.ndarray:
         """sum over targets of features^T folded values: d_i x len(cols)."""
-        return dense.products(folded.join(self.df, folded[on] == self.df[self.key]), self.names, cols)
+        return dense.products(_met(folded, on, self), self.names, cols)
 
     def weighted_gram(self, hits: DataFrame, on: str, weighting: str) -> np.ndarray:
-        joined = hits.join(self.df, hits[on] == self.df[self.key])
+        joined = _met(hits, on, self)
         if weighting == "sqrt":
             root = joined.select(*[(F.sqrt(F.col("_hits").cast("double")) * F.col(f"`{c}`")).alias(c) for c in self.names])
             return dense.products(root, self.names)
@@ -77,7 +83,7 @@ class Coo:
         return every.join(made, "_key", "left").select("_key", *[F.coalesce(f"{prefix}{j}", F.lit(0.0)).alias(f"{prefix}{j}") for j in range(m)])
 
     def fold_product(self, folded: DataFrame, on: str, cols: list[str]) -> np.ndarray:
-        joined = folded.join(self.df, folded[on] == self.df[self.key])
+        joined = _met(folded, on, self)
         got = joined.groupBy("col").agg(*[F.sum(F.col("val") * dense.d(c)).alias(f"s{i}") for i, c in enumerate(cols)]).collect()
         out = np.zeros((len(self.names), len(cols)))
         for r in got:
@@ -86,7 +92,7 @@ class Coo:
 
     def gram_long(self, hits: DataFrame, on: str) -> DataFrame:
         """i, j, value for i <= j: a self-join within each key, bounded by the non-zeros of one row."""
-        a = hits.join(self.df, hits[on] == self.df[self.key]).select(F.col(on).alias("_k"), "_hits", F.col("col").alias("i"), F.col("val").alias("vi"))
+        a = _met(hits, on, self).select(F.col("_key").alias("_k"), "_hits", F.col("col").alias("i"), F.col("val").alias("vi"))
         b = self.df.select(F.col(f"`{self.key}`").alias("_k"), F.col("col").alias("j"), F.col("val").alias("vj"))
         return a.join(b, "_k").where("i <= j").groupBy("i", "j").agg(F.sum(F.col("_hits") * F.col("vi") * F.col("vj")).alias("value"))
 
@@ -265,6 +271,8 @@ class FactoredMatrix(Matrix):
         links = []
         for k in self.links:
             keep = [c for c in k.block.names if c in have]
+            if not keep:
+                continue
             if isinstance(k.block, Coo):
                 at = {k.block.names.index(c): i for i, c in enumerate(keep)}
                 df = k.block.df.where(F.col("col").isin(list(at)))
@@ -366,7 +374,7 @@ class FactoredMatrix(Matrix):
             folded = self.rows.groupBy(link.column).agg(F.count("*").alias("_hits"), *[F.sum(F.col(f"`{c}`")).alias(c) for c in self.own])
             if method == "naive":
                 self_pairs = self._link_product(link)
-                moved = self_pairs.join(link.block.df, self_pairs["_a"] == link.block.df[link.block.key]).groupBy("_b").agg(*[F.sum(F.col("_c") * F.col(f"`{c}`")).alias(f"_m{j}") for j, c in enumerate(link.block.names)])
+                moved = _met(self_pairs, "_a", link.block).groupBy("_b").agg(*[F.sum(F.col("_c") * F.col(f"`{c}`")).alias(f"_m{j}") for j, c in enumerate(link.block.names)])
                 out[s, s] = link.block.fold_product(moved, "_b", [f"_m{j}" for j in range(len(link.block.names))])
             else:
                 out[s, s] = link.block.weighted_gram(folded.select(link.column, "_hits"), link.column, weighting)
@@ -403,7 +411,7 @@ class FactoredMatrix(Matrix):
         else:
             base, ka, kb, w = self.rows.select(F.col(f"`{a.column}`").alias("_a"), F.col(f"`{b.column}`").alias("_b")), "_a", "_b", F.lit(1)
         wide = a.block.wide() if isinstance(a.block, Coo) else a.block
-        moved = base.join(wide.df, base[ka] == wide.df[wide.key]).groupBy(kb).agg(*[F.sum(w * F.col(f"`{c}`")).alias(f"_m{k}") for k, c in enumerate(wide.names)])
+        moved = _met(base, ka, wide).groupBy(kb).agg(*[F.sum(w * F.col(f"`{c}`")).alias(f"_m{k}") for k, c in enumerate(wide.names)])
         return b.block.fold_product(moved, kb, [f"_m{k}" for k in range(len(wide.names))]).T
 
     def kernel(self, max_rows: int = 5000) -> DataFrame:
