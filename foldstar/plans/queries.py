@@ -151,7 +151,7 @@ def _linear_algebra() -> None:
     # element-wise operators, reduced by column sums
     E = {
         "scalar_add": (lambda t: t + 2, "{0} + 2"), "scalar_rsub": (lambda t: 2 - t, "2 - {0}"), "scalar_sub": (lambda t: t - 3, "{0} - 3"), "scalar_mul": (lambda t: 3 * t, "3 * {0}"),
-        "scalar_div": (lambda t: t / 4, "{0} / 4"), "scalar_rdiv": (lambda t: 5 / (t + 1), "5 / ({0} + 1)"), "scalar_pow": (lambda t: t**2, "{0} * {0}"), "scalar_mod": (lambda t: t % 7, "({0} % 7)"),
+        "scalar_div": (lambda t: t / 4, "{0} / 4"), "scalar_rdiv": (lambda t: 5 / (t + 1), "5 / ({0} + 1)"), "scalar_pow": (lambda t: t**2, "{0} * {0}"), "scalar_mod": (lambda t: t % 7, "((({0} % 7) + 7) % 7)"),
         "scalar_gt": (lambda t: t > 4, "CAST({0} > 4 AS INT)"), "scalar_clip": (lambda t: t.clip(1, 9), "least(greatest({0}, 1), 9)"), "fn_log": (lambda t: (t + 1).map("log"), "ln({0} + 1)"),
         "fn_exp": (lambda t: (t / 100000).exp(), "exp({0} / 100000)"), "fn_sin": (lambda t: t.map("sin"), "sin({0})"), "fn_sqrt": (lambda t: t.map("sqrt"), "sqrt({0})"), "fn_tanh": (lambda t: (t / 1000).map("tanh"), "tanh({0} / 1000)"),
         "fn_sigmoid": (lambda t: (t / 100000).map("sigmoid"), "1 / (1 + exp(-({0} / 100000)))"), "scalar_chain": (lambda t: ((2 * t) + 1).map("sqrt"), "sqrt(2 * {0} + 1)"), "scalar_rpow": (lambda t: 2 ** (t / 100000), "pow(2, {0} / 100000)"),
