@@ -51,7 +51,7 @@ def ranked(rows: DataFrame, keys: list[str]) -> DataFrame:
     base = dealt.groupBy("p").agg(F.sum("c").alias("c")).select("p", F.coalesce(F.sum("c").over(sums), F.lit(0)).alias("base"))  # one row per partition
     inside = Window.partitionBy("p").orderBy(*keys).rowsBetween(Window.unboundedPreceding, -1)
     placed = dealt.withColumn("before", F.coalesce(F.sum("c").over(inside), F.lit(0))).where("c > 1")
-    return placed.join(F.broadcast(base), "p").select(*keys, (F.col("base") + F.col("before")).alias("rank"))
+    return stored(placed.join(F.broadcast(base), "p").select(*keys, (F.col("base") + F.col("before")).alias("rank")), "line-ranks")
 
 
 def shared_suffixes(docs: DataFrame, key: str = "doc_id", text: str = "text", min_lines: int = MIN_LINES) -> DataFrame:
@@ -72,7 +72,7 @@ def _deleted(docs: DataFrame, key: str, text: str, min_lines: int) -> DataFrame:
     """Columns _k, _r, gone: places among all lines of the lines to delete."""
     shared = shared_suffixes(docs, key, text, min_lines)
     start = F.struct("_k", "_r", "n")
-    first = shared.groupBy("rank").agg(F.min(start).alias("first"))
+    first = stored(shared.groupBy("rank").agg(F.min(start).alias("first")), "first-copies")
     later = shared.join(first, "rank").where(start != F.col("first")).select("_k", "_r", "n")
     covered = later.select("_k", "_r", F.explode(F.sequence(F.col("n"), F.col("n") + min_lines - 1)).alias("n")).distinct()
     if min_lines > 1:

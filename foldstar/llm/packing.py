@@ -11,7 +11,8 @@ entries, whatever the corpus, so planning runs on the driver on bounded data:
 
 The plan is a list of (lengths, how often). The r-th piece of a length takes that length's r-th slot.
 Ranks come from counts per (length, bucket of keys) and a running number inside each bucket, so no
-length, however common, meets in one task, and a task that is run again gives the same ranks.
+length, however common, meets in one task, and a task that is run again gives the same ranks. Pieces
+of full length are sequences of their own (numbers below zero) and skip the plan.
 
 Defined cases: a null or empty text is the end token alone; texts are encoded whole; rows with equal
 keys are packed one by one; an empty table gives no rows; extra columns are not read.
@@ -215,7 +216,11 @@ def slots(plan_rows) -> tuple[np.ndarray, ...]:
 
 def pack(docs: DataFrame, path: str, ranks: str | None = None, pattern: str | None = None, size: int = SIZE, end: int = END, depth: int = DEPTH, key: str = "doc_id", text: str = "text") -> DataFrame:
     """Per piece: _k, piece, start, length, ids_crc32, sequence_id, offset."""
-    cut = stored(pieces(docs, path, ranks, pattern, size, end, key, text), "pieces")
+    made = stored(pieces(docs, path, ranks, pattern, size, end, key, text), "pieces")
+    columns = ["_k", "piece", "start", "length", "ids_crc32", "sequence_id", "offset"]
+    # a full piece is a sequence of its own and needs no rank
+    whole = made.where(F.col("length") == size).withColumn("sequence_id", -1 - F.monotonically_increasing_id()).withColumn("offset", F.lit(0).cast("long"))
+    cut = made.where(F.col("length") < size)
     n = cut.count()
     buckets = max(1, -(-n // BUCKET_ROWS))
     keyed = cut.withColumn("b", F.pmod(F.xxhash64("_k", "piece", "start"), F.lit(buckets)).cast("int"))
@@ -235,7 +240,8 @@ def pack(docs: DataFrame, path: str, ranks: str | None = None, pattern: str | No
     base = counts.withColumn("base", F.sum("n").over(Window.partitionBy("length").orderBy("b").rowsBetween(Window.unboundedPreceding, -1))).select("length", "b", F.coalesce("base", F.lit(0)).alias("base"))
     inside = Window.partitionBy("length", "b").orderBy("_k", "piece", "start", "ids_crc32")
     ranked = keyed.withColumn("r", F.row_number().over(inside) - 1).join(base, ["length", "b"])
-    return ranked.select("_k", "piece", "start", "length", "ids_crc32", place("length", F.col("base") + F.col("r")).alias("_s")).select("_k", "piece", "start", "length", "ids_crc32", "_s.*")
+    placed = ranked.select("_k", "piece", "start", "length", "ids_crc32", place("length", F.col("base") + F.col("r")).alias("_s")).select("_k", "piece", "start", "length", "ids_crc32", "_s.*")
+    return whole.select(*columns).unionByName(placed.select(*columns))
 
 
 def packed_text(docs: DataFrame, size: int = SIZE) -> DataFrame:

@@ -37,7 +37,7 @@ from foldstar.llm.shared import partitions, ship, stored, table
 WINDOW = 50
 GRAM = 16
 SHARD_WORDS = 100_000
-SHARD_ROWS = 4_000
+SHARD_ROWS = 1_000
 
 _GAP = np.zeros(256, dtype=bool)
 _GAP[[9, 10, 11, 12, 13, 32]] = True
@@ -208,6 +208,7 @@ def _ranges(auto, passages, key: int, body: str, owners: set[int], window: int)
         at += len(x) + 1
     done: dict[tuple[int, int], int] = {}
     out = []
+    a = b = 0  # the last range found
     for end, (size, where) in auto.iter(text):
         i = place[end - size + 1]
         for owner in owners & where.keys() if len(owners) <= len(where) else [o for o in where if o in owners]:
@@ -215,6 +216,11 @@ def _ranges(auto, passages, key: int, body: str, owners: set[int], window: int)
                 if done.get((n, i - o), -1) > i:
                     continue
                 p = passages[n][1]
+                if a <= i < b:
+                    # inside a range already found: only a match at one of its borders can reach further
+                    x, y = o - (i - a), o + (b - i)
+                    if not (a > 0 < x <= len(p) and w[a - 1] == p[x - 1]) and not (b < len(w) and y < len(p) and w[b] == p[y]):
+                        continue
                 lo, left = i, o
                 while lo > 0 and left > 0 and w[lo - 1] == p[left - 1]:
                     lo, left = lo - 1, left - 1
@@ -224,6 +230,8 @@ def _ranges(auto, passages, key: int, body: str, owners: set[int], window: int)
                 done[n, i - o] = hi
                 if hi - lo >= window:
                     out.append((lo, hi))
+                    if hi > b or i >= b:
+                        a, b = lo, hi
     return out
 
 

@@ -129,7 +129,8 @@ def count_tokens(docs: DataFrame, path: str, cache: str | None = None, key: str
             yield pd.DataFrame({"digest": f["digest"], "tokenizer": version, "n_tokens": counter.counts(list(f["_text"]))})
 
     misses.unionByName(bare).mapInPandas(run, CACHE_SCHEMA).dropDuplicates(["digest"]).write.mode("append").parquet(cache)
-    counts = read().groupBy("digest").agg(F.min("n_tokens").alias("n_tokens"))
+    # written before the join, so that both its sides are plain exchanges and a hot digest can be split
+    counts = stored(read().groupBy("digest").agg(F.min("n_tokens").alias("n_tokens")), "token-counts")
     return keyed.join(counts, "digest").select(F.col("_k").alias(key), "n_bytes", "n_tokens")
 
 

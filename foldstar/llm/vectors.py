@@ -68,7 +68,7 @@ def principal(classes: DataFrame, dim: int, leading: int) -> np.ndarray:
     return vectors[:, ::-1][:, :leading].copy()
 
 
-def _blocks(classes: DataFrame, dim: int, directions: np.ndarray, eps: float, rows: int) -> DataFrame:
+def _blocks(classes: DataFrame, dim: int, directions: np.ndarray, eps: float, rows: int, count: int) -> DataFrame:
     """One row per block: block, nodes, sizes, raw vectors (bytes), and the box lo, hi."""
     p = directions.shape[1]
 
@@ -78,7 +78,9 @@ def _blocks(classes: DataFrame, dim: int, directions: np.ndarray, eps: float, ro
 
     placed = classes.select("*", project("v").alias("x"))
     cells = [F.floor(F.col("x")[i] / eps) for i in range(p)]
-    ordered = placed.orderBy(*cells, *[F.col("x")[i] for i in range(p)], "node")
+    keys = [*cells, *[F.col("x")[i] for i in range(p)], F.col("node")]
+    ranges = max(1, min(partitions(classes), count // rows))
+    ordered = placed.repartitionByRange(ranges, *keys).sortWithinPartitions(*keys)
 
     def cut(frames):
         held, n = [], 0
@@ -204,8 +206,9 @@ def _linked(classes: DataFrame, dim: int, cosine: float, leading: int) -> DataFr
     eps = float(np.sqrt(max(0.0, 2 - 2 * cosine)))
     leading = min(leading, dim)
     directions = principal(classes, dim, leading)
-    rows = max(BLOCK_ROWS, -(-classes.count() // MAX_BLOCKS))
-    blocks = _blocks(classes, dim, directions, eps, rows)
+    count = classes.count()
+    rows = max(BLOCK_ROWS, -(-count // MAX_BLOCKS))
+    blocks = _blocks(classes, dim, directions, eps, rows, count)
     boxes = blocks.select("block", "lo", "hi").orderBy("block").collect()  # about MAX_BLOCKS and the number of tasks at most
     if not boxes:
         return spark.createDataFrame([], "a long, b long, n long")
