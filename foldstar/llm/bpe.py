@@ -2,8 +2,11 @@
 
 Every merge rank has a bucket of places (left ends of adjacent symbol pairs in a linked list). A
 bitmap marks the buckets that hold places; two summary levels above it make "lowest rank present"
-three find-first-set steps, whatever the length of the pre-token. Places whose pair has changed
-since they were queued are recognised by their rank and skipped. Work is O(n log n) in a pre-token.
+three find-first-set steps, whatever the length of the pre-tokens. Places whose pair has changed
+since they were queued are recognised by their rank and skipped. One queue serves many pre-tokens at
+once: they lie end to end in the list, no pair crosses from one to the next, and a bucket is emptied
+from left to right until a merge makes a pair of the same or a lower rank, which then comes first. So
+each pre-token sees its pairs by rank, then from the left. Work is O(n log n) in the bytes.
 
 Results of short pieces of text are kept in two bounded generations of a dictionary per worker.
 
@@ -16,7 +19,6 @@ from __future__ import annotations
 
 import base64
 import hashlib
-from heapq import heappop, heappush
 
 import pandas as pd
 import regex
@@ -26,6 +28,10 @@ from pyspark.sql import functions as F
 from foldstar.llm.shared import ship, table
 
 
+#: Pre-tokens that share a queue: enough to fill buckets, few enough to stay in the processor's cache.
+TOGETHER = 400
+
+
 class ByteBPE:
     """Encoder and decoder for a table of ranks (token bytes to rank)."""
 
@@ -34,9 +40,9 @@ class ByteBPE:
         self.tokens = {v: k for k, v in ranks.items()}
         self.decimal = [b"%d" % i for i in range(max(self.tokens) + 1)].__getitem__
         self.split = regex.compile(pattern).findall
-        # the queue: one place or a heap of places by rank, and which ranks have any, in three levels
+        # the queue: places by rank, and which ranks have any, in three levels
         words = (max(ranks.values()) >> 6) + 1
-        self.buckets: dict[int, int | list[int]] = {}
+        self.buckets: dict[int, list[int]] = {}
         self.leaf, self.mid = [0] * words, [0] * ((words >> 6) + 1)
         self.uneven = regex.compile(r"\s\s|^\s|\s$").search
         self.cut = regex.compile(r"(?<=\S)(?= \S)").split
@@ -49,145 +55,205 @@ class ByteBPE:
         with open(path, "rb") as f:
             return cls({base64.b64decode(a): int(b) for a, b in map(bytes.split, f)}, pattern)
 
-    def merge(self, piece: bytes) -> list[int]:
-        """Token ids of one pre-token."""
-        ranks = self.ranks
-        whole = ranks.get(piece)
-        if whole is not None:
-            return [whole]
-        n = len(piece)
-        get, buckets, leaf, mid = ranks.get, self.buckets, self.leaf, self.mid
-        top = 0
-        # symbol at place p spans piece[p:after[p]]; before[p] is the place to its left
+    def _push(self, r: int, p: int, top: int) -> int:
+        """Open a bucket for rank r; returns the top level of the bitmap."""
+        self.buckets[r] = [p]
+        i = r >> 6
+        word = self.leaf[i]
+        self.leaf[i] = word | 1 << (r & 63)
+        if not word:
+            self.mid[i >> 6] |= 1 << (i & 63)
+            top |= 1 << (i >> 6)
+        return top
+
+    def merge_many(self, pieces: list[bytes]) -> list[list[int]]:
+        """Token ids of many pre-tokens."""
+        ranks, buckets, leaf, mid, push = self.ranks, self.buckets, self.leaf, self.mid, self._push
+        get = ranks.get
+        text = b"".join(pieces)
+        n = len(text)
+        # symbol at place p spans text[p:after[p]]; before[p] is the place to its left; edge: a pre-token starts
         after, before = list(range(1, n + 2)), list(range(-1, n))
-        pair = [get(piece[p : p + 2], -1) for p in range(n)]  # rank of the pair at a place, as last queued
-        pair[n - 1] = -1
-        fresh = [(r, p) for p, r in enumerate(pair) if r >= 0]
-        while True:
-            for r, p in fresh:
+        edge = bytearray(n + 1)
+        at = 0
+        for x in pieces:
+            edge[at] = 1
+            at += len(x)
+        edge[n] = 1
+        pair = [get(text[p : p + 2], -1) for p in range(n)]  # rank of the pair at a place, as last queued
+        top = 0
+        for p, r in enumerate(pair):
+            if edge[p + 1]:
+                pair[p] = -1
+            elif r >= 0:
                 if r in buckets:
-                    b = buckets[r]
-                    if b.__class__ is list:
-                        heappush(b, p)
-                    else:
-                        buckets[r] = [b, p] if b < p else [p, b]
-                    continue
-                buckets[r] = p
-                i = r >> 6
-                word = leaf[i]
-                leaf[i] = word | 1 << (r & 63)
-                if not word:
-                    mid[i >> 6] |= 1 << (i & 63)
-                    top |= 1 << (i >> 6)
-            if not top:
-                break
-            # find first set, level by level: the lowest rank that has a place
+                    buckets[r].append(p)
+                else:
+                    top = push(r, p, top)
+        while top:
+            # find first set, level by level: the lowest rank that has places
             j = (top & -top).bit_length() - 1
             word = mid[j]
             i = (j << 6) + (word & -word).bit_length() - 1
             word = leaf[i]
             low = word & -word
             r = (i << 6) + low.bit_length() - 1
-            p = buckets[r]
-            if p.__class__ is list:
-                b, p = p, heappop(p)
-                if len(b) == 1:
-                    buckets[r] = b[0]
-            else:
-                del buckets[r]
-                word ^= low
-                leaf[i] = word
-                if not word:
-                    mid[j] ^= 1 << (i & 63)
-                    if not mid[j]:
-                        top ^= 1 << j
-            fresh = []
-            if pair[p] != r:
-                continue  # stale: the pair here has changed
-            m = after[p]
-            end = after[m]
-            after[p] = end
-            pair[m] = -1
-            if end < n:
-                before[end] = p
-                pair[p] = s = get(piece[p : after[end]], -1)
-                if s >= 0:
-                    fresh.append((s, p))
-            else:
-                pair[p] = -1
-            left = before[p]
-            if left >= 0:
-                s = get(piece[left:end], -1)
-                if s >= 0 and pair[left] != s:
-                    fresh.append((s, left))
-                pair[left] = s
+            word ^= low
+            leaf[i] = word
+            if not word:
+                mid[j] ^= 1 << (i & 63)
+                if not mid[j]:
+                    top ^= 1 << j
+            places = buckets.pop(r)
+            if len(places) > 1:
+                places.sort()
+            sooner = False
+            for k, p in enumerate(places):
+                if pair[p] != r:
+                    continue  # stale: the pair here has changed
+                m = after[p]
+                end = after[m]
+                after[p] = end
+                pair[m] = -1
+                if edge[end]:
+                    pair[p] = -1
+                else:
+                    before[end] = p
+                    pair[p] = s = get(text[p : after[end]], -1)
+                    if s >= 0:
+                        if s in buckets:
+                            buckets[s].append(p)
+                        else:
+                            top = push(s, p, top)
+                        sooner = s <= r
+                if not edge[p]:
+                    left = before[p]
+                    s = get(text[left:end], -1)
+                    if s >= 0 and pair[left] != s:
+                        if s in buckets:
+                            buckets[s].append(left)
+                        else:
+                            top = push(s, left, top)
+                        sooner = sooner or s <= r
+                    pair[left] = s
+                if sooner:
+                    for p in places[k + 1 :]:
+                        if r in buckets:
+                            buckets[r].append(p)
+                        else:
+                            top = push(r, p, top)
+                    break
         out, p = [], 0
-        while p < n:
-            e = after[p]
-            out.append(ranks[piece[p:e]])
-            p = e
+        for x in pieces:
+            stop = p + len(x)
+            ids = []
+            while p < stop:
+                e = after[p]
+                ids.append(ranks[text[p:e]])
+                p = e
+            out.append(ids)
         return out
 
+    def merge(self, piece: bytes) -> list[int]:
+        return self.merge_many([piece])[0]
+
     def encode(self, text: str) -> list[int]:
-        out: list[int] = []
-        for pre in self.split(text):
-            out += self.merge(pre.encode("utf-8", "replace"))
-        return out
+        return [i for ids in self.merge_many([x.encode("utf-8", "replace") for x in self.split(text)]) for i in ids]
 
     def decode(self, ids) -> bytes:
         return b"".join(map(self.tokens.__getitem__, ids))
 
-    def _made(self, pre: str) -> tuple[bytes, bytes]:
-        """Decimal ids joined by commas, and decoded bytes, of one pre-token."""
-        ids = self.merge(pre.encode("utf-8", "replace"))
-        return b",".join(map(self.decimal, ids)), self.decode(ids)
-
-    def _bare(self, pre: str) -> tuple[bytes, bytes]:
-        """The same for a pre-token without a space before it: marks, line breaks, first words."""
-        got = self.tails.get(pre)
-        if got is None:
-            got = self._made(pre)
-            if len(pre) <= 64:
-                if len(self.tails) >= self.keep:
-                    self.tails.clear()
-                self.tails[pre] = got
-        return got
-
-    def _piece(self, word: str) -> tuple[bytes, bytes]:
-        """The same for a space and what follows it up to the next; kept under what follows."""
-        got = self.old.get(word)
-        if got is None:
-            pre = self.split(" " + word)
+    def _known(self, pre: str) -> tuple[bytes, bytes] | None:
+        if pre[0] == " ":
+            return self.new.get(pre[1:]) or self.old.get(pre[1:])
+        return self.tails.get(pre)
+
+    def _fill(self, words: set[str], firsts: set[str]) -> tuple[dict, dict]:
+        """Decimal ids joined by commas and decoded bytes: of a space and each word, and of pre-tokens without a space."""
+        fill, split, wanted = {}, {}, set()
+        for w in words:
+            got = self.old.get(w)
+            if got is not None:
+                fill[w] = got
+                continue
+            split[w] = pre = self.split(" " + w)
+            wanted.update(pre)
+        wanted |= firsts
+        made = {}
+        todo = []
+        for x in wanted:
+            got = self._known(x)
+            if got is None:
+                todo.append(x)
+            else:
+                made[x] = got
+        decimal = self.decimal
+        for k in range(0, len(todo), TOGETHER):
+            some = todo[k : k + TOGETHER]
+            for x, ids in zip(some, self.merge_many([x.encode("utf-8", "replace") for x in some])):
+                made[x] = (b",".join(map(decimal, ids)), self.decode(ids))
+        for w, pre in split.items():
             if len(pre) == 1:
-                got = self._made(pre[0])
+                fill[w] = made[pre[0]]
             else:
-                head = pre[0][1:]
-                parts = [self.new.get(head) or self._piece(head), *map(self._bare, pre[1:])]
-                got = b",".join([a for a, _ in parts]), b"".join([b for _, b in parts])
-        if len(word) <= 64:
-            if len(self.new) >= self.keep:
-                self.old, self.new = self.new, {}
-            self.new[word] = got
-        return got
+                parts = [made[x] for x in pre]
+                fill[w] = b",".join([a for a, _ in parts]), b"".join([b for _, b in parts])
+        return fill, made
+
+    def digests(self, texts: list[str]) -> list[tuple[int, str, str]]:
+        """Per text: number of tokens, SHA-256 of the decimal ids joined by commas, SHA-256 of the decoded bytes."""
+        held, words, firsts, get = [], set(), set(), self.new.get
+        for text in texts:
+            # cut at single spaces between two non-spaces: no pre-token reaches across such a place
+            if not text:
+                held.append(None)
+                continue
+            if self.uneven(text) is None:
+                pieces = text.split(" ")
+                first = pieces.pop(0)
+            else:
+                first, *pieces = self.cut(text)
+                pieces = [p[1:] for p in pieces]
+            found = list(map(get, pieces))
+            if None in found:
+                words.update([p for p, g in zip(pieces, found) if g is None])
+            else:
+                pieces = None
+            first = self.split(first)
+            firsts.update(first)
+            held.append((first, pieces, found))
+        fill, made = self._fill(words, firsts)
+        out = []
+        for h in held:
+            if h is None:
+                empty = hashlib.sha256(b"").hexdigest()
+                out.append((0, empty, empty))
+                continue
+            first, pieces, found = h
+            if pieces is not None:
+                found = [g or fill[p] for g, p in zip(found, pieces)]
+            found[:0] = [made[x] for x in first]
+            ids = b",".join([a for a, _ in found])
+            out.append((ids.count(b",") + 1, hashlib.sha256(ids).hexdigest(), hashlib.sha256(b"".join([b for _, b in found])).hexdigest()))
+        self._keep(fill, made)
+        return out
+
+    def _keep(self, fill: dict, made: dict) -> None:
+        if len(self.tails) >= self.keep:
+            self.tails.clear()
+        self.tails.update((x, v) for x, v in made.items() if len(x) <= 64 and x[0] != " ")
+        if len(self.new) >= self.keep:
+            self.old, self.new = self.new, {}
+        new = self.new
+        for w, v in fill.items():
+            if len(w) <= 64:
+                new[w] = v
+        for x, v in made.items():
+            if len(x) <= 64 and x[0] == " ":
+                new[x[1:]] = v
 
     def digest(self, text: str) -> tuple[int, str, str]:
-        """Number of tokens, SHA-256 of the decimal ids joined by commas, SHA-256 of the decoded bytes."""
-        if not text:
-            empty = hashlib.sha256(b"").hexdigest()
-            return 0, empty, empty
-        # cut at single spaces between two non-spaces: no pre-token reaches across such a place
-        if self.uneven(text) is None:
-            pieces = text.split(" ")
-            first = pieces.pop(0)
-        else:
-            first, *pieces = self.cut(text)
-            pieces = [p[1:] for p in pieces]
-        found = list(map(self.new.get, pieces))
-        if None in found:
-            found = [got or self._piece(p) for got, p in zip(found, pieces)]
-        found[:0] = map(self._bare, self.split(first))
-        ids = b",".join([a for a, _ in found])
-        return ids.count(b",") + 1, hashlib.sha256(ids).hexdigest(), hashlib.sha256(b"".join([b for _, b in found])).hexdigest()
+        return self.digests([text])[0]
 
 
 _LOADED: dict[tuple[str, str], ByteBPE] = {}
@@ -207,7 +273,7 @@ def round_trip(docs: DataFrame, path: str, pattern: str, key: str = "doc_id", te
     @F.pandas_udf("n_tokens long, ids_sha256 string, decoded_sha256 string")
     def digests(texts: pd.Series) -> pd.DataFrame:
         bpe = loaded(path, pattern)
-        return pd.DataFrame([bpe.digest(t or "") for t in texts], columns=["n_tokens", "ids_sha256", "decoded_sha256"])
+        return pd.DataFrame(bpe.digests([t or "" for t in texts]), columns=["n_tokens", "ids_sha256", "decoded_sha256"])
 
     return docs.select(F.col(f"`{key}`"), digests(F.col(f"`{text}`")).alias("_d")).select(F.col(f"`{key}`"), "_d.*")
 
