@@ -14,4 +14,9 @@ QUERIES = {
     "op9_byte_bpe": bpe.op9_byte_bpe,
     "op10_licences": licences.op10_licences,
 }
-ORACLES = {"op4_line_dedup": lines.OP4_SQL, "op5_quality_rules": quality.OP5_SQL}
+ORACLES = {
+    "op3_vectors": vectors.OP3_SQL,
+    "op4_line_dedup": lines.OP4_SQL,
+    "op5_quality_rules": quality.OP5_SQL,
+    "op8_substrings": substrings.OP8_SQL,
+}
