@@ -20,6 +20,7 @@ from __future__ import annotations
 import base64
 import hashlib
 
+import numpy as np
 import pandas as pd
 import regex
 from pyspark.sql import DataFrame
@@ -29,7 +30,7 @@ from foldstar.llm.shared import ship, table
 
 
 #: Pre-tokens that share a queue: enough to fill buckets, few enough to stay in the processor's cache.
-TOGETHER = 400
+TOGETHER = 1000
 
 
 class ByteBPE:
@@ -40,6 +41,10 @@ class ByteBPE:
         self.tokens = {v: k for k, v in ranks.items()}
         self.decimal = [b"%d" % i for i in range(max(self.tokens) + 1)].__getitem__
         self.split = regex.compile(pattern).findall
+        self.byte_pairs = np.full(1 << 16, -1, dtype=np.int64)
+        for k, v in ranks.items():
+            if len(k) == 2:
+                self.byte_pairs[k[0] << 8 | k[1]] = v
         # the queue: places by rank, and which ranks have any, in three levels
         words = (max(ranks.values()) >> 6) + 1
         self.buckets: dict[int, list[int]] = {}
@@ -80,16 +85,23 @@ class ByteBPE:
             edge[at] = 1
             at += len(x)
         edge[n] = 1
-        pair = [get(text[p : p + 2], -1) for p in range(n)]  # rank of the pair at a place, as last queued
-        top = 0
-        for p, r in enumerate(pair):
-            if edge[p + 1]:
-                pair[p] = -1
-            elif r >= 0:
-                if r in buckets:
-                    buckets[r].append(p)
-                else:
-                    top = push(r, p, top)
+        # ranks of all byte pairs at once; a bucket for each rank that occurs
+        raw = np.frombuffer(text, dtype=np.uint8).astype(np.intp)
+        found = np.full(n, -1, dtype=np.int64)
+        found[:-1] = self.byte_pairs[raw[:-1] << 8 | raw[1:]]
+        found[np.flatnonzero(np.frombuffer(edge, dtype=np.uint8)[1:])] = -1
+        pair = found.tolist()  # rank of the pair at a place, as last queued
+        order = np.argsort(found, kind="stable")
+        order = order[np.searchsorted(found[order], 0) :]
+        by_rank = found[order]
+        cuts = np.flatnonzero(by_rank[1:] != by_rank[:-1]) + 1
+        places = order.tolist()
+        top, start = 0, 0
+        for cut in [*cuts.tolist(), len(places)] if places else ():
+            r = pair[places[start]]
+            top = push(r, 0, top)
+            buckets[r] = places[start:cut]
+            start = cut
         while top:
             # find first set, level by level: the lowest rank that has places
             j = (top & -top).bit_length() - 1
@@ -223,6 +235,7 @@ class ByteBPE:
             firsts.update(first)
             held.append((first, pieces, found))
         fill, made = self._fill(words, firsts)
+        self.new.update(fill)
         out = []
         for h in held:
             if h is None:
@@ -231,7 +244,7 @@ class ByteBPE:
                 continue
             first, pieces, found = h
             if pieces is not None:
-                found = [g or fill[p] for g, p in zip(found, pieces)]
+                found = list(map(get, pieces))
             found[:0] = [made[x] for x in first]
             ids = b",".join([a for a, _ in found])
             out.append((ids.count(b",") + 1, hashlib.sha256(ids).hexdigest(), hashlib.sha256(b"".join([b for _, b in found])).hexdigest()))
@@ -242,12 +255,12 @@ class ByteBPE:
         if len(self.tails) >= self.keep:
             self.tails.clear()
         self.tails.update((x, v) for x, v in made.items() if len(x) <= 64 and x[0] != " ")
-        if len(self.new) >= self.keep:
-            self.old, self.new = self.new, {}
         new = self.new
-        for w, v in fill.items():
-            if len(w) <= 64:
-                new[w] = v
+        for w in [w for w in fill if len(w) > 64]:
+            del new[w]
+        if len(new) >= self.keep:
+            self.old, self.new = new, {}
+        new = self.new
         for x, v in made.items():
             if len(x) <= 64 and x[0] == " ":
                 new[x[1:]] = v
