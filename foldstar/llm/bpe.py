@@ -36,7 +36,7 @@ TOGETHER = 1000
 class ByteBPE:
     """Encoder and decoder for a table of ranks (token bytes to rank)."""
 
-    def __init__(self, ranks: dict[bytes, int], pattern: str, keep: int = 400_000):
+    def __init__(self, ranks: dict[bytes, int], pattern: str, keep: int = 800_000):
         self.ranks, self.keep = ranks, keep
         self.tokens = {v: k for k, v in ranks.items()}
         self.decimal = [b"%d" % i for i in range(max(self.tokens) + 1)].__getitem__
@@ -246,8 +246,9 @@ class ByteBPE:
             if pieces is not None:
                 found = list(map(get, pieces))
             found[:0] = [made[x] for x in first]
-            ids = b",".join([a for a, _ in found])
-            out.append((ids.count(b",") + 1, hashlib.sha256(ids).hexdigest(), hashlib.sha256(b"".join([b for _, b in found])).hexdigest()))
+            numbers, spans = zip(*found)
+            ids = b",".join(numbers)
+            out.append((ids.count(b",") + 1, hashlib.sha256(ids).hexdigest(), hashlib.sha256(b"".join(spans)).hexdigest()))
         self._keep(fill, made)
         return out
 
