@@ -316,6 +316,29 @@ class FactoredMatrix(Matrix):
             total = total + F.col(f"_n{i}_0")
         return self.on(frame.select(*[F.col(f"`{c}`") for c in self.rows.columns], total.alias(name)))
 
+    def row_extreme(self, kind: str = "min") -> RowMatrix:
+        """Least or greatest cell of each row: per block once for each target, then looked up."""
+        pick = F.least if kind == "min" else F.greatest
+        parts, frame = [F.col(f"`{c}`") for c in self.own], self.rows
+        for i, link in enumerate(self.links):
+            block = link.block.wide() if isinstance(link.block, Coo) else link.block
+            cells = [F.col(f"`{c}`") for c in block.names]
+            best = block.df.select(F.col(f"`{block.key}`").alias("_key"), (pick(*cells) if len(cells) > 1 else cells[0]).alias(f"_m{i}"))
+            frame = frame.join(best, frame[link.column] == best["_key"]).drop("_key")
+            parts.append(F.col(f"_m{i}"))
+        value = pick(*parts) if len(parts) > 1 else parts[0]
+        return RowMatrix(frame.select(*[F.col(f"`{c}`") for c in self.rows.columns], value.alias("_v0")), ["_v0"], self)
+
+    def col_extreme(self, kind: str = "min") -> np.ndarray:
+        """Least or greatest cell of each column: own rows, and targets that some row refers to."""
+        f = F.min if kind == "min" else F.max
+        get = lambda df, names: [float(x) for x in df.agg(*[f(F.col(f"`{c}`")).alias(f"s{i}") for i, c in enumerate(names)]).first()] if names else []
+        out = get(self.rows, self.own)
+        for link in self.trimmed(rows=False).links:
+            block = link.block.wide() if isinstance(link.block, Coo) else link.block
+            out += get(block.df, block.names)
+        return np.array(out)
+
     def hits(self, i: int) -> DataFrame:
         return self.rows.groupBy(self.links[i].column).agg(F.count("*").alias("_hits"))
 
@@ -426,7 +449,8 @@ class FactoredMatrix(Matrix):
         value = dot(F.col("_own_r"), F.col("_own_s")) if self.own else F.lit(0.0)
         for q, k in enumerate(self.links):
             block = k.block.wide() if isinstance(k.block, Coo) else k.block
-            packed = block.df.select(F.col(f"`{block.key}`").alias("_t"), F.array(*[F.col(f"`{c}`") for c in block.names]).alias("_x"))
+            used = self.rows.select(F.col(f"`{k.column}`").alias("_t")).distinct()
+            packed = block.df.select(F.col(f"`{block.key}`").alias("_t"), F.array(*[F.col(f"`{c}`") for c in block.names]).alias("_x")).join(used, "_t", "left_semi")
             small = packed.alias("a").crossJoin(packed.alias("b")).select(F.col("a._t").alias(f"_ta{q}"), F.col("b._t").alias(f"_tb{q}"), dot(F.col("a._x"), F.col("b._x")).alias(f"_g{q}"))
             pairs = pairs.join(small, (F.col(f"_l{q}_r") == F.col(f"_ta{q}")) & (F.col(f"_l{q}_s") == F.col(f"_tb{q}")))
             value = value + F.col(f"_g{q}")

@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from foldstar import algos, cost, planner
 from foldstar.double import cross
 from foldstar.matrix import RowMatrix
-from foldstar.workloads import FIXTURES, LINE4, PART2, SCALED, SCALED_PART, TARGETS, Fixture, keyed
+from foldstar.workloads import FIXTURES, TARGETS, Fixture, emb, keyed, self_join, thinned
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLES: dict[str, str] = {}
@@ -188,6 +188,29 @@ def _linear_algebra() -> None:
     add("ginv_penrose_k1min", penrose, "SELECT unnest(['t p t', 'p t p', 'symmetric']) AS condition, unnest([0.0, 0.0, 0.0])::DOUBLE AS residual")
 
 
+def _sweeps() -> None:
+    """The sweeps over tuple ratio and join-domain size on the given tables."""
+    k1 = FIXTURES["k1"]
+    names = list(k1.features)
+    cells = [(a, b) for i, a in enumerate(names) for b in names[i:]]
+    for m in (1, 5, 15):
+        thin = Fixture(k1.build, k1.ids, k1.features, k1.tables + f" WHERE (7 * l_orderkey + 11 * l_suppkey + l_linenumber) % 30 < {m}")
+        add(f"gram_thin{m}_k1", lambda s, d, m=m: upper(s, names, thinned(s, d, m).gram()), sql_pairs(thin, cells, lambda a, b: f"sum({a} * {b})"))
+    for n_u in (5, 50, 250):
+        own = emb(8, duck=True)
+        cols = [f"a_{n}" for n in own] + [f"b_{n}" for n in own]
+        side = lambda p: "(SELECT vec_id % {} AS j{}, {} FROM embeddings)".format(n_u, p, ", ".join(f"{e} AS {p}_{n}" for n, e in own.items()))  # noqa: B023, E731
+        pairs = [(a, b) for i, a in enumerate(cols) for b in cols[i:]]
+        sql = f"WITH t AS (SELECT * FROM {side('a')} JOIN {side('b')} ON ja = jb) SELECT unnest({_list(repr(a) for a, _ in pairs)}) AS i, unnest({_list(repr(b) for _, b in pairs)}) AS j, unnest({_list(f'sum({a} * {b})' for a, b in pairs)}) AS value FROM t"
+        add(f"gram_self_join_{n_u}", lambda s, d, n=n_u, cols=cols: upper(s, cols, self_join(s, d, n, 8).gram()), sql)
+    for kind in ("min", "max"):
+        word = {"min": "least", "max": "greatest"}[kind]
+        add(f"col_{kind}_k1", lambda s, d, k=kind: vector(s, names, k1.build(s, d).col_extreme(k)), sql_vector(k1, lambda n, k=kind: f"{k}({n})"))
+        add(f"row_{kind}_k1", lambda s, d, k=kind: keyed_rows(k1, k1.build(s, d).row_extreme(k)), f"WITH t AS ({k1.sql()}) SELECT {sql_ids(k1)}, {word}({', '.join(names)}) AS value FROM t")
+    d2 = FIXTURES["d2"]
+    add("col_sums_two_roles_d2", lambda s, d: vector(s, d2.features, d2.build(s, d).col_sums()), sql_vector(d2, lambda n: f"sum({n})"))
+
+
 def _gd_sql(fx: Fixture, iters: int, residual: str, step: str) -> str:
     """Gradient rounds as a chain of one-row tables: w, gradient, next w."""
     names = list(fx.features)
@@ -328,5 +351,6 @@ def _measures() -> None:
 
 
 _linear_algebra()
+_sweeps()
 _learning()
 _measures()
