@@ -88,4 +88,4 @@ def limit(op: str, tuple_ratio: float, feature_ratio: float, of: str) -> float:
 
 def invertible_possible(tuple_ratio: float, feature_ratio: float) -> bool:
     """A square T can only be invertible if the tuple ratio is at most 1 / feature ratio + 1."""
-    return tuple_ratio <= (1 / feature_ratio if feature_ratio else float("inf")) + 1
+    return tuple_ratio <= ((1 / feature_ratio if feature_ratio else float("inf")) + 1) * (1 + 1e-12)
