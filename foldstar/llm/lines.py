@@ -7,6 +7,10 @@ common prefix has `min_lines` lines or more form an interval, which is a rank sh
 suffixes; its members start copies of one repeated run. The first copy, by (key, place), stays; the
 lines of later copies are deleted. Windows that overlap make up the maximal runs.
 
+With `single_words` a run of one line counts too if it has that many words or more: later copies of such
+a line go wherever they stand. Shorter lines go only inside longer runs, which protects headings, list
+marks and the like. Copies are found over all data.
+
 Ranks are counted over distinct keys (aggregated map-side), so a line that a third of all rows hold
 is one row there; suffixes whose rank nobody shares leave after each step. Joins back to suffixes are
 plain equi-joins that Spark may split at hot keys.
@@ -25,6 +29,8 @@ from pyspark.sql import functions as F
 from foldstar.llm.shared import filtered, partitions, stored, table
 
 MIN_LINES = 2
+#: Words from which a repeated line alone is a run (op4_line_dedup_singles).
+SINGLE_WORDS = 5
 
 
 def _split(text) -> F.Column:
@@ -35,10 +41,10 @@ def _worded(line) -> F.Column:
     return line.rlike(r"[^ \t-\r]")
 
 
-def suffixes(docs: DataFrame, key: str, text: str) -> DataFrame:
-    """Columns _k, _r (digest of the text), n (place among lines with a word), i (place among all), d1, d2."""
+def suffixes(docs: DataFrame, key: str, text: str, words: int = 1) -> DataFrame:
+    """Columns _k, _r (digest of the text), n (place among lines of `words` words or more), i (place among all), d1, d2."""
     t = F.col(f"`{text}`")
-    filled = F.filter(F.transform(_split(t), lambda x, i: F.struct(i.alias("i"), x.alias("x"))), lambda s: _worded(s["x"]))
+    filled = F.filter(F.transform(_split(t), lambda x, i: F.struct(i.alias("i"), x.alias("x"))), lambda s: _worded(s["x"]) if words == 1 else _long(s["x"], words))
     rows = docs.where(F.col(f"`{key}`").isNotNull() & t.isNotNull()).select(F.col(f"`{key}`").alias("_k"), F.xxhash64(t).alias("_r"), F.posexplode(filled).alias("n", "s"))
     return rows.select("_k", "_r", "n", F.col("s.i").alias("i"), F.xxhash64("s.x").alias("d1"), F.xxhash64("s.x", F.lit(1)).alias("d2"))
 
@@ -68,7 +74,20 @@ def shared_suffixes(docs: DataFrame, key: str = "doc_id", text: str = "text", mi
     return now
 
 
-def _deleted(docs: DataFrame, key: str, text: str, min_lines: int) -> DataFrame:
+def _long(line, n: int) -> F.Column:
+    """Whether a line has `n` words or more."""
+    return line.rlike(rf"^[ \t-\r]*(?:[^ \t-\r]+[ \t-\r]+){{{n - 1}}}[^ \t-\r]")
+
+
+def _singles(docs: DataFrame, key: str, text: str, words: int) -> DataFrame:
+    """Columns _k, _r, i: later copies of lines of `words` words or more, wherever they stand."""
+    lines = suffixes(docs, key, text, words).select("_k", "_r", "i", "d1", "d2")
+    place = F.struct("_k", "_r", "i")
+    copied = lines.groupBy("d1", "d2").agg(F.count("*").alias("c"), F.min(place).alias("first")).where("c > 1").drop("c")
+    return lines.join(stored(copied, "line-copies"), ["d1", "d2"]).where(place != F.col("first")).select("_k", "_r", "i")
+
+
+def _deleted(docs: DataFrame, key: str, text: str, min_lines: int, single_words: int | None = None) -> DataFrame:
     """Columns _k, _r, gone: places among all lines of the lines to delete."""
     shared = shared_suffixes(docs, key, text, min_lines)
     start = F.struct("_k", "_r", "n")
@@ -79,13 +98,16 @@ def _deleted(docs: DataFrame, key: str, text: str, min_lines: int) -> DataFrame:
         where = suffixes(docs, key, text).join(later.select("_k", "_r").distinct(), ["_k", "_r"], "left_semi").select("_k", "_r", "n", "i").distinct()
     else:
         where = shared.select("_k", "_r", "n", "i")
-    return covered.join(where, ["_k", "_r", "n"]).groupBy("_k", "_r").agg(F.collect_list("i").alias("gone"))
+    places = covered.join(where, ["_k", "_r", "n"]).select("_k", "_r", "i")
+    if single_words is None:
+        return places.groupBy("_k", "_r").agg(F.collect_list("i").alias("gone"))
+    return places.unionByName(_singles(docs, key, text, single_words)).groupBy("_k", "_r").agg(F.collect_set("i").alias("gone"))
 
 
-def _judged(docs: DataFrame, key: str, text: str, min_lines: int) -> DataFrame:
+def _judged(docs: DataFrame, key: str, text: str, min_lines: int, single_words: int | None = None) -> DataFrame:
     """_row (all columns of `docs`), _kept (text without deleted lines), _n and _gone (counts of lines with a word)."""
     t = F.col(f"`{text}`")
-    gone = stored(_deleted(docs, key, text, min_lines), "deleted-lines")
+    gone = stored(_deleted(docs, key, text, min_lines, single_words), "deleted-lines")
     others = [F.col(f"`{c}`") for c in docs.columns if c != text]
     source = docs.select(F.struct(*others, F.lit(0).alias("_fill")).alias("_row"), F.col(f"`{key}`").alias("_k"), F.xxhash64(t).alias("_r"), t.alias("_t"))
     # a merge join at every size: `gone` grows with the corpus, so it is never broadcast
@@ -96,15 +118,15 @@ def _judged(docs: DataFrame, key: str, text: str, min_lines: int) -> DataFrame:
     return met.select("_row", kept.alias("_kept"), F.when(F.col("_t").isNull(), F.lit(0).cast("long")).otherwise(n).alias("_n"), F.when(F.col("gone").isNull(), 0).otherwise(F.size("gone")).cast("long").alias("_gone"))
 
 
-def summary(docs: DataFrame, key: str = "doc_id", text: str = "text", min_lines: int = MIN_LINES) -> DataFrame:
+def summary(docs: DataFrame, key: str = "doc_id", text: str = "text", min_lines: int = MIN_LINES, single_words: int | None = None) -> DataFrame:
     """Per row: key, n_lines, n_removed (lines with a word), kept_sha256 of the text that stays (null: null)."""
-    j = _judged(docs, key, text, min_lines)
+    j = _judged(docs, key, text, min_lines, single_words)
     return j.select(F.col("_row").getField(key).alias(key), F.col("_n").alias("n_lines"), F.col("_gone").alias("n_removed"), F.sha2(F.encode("_kept", "UTF-8"), 256).alias("kept_sha256"))
 
 
-def deduped(docs: DataFrame, key: str = "doc_id", text: str = "text", min_lines: int = MIN_LINES) -> DataFrame:
+def deduped(docs: DataFrame, key: str = "doc_id", text: str = "text", min_lines: int = MIN_LINES, single_words: int | None = None) -> DataFrame:
     """`docs` without the lines of later copies; rows that lose every line with a word go."""
-    j = filtered(_judged(docs, key, text, min_lines), (F.col("_gone") == 0) | (F.col("_gone") < F.col("_n")))
+    j = filtered(_judged(docs, key, text, min_lines, single_words), (F.col("_gone") == 0) | (F.col("_gone") < F.col("_n")))
     return j.select(*[F.col("_kept").alias(c) if c == text else F.col("_row").getField(c).alias(c) for c in docs.columns])
 
 
@@ -125,3 +147,16 @@ ng AS (SELECT doc_id, count(*) AS n FROM gi GROUP BY doc_id)
 SELECT d.doc_id, coalesce(nf.n, 0)::BIGINT AS n_lines, coalesce(ng.n, 0)::BIGINT AS n_removed,
        CASE WHEN d.text IS NOT NULL THEN sha256(coalesce(stay.t, '')) END AS kept_sha256
 FROM documents d LEFT JOIN stay USING (doc_id) LEFT JOIN nf USING (doc_id) LEFT JOIN ng USING (doc_id)"""
+
+
+def op4_line_dedup_singles(spark, sf_dir: str) -> DataFrame:
+    """op4_line_dedup that also deletes later copies of single lines of SINGLE_WORDS words or more."""
+    return summary(table(spark, sf_dir, "documents").select("doc_id", "text"), single_words=SINGLE_WORDS)
+
+
+OP4_SINGLES_SQL = OP4_SQL.replace(
+    "gone AS (SELECT DISTINCT",
+    rf"""one AS (SELECT doc_id, n FROM (SELECT *, row_number() OVER (PARTITION BY x ORDER BY doc_id, n) AS c FROM f
+    WHERE regexp_matches(x, '^[ \t-\r]*([^ \t-\r]+[ \t-\r]+){{{SINGLE_WORDS - 1}}}[^ \t-\r]')) WHERE c > 1),
+gone AS (SELECT doc_id, n FROM one UNION SELECT""",
+)
