@@ -1,6 +1,6 @@
 """Queries and SQL of this subpackage, for the driver's entry module."""
 
-from foldstar.llm import bpe, language, licences, lines, packing, quality, simhash, substrings, token_counts, vectors
+from foldstar.llm import bpe, language, licences, lines, packing, quality, similar, simhash, substrings, token_counts, vectors
 
 QUERIES = {
     "op1_token_counts": token_counts.op1_token_counts,
@@ -10,6 +10,7 @@ QUERIES = {
     "op4_line_dedup_singles": lines.op4_line_dedup_singles,
     "op5_quality_rules": quality.op5_quality_rules,
     "op6_simhash": simhash.op6_simhash,
+    "op6_similar": similar.op6_similar,
     "op7_packing": packing.op7_packing,
     "op8_substrings": substrings.op8_substrings,
     "op9_byte_bpe": bpe.op9_byte_bpe,

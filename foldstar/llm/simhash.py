@@ -35,20 +35,26 @@ _BIT = np.uint64(1) << np.arange(64, dtype=np.uint64)
 _CHUNK = 1 << 18
 
 
-def fingerprint(text: str | None, shingle: int = 3) -> int:
-    """Signed 64-bit SimHash of a text's word shingles, repeats included."""
+def hashes(text: str | None, shingle: int) -> np.ndarray:
+    """64-bit hashes of a text's word shingles, repeats included; no word: none."""
     w = (text or "").encode("utf-8", "replace").lower().split()
     if not w:
-        return 0
+        return np.empty(0, dtype=np.uint64)
     joined = b" ".join(w)
     if len(w) <= shingle:
-        h = np.array([xxhash.xxh64_intdigest(joined, SEED)], dtype=np.uint64)
-    else:
-        ends = np.cumsum(np.fromiter(map(len, w), dtype=np.int64, count=len(w)) + 1) - 1
-        starts = np.concatenate([[0], ends[:-1] + 1])
-        digest = xxhash.xxh64_intdigest
-        n = len(w) - shingle + 1
-        h = np.fromiter((digest(joined[a:b], SEED) for a, b in zip(starts[:n].tolist(), ends[shingle - 1 :].tolist())), dtype=np.uint64, count=n)
+        return np.array([xxhash.xxh64_intdigest(joined, SEED)], dtype=np.uint64)
+    ends = np.cumsum(np.fromiter(map(len, w), dtype=np.int64, count=len(w)) + 1) - 1
+    starts = np.concatenate([[0], ends[:-1] + 1])
+    digest = xxhash.xxh64_intdigest
+    n = len(w) - shingle + 1
+    return np.fromiter((digest(joined[a:b], SEED) for a, b in zip(starts[:n].tolist(), ends[shingle - 1 :].tolist())), dtype=np.uint64, count=n)
+
+
+def fingerprint(text: str | None, shingle: int = 3) -> int:
+    """Signed 64-bit SimHash of a text's word shingles, repeats included."""
+    h = hashes(text, shingle)
+    if not len(h):
+        return 0
     ones = np.zeros(64, dtype=np.int64)
     for s in range(0, len(h), _CHUNK):
         lanes = _LANES[h[s : s + _CHUNK].view(np.uint8).reshape(-1, 8)]
