@@ -456,6 +456,25 @@ class FactoredMatrix(Matrix):
             value = value + F.col(f"_g{q}")
         return pairs.select("r", "s", value.alias("value"))
 
+    def kernel_blocks(self, on: str, of, schema: str, block: int = 2000) -> DataFrame:
+        """Every block of T T^T, of `block` rows by `block` rows about: the frames of of(ids, ids, values).
+
+        For any number of rows: a block is bounded and never stored, and what stays is what `of` returns. The
+        work is the square of the rows all the same. `on` is a row id (long).
+        """
+        t = self.materialize().frame.select(F.col(f"`{on}`").cast("long").alias("id"), F.array(*[F.col(f"`{c}`").cast("double") for c in self.names]).alias("x"))
+        n = max(1, -(-self.n_rows() // block))
+        packed = t.groupBy(F.pmod(F.xxhash64("id"), F.lit(n)).alias("p")).agg(F.collect_list(F.struct("id", "x")).alias("rows"))
+        side = lambda s: packed.select(F.col("p").alias(f"p{s}"), F.col("rows")["id"].alias(f"id{s}"), F.flatten(F.col("rows")["x"]).alias(f"x{s}"))
+
+        def run(frames):
+            for f in frames:
+                for a, x, b, y in zip(f["ida"], f["xa"], f["idb"], f["xb"]):
+                    x, y = np.asarray(x).reshape(len(a), -1), np.asarray(y).reshape(len(b), -1)
+                    yield of(np.asarray(a), np.asarray(b), x @ y.T)
+
+        return side("a").crossJoin(side("b")).select("ida", "xa", "idb", "xb").mapInPandas(run, schema)
+
     def elementwise(self, x: DataFrame, on: str, op) -> DataFrame:
         """T op X for a regular matrix keyed by a row id: nothing to factor, so the joined table is used."""
         t = self.materialize().frame

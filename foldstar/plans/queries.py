@@ -148,6 +148,17 @@ def _linear_algebra() -> None:
     dots = " + ".join(f"a.{n} * b.{n}" for n in oc.features)
     add("kernel_rows_oc", kernel, f"WITH t AS (SELECT * FROM ({oc.sql()}) WHERE o_orderkey < 60) SELECT {dots} AS value, count(*) AS n FROM t a JOIN t b ON a.o_orderkey <= b.o_orderkey GROUP BY 1")
 
+    def kernel_all(s, d):
+        def ends(a, b, g):
+            import pandas as pd
+
+            return pd.DataFrame({"o_orderkey": a, "n": len(b), "smallest": g.min(axis=1), "largest": g.max(axis=1)})
+
+        parts = oc.build(s, d).kernel_blocks("o_orderkey", ends, "o_orderkey long, n long, smallest double, largest double")
+        return parts.groupBy("o_orderkey").agg(F.sum("n").alias("n"), (F.min("smallest") + 0.0).alias("smallest"), (F.max("largest") + 0.0).alias("largest"))
+
+    add("kernel_all_rows_oc", kernel_all, f"WITH t AS ({oc.sql()}) SELECT a.o_orderkey::BIGINT AS o_orderkey, count(*) AS n, min({dots})::DOUBLE AS smallest, max({dots})::DOUBLE AS largest FROM t a, t b GROUP BY 1")
+
     # element-wise operators, reduced by column sums
     E = {
         "scalar_add": (lambda t: t + 2, "{0} + 2"), "scalar_rsub": (lambda t: 2 - t, "2 - {0}"), "scalar_sub": (lambda t: t - 3, "{0} - 3"), "scalar_mul": (lambda t: 3 * t, "3 * {0}"),
@@ -177,6 +188,13 @@ def _linear_algebra() -> None:
 
     add("elementwise_matrix_k1min", elementwise, f"WITH t AS ({fx1.sql()}) SELECT {', '.join(f'sum({n} * (l_orderkey % 5 + 1)) AS {n}' for n in n1)} FROM t WHERE l_orderkey < 500")
 
+    def elementwise_all(s, d):
+        t = fx1.build(s, d)
+        x = t.rows.select("l_orderkey").distinct().select("l_orderkey", *[(F.col("l_orderkey") % 5 + 1.0).alias(n) for n in n1])
+        return t.elementwise(x, "l_orderkey", lambda a, b: a * b).agg(*[F.sum(n).alias(n) for n in n1])
+
+    add("elementwise_matrix_all_k1min", elementwise_all, ORACLES["elementwise_matrix_k1min"].replace(" WHERE l_orderkey < 500", ""))
+
     def penrose(s, d):
         t = fx1.build(s, d)
         g = t.gram()
