@@ -283,6 +283,28 @@ def gram_sparse_documents(s, d):
     return upper(s, t.names, t.gram())
 
 
+def gram_sparse_text_documents(s, d):
+    """The long Gram of labels (0: quality, 1: toxic) and documents (2 to 25: language, source; then 2**12 hashed words)."""
+    from foldstar.schema import FeatureSpec
+
+    docs = read(s, d, "documents").select("doc_id", "lang", "source", "text")
+    coo = FeatureSpec(onehot={"lang": ["de", "en", "es", "fr"], "source": [f"src{i}" for i in range(20)]}, hashed=["text"]).coo(docs, "doc_id")
+    labels = read(s, d, "labels").join(docs.select("doc_id"), "doc_id", "left_semi")
+    own = [F.col(n).cast("double").alias(n) for n in ("quality", "toxic")]
+    sums = labels.select("doc_id", *own).groupBy("doc_id").agg(F.count("*").alias("_hits"), *[F.sum(n).alias(n) for n in ("quality", "toxic")])
+    inner = coo.gram_long(sums.select("doc_id", "_hits"), "doc_id").select((F.col("i") + 2).alias("i"), (F.col("j") + 2).alias("j"), "value")
+    cell = F.explode(F.array(*[F.struct(F.lit(i).alias("i"), F.col(n).alias("u")) for i, n in enumerate(("quality", "toxic"))])).alias("c")
+    met = sums.select("doc_id", cell).select("doc_id", "c.*").where("u <> 0").join(coo.df, "doc_id")
+    mixed = met.groupBy("i", (F.col("col") + 2).alias("j")).agg(F.sum(F.col("u") * F.col("val")).alias("value"))
+    q, t = F.col("quality").cast("double"), F.col("toxic").cast("double")
+    squares = labels.select(F.explode(F.array(*[F.struct(F.lit(i).alias("i"), F.lit(j).alias("j"), v.alias("v")) for i, j, v in ((0, 0, q * q), (0, 1, q * t), (1, 1, t * t))])).alias("c")).select("c.*").where("v <> 0")
+    return inner.unionByName(mixed).unionByName(squares.groupBy("i", "j").agg(F.sum("v").alias("value"))).select(F.col("i").cast("int").alias("i"), F.col("j").cast("int").alias("j"), "value")
+
+
+#: Without SQL, which is too slow for all pairs of 2**12 columns: brute force on a small fixture instead.
+LONG = {"gram_sparse_text_documents": gram_sparse_text_documents}
+
+
 @query("SELECT conv_id, count(*) AS turns, avg(length(text)) AS mean_chars, avg((role = 'user')::INT) AS user_share FROM conversations GROUP BY 1")
 def conversation_profile(s, d):
     return read(s, d, "conversations").groupBy("conv_id").agg(F.count("*").alias("turns"), F.avg(F.length("text")).alias("mean_chars"), F.avg((F.col("role") == "user").cast("int")).alias("user_share"))
