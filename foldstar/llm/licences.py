@@ -1,7 +1,8 @@
 """Licence scan: normalised text against licence templates by the Dice coefficient of word bigrams.
 
-A text is read in units: each line, each paragraph (lines between blank lines), and the whole text.
-A unit's words are its lower-cased runs of letters, digits and plus signs. With a and b distinct
+The licence of a text is that of its best run of words, wherever it begins and ends (`Scanner.window`);
+lines, paragraphs and the whole text are such runs (`Scanner.text` compares these units only). A line
+counts in n_lines if it matches on its own. A unit's words are its lower-cased runs of letters, digits and plus signs. With a and b distinct
 bigrams and c in common, Dice is 2c / (a + b); since c <= min(a, b), a unit can reach the threshold t
 only for templates with t / (2 - t) <= a / b <= (2 - t) / t. Units out of every template's bounds are
 left after a count of words; the rest meet only templates within bounds that share a bigram.
@@ -107,6 +108,51 @@ class Scanner:
                     best = (d, i)
         return best
 
+    def window(self, text: str | None) -> tuple[float, int] | None:
+        """Best (Dice, template) of any run of words of a text at or above the threshold.
+
+        A best run begins and ends with a bigram of the template, and its first bigram does not come again in
+        it: leaving such ends out never lowers Dice. So runs start at shared bigrams and grow until their
+        distinct bigrams pass the upper bound or the first one comes again: linear in the text.
+        """
+        w = _WORD((text or "").lower())
+        if len(w) - 1 < self.least or self.first.isdisjoint(w):
+            return None
+        grams = list(zip(w, w[1:]))
+        at: dict[int, list[int]] = {}
+        for p, x in enumerate(grams):
+            for i in self.by_gram.get(x, ()):
+                at.setdefault(i, []).append(p)
+        best = None
+        for i in sorted(at):
+            lo, hi = self.bounds[i]
+            if len({grams[p] for p in at[i]}) < lo:  # c <= a: fewer in common cannot reach the threshold
+                continue
+            own = set(at[i])
+            for p in at[i]:
+                seen, c = set(), 0
+                for q in range(p, len(grams)):
+                    x = grams[q]
+                    if x in seen:
+                        if x == grams[p]:
+                            break
+                        continue
+                    seen.add(x)
+                    if len(seen) > hi:
+                        break
+                    if q in own:
+                        c += 1
+                        d = 2 * c / (len(seen) + self.sizes[i])
+                        if d >= self.threshold and (best is None or d > best[0]):
+                            best = (d, i)
+        return best
+
+    def whole(self, text: str | None) -> tuple[str | None, float, int]:
+        """Licence and Dice of the best run of words, and number of lines that match on their own."""
+        best = self.window(text)
+        n = sum(self.unit(x) is not None for x in text.split("\n")) if best else 0
+        return (None, 0.0, n) if best is None else (self.names[best[1]], best[0], n)
+
     def text(self, text: str | None) -> tuple[str | None, float, int]:
         """Licence, Dice and number of lines that match, for a whole text."""
         best, n = None, 0
@@ -143,7 +189,7 @@ def scan(docs: DataFrame, key: str = "doc_id", text: str = "text", templates=TEM
     @F.pandas_udf("licence string, dice double, n_lines long")
     def judged(texts: pd.Series) -> pd.DataFrame:
         scanner = Scanner(templates, threshold)
-        return pd.DataFrame([scanner.text(t) for t in texts], columns=["licence", "dice", "n_lines"])
+        return pd.DataFrame([scanner.whole(t) for t in texts], columns=["licence", "dice", "n_lines"])
 
     return docs.select(F.col(f"`{key}`"), judged(F.col(f"`{text}`")).alias("_s")).select(F.col(f"`{key}`"), "_s.*")
 
