@@ -7,7 +7,6 @@ QUERIES = {
     "op2_language": language.op2_language,
     "op3_vectors": vectors.op3_vectors,
     "op4_line_dedup": lines.op4_line_dedup,
-    "op4_line_dedup_singles": lines.op4_line_dedup_singles,
     "op5_quality_rules": quality.op5_quality_rules,
     "op6_simhash": simhash.op6_simhash,
     "op6_similar": similar.op6_similar,
@@ -19,7 +18,6 @@ QUERIES = {
 ORACLES = {
     "op3_vectors": vectors.OP3_SQL,
     "op4_line_dedup": lines.OP4_SQL,
-    "op4_line_dedup_singles": lines.OP4_SINGLES_SQL,
     "op5_quality_rules": quality.OP5_SQL,
     "op8_substrings": substrings.OP8_SQL,
 }

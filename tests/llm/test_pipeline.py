@@ -1,6 +1,7 @@
 import corpus_pipeline as C
 from foldstar.llm.shared import stored
-from tests.llm.test_lines import brute as lines_brute
+from foldstar.llm.lines import SINGLE_WORDS
+from tests.llm.test_line_singles import brute as lines_brute
 from tests.llm.test_packing import check
 from tests.llm.test_simhash import brute as simhash_brute
 from tests.llm.test_simhash import slow_print
@@ -27,7 +28,7 @@ def test_stages_against_brute_force(spark):
     kept = stored(stages["line dedup"](spark, good, SF), "test")
     assert kept.columns == docs.columns
     texts2 = as_dict(kept)
-    assert texts2 == {k: t for k, (a, b, t) in lines_brute(texts, 2).items() if b == 0 or b < a}
+    assert texts2 == {k: t for k, (a, b, t) in lines_brute(texts, SINGLE_WORDS).items() if b == 0 or b < a}
     assert all(r["n_chars"] == len(r["text"]) for r in kept.collect())
     near = stored(stages["near-dedup"](spark, kept, SF), "test")
     assert near.columns == docs.columns
