@@ -19,13 +19,15 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 def shared_dir(spark: SparkSession) -> str:
     """The folder that driver and executors share: spark.checkpoint.dir of the session.
 
-    Only where the setting is absent (tests on one machine) a temporary folder is made.
+    Where the setting is absent a temporary folder is made, but only on one machine; a cluster needs the setting.
     """
     sc = spark.sparkContext
     path = spark.conf.get("spark.checkpoint.dir", None) or sc.getConf().get("spark.checkpoint.dir")
     if not path:
         path = getattr(sc, "_foldstar_dir", None)
         if path is None:
+            if not sc.master.startswith("local"):
+                raise RuntimeError("set spark.checkpoint.dir to storage that driver and executors share")
             path = sc._foldstar_dir = tempfile.mkdtemp(prefix="foldstar-")
     if not sc._jsc.sc().getCheckpointDir().isDefined():
         sc.setCheckpointDir(path)
@@ -82,7 +84,10 @@ def filtered(df: DataFrame, condition) -> DataFrame:
     A plain filter is pushed below the projections it reads and repeats their expressions there; a
     column that is not deterministic keeps it above.
     """
-    return df.withColumn("_at", F.spark_partition_id()).where(condition & (F.col("_at") >= 0)).drop("_at")
+    at = "_at"
+    while at in df.columns:
+        at += "_"
+    return df.withColumn(at, F.spark_partition_id()).where(condition & (F.col(at) >= 0)).drop(at)
 
 
 def partitions(df: DataFrame, factor: int = 1) -> int:

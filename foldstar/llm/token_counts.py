@@ -5,8 +5,9 @@ Digests that the cache lacks are encoded once each, whatever the number of docum
 them, and appended; every document then gets its count from the cache by a join.
 
 Normalised content: texts that the tokenizer provably counts alike share a digest. For a tokenizer
-that lower-cases and drops white space these are ASCII texts without `<|` that are equal after
-lower-casing and squeezing white space; all others stand for themselves.
+that lower-cases and drops white space, as its file states (`drops_space`), these are ASCII texts
+without `<|` that are equal after lower-casing and squeezing white space; all others, and all texts
+of any other tokenizer, stand for themselves and are encoded whole by the library.
 
 Only one document of each missing digest carries its text through a shuffle, keyed by the document,
 so a group of copies of any size is one row there; the cache side of the last join has one row per
@@ -19,6 +20,7 @@ give repeated rows; an empty table gives no rows; extra columns are not read; a
 from __future__ import annotations
 
 import hashlib
+import json
 import os
 from pathlib import Path
 
@@ -32,14 +34,46 @@ from foldstar.llm.shared import ship, stored, table, work_path
 CACHE_SCHEMA = "digest binary, tokenizer string, n_tokens long"
 
 
+#: All white space of Unicode.
+SPACES = "\t\n\x0b\x0c\r \x85\xa0\u1680\u2000\u2001\u2002\u2003\u2004\u2005\u2006\u2007\u2008\u2009\u200a\u2028\u2029\u202f\u205f\u3000"
+
+
+def drops_space(path: str) -> bool:
+    """Whether a tokenizer file lower-cases, and cuts texts at white space and drops it.
+
+    The first pre-tokenizer must split at white space by its type, or keep only what matches a pattern; the
+    pattern is tried on every white space character, alone and inside words.
+    """
+    spec = json.loads(Path(path).read_text())
+
+    def steps(part, list_name):
+        return [] if part is None else [x for p in part[list_name] for x in steps(p, list_name)] if list_name in part else [part]
+
+    normal, cuts = steps(spec.get("normalizer"), "normalizers"), steps(spec.get("pre_tokenizer"), "pretokenizers")
+    lowers = any(n["type"] == "Lowercase" or n["type"] == "BertNormalizer" and n.get("lowercase") for n in normal)
+    squeezes = [n["type"] == "Replace" and n.get("pattern") == {"Regex": "\\s+"} and n.get("content") == " " for n in normal]
+    plain = {"Lowercase", "BertNormalizer", "NFC", "NFD", "NFKC", "NFKD", "StripAccents"}
+    if not lowers or not cuts or not all(q or n["type"] in plain for q, n in zip(squeezes, normal)):
+        return False
+    first = cuts[0]
+    if first["type"] != "Split":
+        return first["type"] in {"BertPreTokenizer", "Whitespace", "WhitespaceSplit"}
+    if first["behavior"] != "Removed" or not first["invert"] or "Regex" not in first["pattern"]:
+        return False
+    kept = regex.compile(first["pattern"]["Regex"])
+    trials = [t for c in SPACES for t in (c, c * 3, f"a{c}b", f"1{c}2", f"'{c}s", f"!{c}?", f"a{c}'s{c}1")]
+    return not any(set(m) & set(SPACES) for t in trials for m in kept.findall(t))
+
+
 class PieceCounter:
     """Counts of whole texts from library counts of their pieces between spaces.
 
-    The tokenizer must drop white space and never join across it (as `drops_space` states), so a
-    text's count is the sum over its pieces. Piece counts are kept in two bounded generations.
+    Where the tokenizer drops white space and never joins across it (`drops_space`), a text's count is
+    the sum over its pieces; any other tokenizer gets whole texts. Piece counts are kept in two bounded generations.
     """
 
     def __init__(self, path: str, keep: int = 400_000):
+        self.pieces = drops_space(path)
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
@@ -49,7 +83,7 @@ class PieceCounter:
         self.plain = regex.compile(r"[\x00-\x1b\x20-\x7f¡-ɏ‐-‧‰-⁞₠-₿\s]*").fullmatch
 
     def counts(self, texts: list[str]) -> list[int]:
-        plain = [self.plain(t) is not None for t in texts]
+        plain = [self.pieces and self.plain(t) is not None for t in texts]
         split = [t.split(" ") if p else () for t, p in zip(texts, plain)]
         missing: set[str] = set()
         new, old = self.new, self.old
@@ -93,8 +127,9 @@ def normalised(text: Column) -> Column:
     return F.when(ascii_only, folded).otherwise(text)
 
 
-def digest(text: Column) -> Column:
-    return F.unhex(F.sha2(F.encode(normalised(text), "UTF-8"), 256))
+def digest(text: Column, folds: bool = True) -> Column:
+    """`folds`: whether texts that a lower-casing tokenizer without white space counts alike may share it."""
+    return F.unhex(F.sha2(F.encode(normalised(text) if folds else text, "UTF-8"), 256))
 
 
 def count_tokens(docs: DataFrame, path: str, cache: str | None = None, key: str = "doc_id", text: str = "text") -> DataFrame:
@@ -105,10 +140,10 @@ def count_tokens(docs: DataFrame, path: str, cache: str | None = None, key: str
     """
     spark = docs.sparkSession
     ship(spark)
-    version = tokenizer_version(path)
+    version, folds = tokenizer_version(path), drops_space(path)
     cache = cache or work_path(spark, "token-cache")
     body = F.coalesce(F.col(f"`{text}`"), F.lit(""))
-    keyed = stored(docs.select(F.col(f"`{key}`").alias("_k"), F.octet_length(body).cast("long").alias("n_bytes"), digest(body).alias("digest")), "token-digests")
+    keyed = stored(docs.select(F.col(f"`{key}`").alias("_k"), F.octet_length(body).cast("long").alias("n_bytes"), digest(body, folds).alias("digest")), "token-digests")
     jvm, conf = spark._jvm, spark._jsc.hadoopConfiguration()
     at = jvm.org.apache.hadoop.fs.Path(cache)
     exists = at.getFileSystem(conf).exists(at)
@@ -118,9 +153,9 @@ def count_tokens(docs: DataFrame, path: str, cache: str | None = None, key: str
         first = first.join(read().select("digest"), "digest", "left_anti")
     # the row that stands for a digest brings its text; null keys cannot join and are encoded apart
     source = docs.select(F.col(f"`{key}`").alias("_k"), body.alias("_text"))
-    misses = source.join(first.where("_k is not null"), "_k").where(digest(F.col("_text")) == F.col("digest")).select("digest", "_text")
+    misses = source.join(first.where("_k is not null"), "_k").where(digest(F.col("_text"), folds) == F.col("digest")).select("digest", "_text")
     lost = first.where("_k is null").select("digest")
-    bare = source.where("_k is null").select(digest(F.col("_text")).alias("digest"), "_text").join(lost, "digest", "left_semi")
+    bare = source.where("_k is null").select(digest(F.col("_text"), folds).alias("digest"), "_text").join(lost, "digest", "left_semi")
 
     def run(frames):
         counter = _counter(path)

@@ -44,3 +44,14 @@ def test_defined_cases_and_cache(spark, tmp_path):
     C.count_tokens(spark.createDataFrame([(1, "fresh")], "doc_id long, text string"), PATH, cache).collect()
     assert spark.read.parquet(cache).count() == n + 1
     assert C.count_tokens(df.limit(0), PATH).count() == 0
+
+
+def test_other_tokenizers_get_whole_texts(spark):
+    """A tokenizer that keeps case and white space may not share counts across them."""
+    path = P.path("byte_bpe_50k.json")
+    assert C.drops_space(PATH) and not C.drops_space(path)
+    tok = Tokenizer.from_file(path)
+    texts = ["Hello  World", "hello world", "hello\nworld ", "a  b", "A b", None, ""]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = {r["doc_id"]: r["n_tokens"] for r in C.count_tokens(df, path).collect()}
+    assert got == {i: len(tok.encode(t or "", add_special_tokens=False).ids) for i, t in enumerate(texts)}
