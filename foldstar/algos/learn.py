@@ -10,6 +10,7 @@ import numpy as np
 from pyspark.sql import functions as F
 
 from foldstar.dense import pinv
+from foldstar.lineage import cut
 
 
 def logistic_gd(t, y: str, w0=None, alpha: float = 1e-3, iters: int = 20, form: str = "margin") -> np.ndarray:
@@ -82,8 +83,7 @@ def kmeans(t, c0: np.ndarray, iters: int = 20, ties: str = "lowest", empty: str
             return [(first == j + 1).cast("double") for j in range(k)]
 
         assigned = scores.apply(near)
-        sums = here.T @ assigned
-        counts = assigned.col_sums()
+        sums, counts = here.folded(assigned, assigned.cols)
         with np.errstate(invalid="ignore", divide="ignore"):
             new = sums / counts
         c = np.where(counts > 0, new, c if empty == "keep" else np.nan)
@@ -93,9 +93,10 @@ def kmeans(t, c0: np.ndarray, iters: int = 20, ties: str = "lowest", empty: str
 def gnmf(t, w0: list, h0: np.ndarray, iters: int = 20, eps: float = 1e-12, save=None):
     """Multiplicative updates for T about W H^T. w0: r column expressions of the row frame; h0: d x r.
 
-    W lives beside the rows. `save(frame)` should write a frame and read it again, so that lineage
-    ends with each iteration; without it W is recomputed from the start each time.
+    W lives beside the rows. `save(frame)` writes a frame and reads it again, so that lineage ends with
+    each iteration (default: lineage.cut); only the columns of the row frame and W are written.
     """
+    save = save or cut
     h = np.asarray(h0, dtype=float)
     if h.min(initial=0) < 0:
         raise ValueError("factors must not be negative")
@@ -107,7 +108,12 @@ def gnmf(t, w0: list, h0: np.ndarray, iters: int = 20, eps: float = 1e-12, save=
     here = t.on(frame)
     for _ in range(iters):
         w = RowMatrix(here.row_frame(), cols, here)
-        h = h * (here.T @ w) / (h @ w.gram() + eps)
+        pairs = [(i, j) for i in range(r) for j in range(i, r)]
+        tw, ww = here.folded(w, [F.col(cols[i]) * F.col(cols[j]) for i, j in pairs])
+        g = np.zeros((r, r))
+        for (i, j), v in zip(pairs, ww):
+            g[i, j] = g[j, i] = v
+        h = h * tw / (h @ g + eps)
         hh = h.T @ h
         scores = here @ h
 
@@ -117,7 +123,7 @@ def gnmf(t, w0: list, h0: np.ndarray, iters: int = 20, eps: float = 1e-12, save=
 
         new = scores.apply(step)
         frame = new.frame.drop(*cols).withColumnsRenamed(dict(zip(new.cols, cols)))
-        frame = save(frame) if save else frame
+        frame = save(frame)
         here = here.on(frame)
     return RowMatrix(here.row_frame(), cols, here), h
 

@@ -13,6 +13,8 @@ FUNCTIONS = {
     "log": F.log, "exp": F.exp, "sin": F.sin, "cos": F.cos, "tanh": F.tanh, "sqrt": F.sqrt, "abs": F.abs, "sign": F.signum,
     "round": F.round, "floor": F.floor, "ceil": F.ceil, "sigmoid": lambda c: 1 / (1 + F.exp(-c)), "square": lambda c: c * c,
 }
+#: Rows that may come to the driver: those of a right factor, or of a matrix with no more rows than columns.
+SHORT_ROWS = 10_000
 ZERO_STAYS = {"sin", "tanh", "sqrt", "abs", "sign", "round", "floor", "ceil", "square"}
 
 
@@ -60,6 +62,10 @@ class RowMatrix:
     def gram(self) -> np.ndarray:
         return dense.products(self.frame, self.cols)
 
+    @property
+    def T(self) -> Flipped:  # noqa: N802
+        return Flipped(self)
+
     def persist(self) -> RowMatrix:
         self.frame.persist()
         return self
@@ -68,6 +74,20 @@ class RowMatrix:
         self.frame.unpersist()
 
 
+class Flipped:
+    """The m x n transpose of n x m values: a flag, the values stay beside their rows."""
+
+    def __init__(self, of: RowMatrix):
+        self.of = of
+
+    @property
+    def T(self) -> RowMatrix:  # noqa: N802
+        return self.of
+
+    def __matmul__(self, t: Matrix) -> np.ndarray:
+        return t.folded(self.of).T
+
+
 class Matrix:
     """Operator overloads shared by the joined and the factored representation.
 
@@ -76,6 +96,7 @@ class Matrix:
     """
 
     names: list[str]
+    __array_ufunc__ = None  # numpy leaves its operators to the ones below
 
     @property
     def d(self) -> int:
@@ -94,11 +115,15 @@ class Matrix:
         return self.map("exp")
 
     def __add__(self, x):
+        if isinstance(x, Matrix):
+            return self.plus(x)
         return self.mapped(lambda c: c + F.lit(x), x == 0)
 
     __radd__ = __add__
 
     def __sub__(self, x):
+        if isinstance(x, Matrix):
+            return self.plus(-1 * x)
         return self.mapped(lambda c: c - F.lit(x), x == 0)
 
     def __rsub__(self, x):
@@ -138,9 +163,16 @@ class Matrix:
             return product(self, x)
         return self.scored(_columns(x, self.d))
 
-    def __rmatmul__(self, x: RowMatrix) -> np.ndarray:
-        """x^T T for n x m values x given in this matrix's row space, as m x d."""
-        return self.folded(x).T
+    def __rmatmul__(self, x) -> np.ndarray:
+        """X T as m x d: for n x m values in this matrix's row space X is their transpose; an array X (m x n) needs `_row`."""
+        if isinstance(x, RowMatrix):
+            return self.folded(x).T
+        x = np.atleast_2d(np.asarray(x, dtype=float))
+        if x.shape[1] > SHORT_ROWS:
+            raise ValueError(f"an array of {x.shape[1]} columns; give longer ones as values beside the rows")
+        frame, names = self.row_frame(), [f"_v{i}" for i in range(x.shape[0])]
+        made = frame.sparkSession.createDataFrame([(i, *map(float, c)) for i, c in enumerate(x.T)], "_at long, " + ", ".join(f"{n} double" for n in names))
+        return self.folded(RowMatrix(frame.join(made, F.col("_row") == F.col("_at")).drop("_at"), names, self)).T
 
     @property
     def T(self):  # noqa: N802
@@ -169,8 +201,13 @@ class Matrix:
         w, v = np.linalg.eigh(self.cov())
         return w[::-1][:k], v[:, ::-1][:, :k]
 
-    def ginv(self) -> PseudoInverse:
-        """Pseudo-inverse, kept as (T P)^T with P = pinv(T^T T) for d < n, else T^T pinv(T T^T) through the small side too."""
+    def ginv(self) -> PseudoInverse | RowPseudoInverse:
+        """Pseudo-inverse as factors of the smaller side: (T P)^T with P = pinv(T^T T) for d < n, T^T pinv(T T^T) for n <= d.
+
+        The second needs rows numbered by `_row`; n is at most SHORT_ROWS there.
+        """
+        if self.n_rows() <= min(self.d, SHORT_ROWS) and "_row" in self.row_frame().columns:
+            return RowPseudoInverse(self)
         return PseudoInverse(self, dense.pinv(self.gram()))
 
     def solve(self, b: RowMatrix) -> np.ndarray:
@@ -222,9 +259,15 @@ class Transposed:
     def sum(self) -> float:
         return self.of.sum()
 
-    def gram(self, max_rows: int = 5000) -> DataFrame:
-        """T T^T in long form (r, s, value), r <= s by row id: quadratic in rows, refused beyond max_rows."""
-        return self.of.kernel(max_rows)
+    def __rmatmul__(self, x) -> Flipped:
+        """X T^T for an m x d array X: the transpose of T X^T, whose values stay beside T's rows."""
+        return Flipped(self.of @ np.atleast_2d(np.asarray(x, dtype=float)).T)
+
+    __array_ufunc__ = None
+
+    def gram(self, on: str = "_row", max_rows: int = 5000) -> DataFrame:
+        """T T^T in long form (r, s, value), r <= s by the row id `on`: quadratic in rows, refused beyond max_rows."""
+        return self.of.kernel(on, max_rows)
 
     def ginv(self) -> PseudoInverse:
         return self.of.ginv().T
@@ -260,6 +303,26 @@ class PseudoInverse:
         return self.of.scored(self.p)
 
 
+class RowPseudoInverse:
+    """pinv(T) = T^T pinv(T T^T) of a matrix with no more rows than columns, from its parts on the driver."""
+
+    def __init__(self, of: Matrix):
+        from foldstar.double import short
+
+        self.of, x = of, short(of)
+        self.dense = x.T @ dense.pinv(x @ x.T)
+
+    def __matmul__(self, b) -> np.ndarray:
+        """pinv(T) b for n x m values beside the rows, or an array in the order of `_row`."""
+        if isinstance(b, RowMatrix):
+            b = b.frame.orderBy("_row").select(*b.cols).toPandas().to_numpy(dtype=float)  # n <= SHORT_ROWS
+        return self.dense @ b
+
+    @property
+    def T(self) -> np.ndarray:  # noqa: N802
+        return self.dense.T
+
+
 def _columns(x, d: int) -> np.ndarray:
     x = np.asarray(x, dtype=float)
     x = x.reshape(-1, 1) if x.ndim == 1 else x

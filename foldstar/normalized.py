@@ -8,6 +8,7 @@ table with features of its own, or the index with one link for each side and no
 
 from __future__ import annotations
 
+from collections.abc import Sequence
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -15,6 +16,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from foldstar import dense
+from foldstar.lineage import cut
 from foldstar.matrix import Matrix, RowMatrix
 
 
@@ -46,12 +48,25 @@ class Wide:
         """sum over targets of features^T folded values: d_i x len(cols)."""
         return dense.products(_met(folded, on, self), self.names, cols)
 
-    def weighted_gram(self, hits: DataFrame, on: str, weighting: str) -> np.ndarray:
-        joined = _met(hits, on, self)
+    def rows_estimate(self) -> float:
+        """The optimizer's guess at the number of targets; no job runs."""
+        return float(self.df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()) / (8 * len(self.names) + 16)
+
+    def fold_cells(self, folded: DataFrame, on: str, cols: list[str]) -> DataFrame:
+        """Rows (p, v) of features^T folded values, p = feature * len(cols) + column."""
+        return dense.product_cells(_met(folded, on, self), self.names, cols)
+
+    def gram_cells(self, hits: DataFrame, on: str, weighting: str) -> DataFrame:
+        """Rows (p, v) of the Gram weighted by `_hits`, upper half at least."""
+        joined, w = _met(hits, on, self), F.col("_hits").cast("double")
         if weighting == "sqrt":
-            root = joined.select(*[(F.sqrt(F.col("_hits").cast("double")) * F.col(f"`{c}`")).alias(c) for c in self.names])
-            return dense.products(root, self.names)
-        return dense.products(joined, self.names, weight="_hits")
+            return dense.product_cells(joined.select(*[(F.sqrt(w) * F.col(f"`{n}`")).alias(n) for n in self.names]), self.names)
+        return dense.product_cells(joined, self.names, weight="_hits")
+
+    def cells(self) -> DataFrame:
+        """Long form: _key, col, val without zeros."""
+        cell = F.explode(F.array(*[F.struct(F.lit(i).alias("col"), F.col(f"`{c}`").alias("val")) for i, c in enumerate(self.names)])).alias("x")
+        return self.df.select(F.col(f"`{self.key}`").alias("_key"), cell).select("_key", "x.col", "x.val").where("val <> 0")
 
     def joined(self, rows: DataFrame, on: str) -> DataFrame:
         return rows.join(self.df.withColumnRenamed(self.key, "_key"), rows[on] == F.col("_key")).drop("_key")
@@ -96,14 +111,21 @@ class Coo:
         b = self.df.select(F.col(f"`{self.key}`").alias("_k"), F.col("col").alias("j"), F.col("val").alias("vj"))
         return a.join(b, "_k").where("i <= j").groupBy("i", "j").agg(F.sum(F.col("_hits") * F.col("vi") * F.col("vj")).alias("value"))
 
-    def weighted_gram(self, hits: DataFrame, on: str, weighting: str) -> np.ndarray:
-        n = len(self.names)
-        if n > dense.MAX_WIDTH:
-            raise ValueError("too wide for the driver; use gram_long")
-        out = np.zeros((n, n))
-        for r in self.gram_long(hits, on).collect():
-            out[r["i"], r["j"]] = out[r["j"], r["i"]] = r["value"]
-        return out
+    def rows_estimate(self) -> float:
+        return float(self.keys._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()) / 24
+
+    def fold_cells(self, folded: DataFrame, on: str, cols: list[str]) -> DataFrame:
+        c = len(cols)
+        made = _met(folded, on, self).groupBy("col").agg(*[F.sum(F.col("val") * dense.d(x)).alias(f"s{i}") for i, x in enumerate(cols)])
+        cell = F.explode(F.array(*[F.struct(F.lit(i).alias("j"), F.col(f"s{i}").alias("v")) for i in range(c)])).alias("x")
+        return made.select("col", cell).select((F.col("col").cast("long") * c + F.col("x.j")).alias("p"), "x.v")
+
+    def gram_cells(self, hits: DataFrame, on: str, weighting: str) -> DataFrame:
+        w = len(self.names)
+        return self.gram_long(hits, on).select((F.col("i").cast("long") * w + F.col("j")).alias("p"), F.col("value").alias("v"))
+
+    def cells(self) -> DataFrame:
+        return self.df.select(F.col(f"`{self.key}`").alias("_key"), "col", "val")
 
     def wide(self) -> Wide:
         cells = [F.coalesce(F.sum(F.when(F.col("col") == i, F.col("val"))), F.lit(0.0)).alias(c) for i, c in enumerate(self.names)]
@@ -114,6 +136,19 @@ class Coo:
         return self.wide().joined(rows, on)
 
 
+class KeyNames(Sequence):
+    """Names of identity columns, one a key: made on demand, so that a wide block costs the driver nothing."""
+
+    def __init__(self, key: str, n: int):
+        self.key, self.n = key, n
+
+    def __len__(self) -> int:
+        return self.n
+
+    def __getitem__(self, i):
+        return [f"{self.key}#{j}" for j in range(*i.indices(self.n))] if isinstance(i, slice) else f"{self.key}#{range(self.n)[i]}"
+
+
 @dataclass
 class Link:
     column: str
@@ -142,7 +177,8 @@ class FactoredMatrix(Matrix):
     def star(cls, entity: DataFrame, attributes: list[tuple[DataFrame | Wide | Coo, str, str, list[str]]], own: list[str], keep: list[str] = (), total: bool = False) -> FactoredMatrix:
         """attributes: (frame, fk in entity, key, features). Rows whose key finds no target leave T, as in an inner join.
 
-        total=True states that every key finds one (see validate), which spares the semi-joins.
+        A target key that is there twice raises: a link has one target. total=True states that every key finds
+        exactly one (see validate), which spares the semi-joins and the check.
         """
         rows = entity.select(*[F.col(f"`{c}`") for c in dict.fromkeys([*keep, *[fk for _, fk, *_ in attributes]])], *[dense.d(c).alias(c) for c in own if c not in keep])
         links = []
@@ -150,11 +186,19 @@ class FactoredMatrix(Matrix):
             block = frame if isinstance(frame, (Wide, Coo)) else Wide(frame, key, names)
             links.append(Link(fk, block))
         out = cls(rows, list(own), links, ["star"])
-        return out if total else out.trimmed(blocks=False)
+        if total:
+            return out
+        for link in links:
+            keys = (link.block.keys if isinstance(link.block, Coo) else link.block.df).select(F.col(f"`{link.block.key}`").alias("_t"))
+            if not keys.groupBy("_t").count().where("count > 1").isEmpty():
+                raise ValueError(f"keys of the block behind `{link.column}` repeat")
+        return out.trimmed(blocks=False)
 
     @classmethod
-    def mn(cls, left: Wide, right: Wide, left_on: DataFrame, right_on: DataFrame) -> FactoredMatrix:
-        """M:N join by an explicit pair index; left_on and right_on have the key and a column `j` (None: Cartesian)."""
+    def mn(cls, left: Wide, right: Wide, left_on: DataFrame | None = None, right_on: DataFrame | None = None) -> FactoredMatrix:
+        """M:N join by an explicit pair index; left_on and right_on have the key and a column `j`. Without them: all pairs, one value of `j`."""
+        if left_on is None and right_on is None:
+            left_on, right_on = (b.df.select(F.col(f"`{b.key}`"), F.lit(0).alias("j")) for b in (left, right))
         a = left_on.select(F.col(f"`{left.key}`").alias("_p0"), F.col("j"))
         b = right_on.select(F.col(f"`{right.key}`").alias("_p1"), F.col("j"))
         return cls(a.join(b, "j").select("_p0", "_p1"), [], [Link("_p0", left), Link("_p1", right)], ["pair index"])
@@ -225,11 +269,17 @@ class FactoredMatrix(Matrix):
     def n_rows(self) -> int:
         return self.rows.count()
 
-    def stats(self) -> dict:
-        """n, d, and per link targets, tuple ratio, feature ratio; size of T over size of its parts."""
+    def stats(self, cells: bool = False) -> dict:
+        """n, d, non-zeros and their share, and per link targets, tuple ratio, feature ratio; size of T over size of its parts.
+
+        Non-zeros are counted, without a join, where `cells` asks for them.
+        """
         n = self.n_rows()
         parts = n * len(self.own)
         out = {"n": n, "d": self.d, "links": []}
+        if cells:
+            out["nnz"] = int(round(self.mapped(lambda c: (c != 0).cast("double"), True).sum()))
+            out["sparsity"] = out["nnz"] / (n * self.d) if n and self.d else 0.0
         for link in self.links:
             b = link.block
             t = (b.keys if isinstance(b, Coo) else b.df).count()
@@ -343,18 +393,11 @@ class FactoredMatrix(Matrix):
         return self.rows.groupBy(self.links[i].column).agg(F.count("*").alias("_hits"))
 
     def col_sums(self) -> np.ndarray:
-        parts = [dense.sums(self.rows, self.own)]
-        for i, link in enumerate(self.links):
-            parts.append(link.block.fold_product(self.hits(i), link.column, ["_hits"])[:, 0])
-        return np.concatenate(parts)
+        """T^T 1: hits of each target and own sums from one pass."""
+        return self.folded(RowMatrix(self.rows.withColumn("_v0", F.lit(1.0)), ["_v0"], self))[:, 0]
 
     def sum(self) -> float:
-        total = float(dense.sums(self.rows, self.own).sum())
-        for i, link in enumerate(self.links):
-            s = link.block.scores(np.ones((len(link.block.names), 1)), "_s")
-            h = self.hits(i)
-            total += float(dense.sums(h.join(s, h[link.column] == s["_key"]), [F.col("_hits") * F.col("_s0")])[0])
-        return total
+        return float(self.col_sums().sum())
 
     # products
     def scored(self, x: np.ndarray, order: str = "score_first") -> RowMatrix:
@@ -372,49 +415,120 @@ class FactoredMatrix(Matrix):
         keep = [F.col(f"`{c}`") for c in self.rows.columns if not c.startswith("_v")]
         return RowMatrix(frame.select(*keep, *[sum(p[1:], p[0]).alias(f"_v{j}") for j, p in enumerate(parts)]), [f"_v{j}" for j in range(m)], self)
 
-    def folded(self, r: RowMatrix) -> np.ndarray:
-        """T^T R: own features by one aggregate; each block by a group-by on its link, then a join with the block."""
-        parts = [dense.products(r.frame, self.own, r.cols)] if self.own else []
+    def _folds(self, r: RowMatrix, extra: list) -> tuple[DataFrame, list[str]]:
+        """One row for each target of each link column, from one pass over the rows of R.
+
+        Columns: the link columns (null but for the target's own), _first (the first link column's targets),
+        and sums over the target's rows: _fp{j} of R, _fo{k}_{j} of own features times R, _fx{i} of `extra`.
+        """
+        columns = list(dict.fromkeys(k.column for k in self.links))
+        sums = [F.sum(v).alias(f"_fp{j}") for j, v in enumerate(r.cols)]
+        sums += [F.sum(F.col(f"`{c}`") * F.col(v)).alias(f"_fo{k}_{j}") for k, c in enumerate(self.own) for j, v in enumerate(r.cols)]
+        sums += [F.sum(dense.d(x)).alias(f"_fx{i}") for i, x in enumerate(extra)]
+        if len(columns) == 1:
+            return r.frame.groupBy(columns[0]).agg(F.lit(True).alias("_first"), *sums), columns
+        sets = [F.col(f"`{c}`") for c in columns]
+        return r.frame.groupingSets([[c] for c in sets], *sets).agg((F.grouping(sets[0]) == 0).alias("_first"), *sums), columns
+
+    def folded(self, r: RowMatrix, extra: list = ()) -> np.ndarray | tuple[np.ndarray, np.ndarray]:
+        """T^T R in one pass: every link's folds by one aggregate over grouping sets, then each joined with its block.
+
+        Own features ride on the first link's folds. With `extra` (columns over R's frame) also their sums.
+        """
+        e, m, x = len(self.own), len(r.cols), len(extra)
+        if not self.links:
+            got = dense.sums(r.frame, [dense.d(c) * F.col(v) for c in self.own for v in r.cols] + list(extra))
+            return (got[: e * m].reshape(e, m), got[e * m :]) if x else got.reshape(e, m)
+        folds, _ = self._folds(r, extra)
+        met, names, parts = folds, [], []
+        for i, link in enumerate(self.links):
+            if isinstance(link.block, Coo):
+                continue
+            cells = link.block.df.select(F.col(f"`{link.block.key}`").alias(f"_k{i}"), *[F.col(f"`{c}`").alias(f"_f{i}_{k}") for k, c in enumerate(link.block.names)])
+            met = met.join(cells, F.col(f"`{link.column}`") == F.col(f"_k{i}"), "left")
+            names += [f"_f{i}_{k}" for k in range(len(link.block.names))]
+        sums = [f"_fp{j}" for j in range(m)]
+        once = [F.when(F.col("_first"), F.col(c)) for c in [*[f"_fo{k}_{j}" for k in range(e) for j in range(m)], *[f"_fx{i}" for i in range(x)]]]
+        w, tail = len(names), len(once)
+        if w * m + tail <= dense.TARGET_PRODUCTS:
+            got = dense.sums(met, [F.col(c) * F.col(p) for c in names for p in sums] + once)
+        else:
+            def partial(a):
+                return np.concatenate([(a[:, :w].T @ a[:, w : w + m]).ravel(), a[:, w + m :].sum(axis=0)])
+
+            filled = [F.coalesce(F.col(c) if isinstance(c, str) else c, F.lit(0.0)) for c in [*names, *sums, *once]]
+            got = dense.gathered([(dense.flat(met, filled, partial, w * m + tail), w * m + tail)])[0]
+        wide = iter(np.split(got[: w * m].reshape(w, m), np.cumsum([len(k.block.names) for k in self.links if not isinstance(k.block, Coo)])[:-1]) if w else [])
+        parts = [got[w * m : w * m + e * m].reshape(e, m)]
         for link in self.links:
-            f = r.frame.groupBy(link.column).agg(*[F.sum(c).alias(c) for c in r.cols])
-            parts.append(link.block.fold_product(f, link.column, r.cols))
-        return np.concatenate(parts)
+            parts.append(link.block.fold_product(folds.where(F.col(f"`{link.column}`").isNotNull()), link.column, sums) if isinstance(link.block, Coo) else next(wide))
+        out = np.concatenate(parts)
+        return (out, got[w * m + e * m :]) if x else out
 
     def gram(self, method: str = "efficient", weighting: str = "direct", pairs: str = "hybrid") -> np.ndarray:
-        """T^T T by blocks.
+        """T^T T by blocks, all in one query.
 
-        Diagonal blocks: own features directly; a linked block's Gram weighted by hits. Own by linked:
-        own features folded along the link. Linked by linked: pairs="cooc" counts pairs of targets
-        first; "hybrid" looks the narrower block up and folds it along the other link.
+        Own features directly. A link's aggregate counts hits and sums own features: joined with its block, it
+        gives the block's weighted Gram and its products with own features. Two links: pairs="hybrid" looks one
+        block up and folds it along the link with fewer targets; "cooc" counts pairs of targets first.
         method="naive": linked diagonal blocks through an explicit product of the link with itself.
         """
-        off, out = self.offsets(), np.zeros((self.d, self.d))
-        e = len(self.own)
-        if e:
-            out[:e, :e] = dense.products(self.rows, self.own)
-        for i, link in enumerate(self.links):
-            s = slice(off[i], off[i + 1])
-            folded = self.rows.groupBy(link.column).agg(F.count("*").alias("_hits"), *[F.sum(F.col(f"`{c}`")).alias(c) for c in self.own])
-            if method == "naive":
-                self_pairs = self._link_product(link)
-                moved = _met(self_pairs, "_a", link.block).groupBy("_b").agg(*[F.sum(F.col("_c") * F.col(f"`{c}`")).alias(f"_m{j}") for j, c in enumerate(link.block.names)])
-                out[s, s] = link.block.fold_product(moved, "_b", [f"_m{j}" for j in range(len(link.block.names))])
-            else:
-                out[s, s] = link.block.weighted_gram(folded.select(link.column, "_hits"), link.column, weighting)
+        off, out, e = self.offsets(), np.zeros((self.d, self.d)), len(self.own)
+        if self.d > dense.MAX_WIDTH:
+            raise ValueError(f"{self.d} columns are too many for the driver; use gram_long")
+        part = [slice(0, e), *[slice(a, b) for a, b in zip(off, off[1:])]]
+        pieces = [(dense.product_cells(self.rows, self.own), 0, 0)] if e else []
+        for i, link in enumerate(self.links, 1):
+            folded = self.rows.groupBy(link.column).agg(F.count("*").alias("_hits"), *[F.sum(F.col(f"`{c}`")).alias(f"_e{k}") for k, c in enumerate(self.own)])
+            pieces.append((self._naive_cells(link) if method == "naive" else link.block.gram_cells(folded.select(link.column, "_hits"), link.column, weighting), i, i))
             if e:
-                cross = link.block.fold_product(folded, link.column, self.own)
-                out[s, :e], out[:e, s] = cross, cross.T
+                pieces.append((link.block.fold_cells(folded, link.column, [f"_e{k}" for k in range(e)]), i, 0))
         for i in range(len(self.links)):
             for j in range(i + 1, len(self.links)):
-                cross = self._cross(i, j, pairs)
-                a, b = slice(off[i], off[i + 1]), slice(off[j], off[j + 1])
-                out[a, b], out[b, a] = cross, cross.T
+                cells, a, b = self._cross_cells(i, j, pairs)
+                pieces.append((cells, a + 1, b + 1))
+        width = lambda x: part[x].stop - part[x].start
+        for (_, a, b), got in zip(pieces, dense.gathered([(f, width(a) * width(b)) for f, a, b in pieces])):
+            got = got.reshape(width(a), width(b))
+            out[part[a], part[b]] = dense.mirrored(got) if a == b else got
+            out[part[b], part[a]] = out[part[a], part[b]].T
         return out
 
+    def _naive_cells(self, link: Link) -> DataFrame:
+        moved = _met(self._link_product(link), "_a", link.block).groupBy("_b").agg(*[F.sum(F.col("_c") * F.col(f"`{c}`")).alias(f"_m{j}") for j, c in enumerate(link.block.names)])
+        return link.block.fold_cells(moved, "_b", [f"_m{j}" for j in range(len(link.block.names))])
+
+    def gram_long(self) -> DataFrame:
+        """T^T T as rows (i, j, value), i <= j by position, zeros absent: for widths that no driver holds.
+
+        Blocks meet cell by cell. Links meet through counts of their pairs of targets, so the work is bounded
+        by pairs of non-zeros in a row of T.
+        """
+        off = self.offsets()
+        frames = []
+        for i, c in enumerate(self.own):
+            frames.append(self.rows.agg(*[F.sum(F.col(f"`{c}`") * F.col(f"`{x}`")).alias(f"s{j}") for j, x in enumerate(self.own) if j >= i]).select(F.explode(F.array(*[F.struct(F.lit(i).alias("i"), F.lit(j).alias("j"), F.col(f"s{j}").alias("value")) for j in range(i, len(self.own))])).alias("x")).select("x.*"))
+        cells = [k.block.cells().select(F.col("_key"), (F.col("col") + off[i]).alias("col"), "val") for i, k in enumerate(self.links)]
+        for i, k in enumerate(self.links):
+            folded = self.rows.groupBy(F.col(f"`{k.column}`").alias("_key")).agg(F.count("*").alias("_hits"), *[F.sum(F.col(f"`{c}`")).alias(f"_e{n}") for n, c in enumerate(self.own)])
+            a, b = cells[i].select("_key", F.col("col").alias("i"), F.col("val").alias("x")), cells[i].select("_key", F.col("col").alias("j"), F.col("val").alias("y"))
+            frames.append(folded.select("_key", "_hits").join(a, "_key").join(b, "_key").where("i <= j").select("i", "j", (F.col("_hits") * F.col("x") * F.col("y")).alias("value")))
+            if self.own:
+                own = F.explode(F.array(*[F.struct(F.lit(n).alias("i"), F.col(f"_e{n}").alias("x")) for n in range(len(self.own))])).alias("e")
+                frames.append(folded.select("_key", own).select("_key", "e.i", "e.x").join(b, "_key").select("i", "j", (F.col("x") * F.col("y")).alias("value")))
+            for j in range(i + 1, len(self.links)):
+                both = self.cooc(i, j)
+                u, v = cells[i].toDF("_a", "i", "x"), cells[j].toDF("_b", "j", "y")
+                frames.append(both.join(u, "_a").join(v, "_b").select("i", "j", (F.col("_c") * F.col("x") * F.col("y")).alias("value")))
+        long = frames[0].select(F.col("i").cast("long"), F.col("j").cast("long"), "value")
+        for f in frames[1:]:
+            long = long.unionByName(f.select(F.col("i").cast("long"), F.col("j").cast("long"), "value"))
+        return long.groupBy("i", "j").agg(F.sum("value").alias("value")).where("value <> 0")
+
     def _link_product(self, link: Link) -> DataFrame:
-        """K^T K as (target, target, count): diagonal, found here the long way."""
-        r = self.rows.select(F.col(f"`{link.column}`").alias("_a"))
-        return r.withColumn("_b", F.col("_a")).groupBy("_a", "_b").agg(F.count("*").alias("_c"))
+        """K^T K as (target, target, count) by an explicit product: K with itself on row numbers, though it is diagonal."""
+        r = cut(self.rows.select(F.monotonically_increasing_id().alias("_r"), F.col(f"`{link.column}`").alias("_a")), "numbered")
+        return r.join(r.withColumnRenamed("_a", "_b"), "_r").groupBy("_a", "_b").agg(F.count("*").alias("_c"))
 
     def cooc(self, i: int, j: int) -> DataFrame:
         return self.rows.groupBy(F.col(f"`{self.links[i].column}`").alias("_a"), F.col(f"`{self.links[j].column}`").alias("_b")).agg(F.count("*").alias("_c"))
@@ -425,36 +539,74 @@ class FactoredMatrix(Matrix):
         r = self.rows.agg(F.count("*").alias("n"), F.count_distinct(F.col(a)).alias("a"), F.count_distinct(F.col(b)).alias("b"), F.approx_count_distinct(F.struct(a, b)).alias("e")).first()
         return {"low": max(r["a"], r["b"]), "high": r["n"], "estimate": r["e"]}
 
-    def _cross(self, i: int, j: int, pairs: str) -> np.ndarray:
+    def _cross_cells(self, i: int, j: int, pairs: str) -> tuple[DataFrame, int, int]:
+        """Rows (p, v) of the product of two links' features, and which of them has the rows of it.
+
+        One block is looked up and folded along the other link: the one with fewer targets, so that few groups
+        are shuffled. A sparse block is folded rather than looked up.
+        """
+        if (isinstance(self.links[i].block, Coo), -self.links[i].block.rows_estimate()) > (isinstance(self.links[j].block, Coo), -self.links[j].block.rows_estimate()):
+            i, j = j, i
         a, b = self.links[i], self.links[j]
-        if len(a.block.names) > len(b.block.names):
-            return self._cross(j, i, pairs).T
         if pairs == "cooc":
-            base, ka, kb, w = self.cooc(i, j), "_a", "_b", F.col("_c")
+            base, w = self.cooc(i, j), F.col("_c")
         else:
-            base, ka, kb, w = self.rows.select(F.col(f"`{a.column}`").alias("_a"), F.col(f"`{b.column}`").alias("_b")), "_a", "_b", F.lit(1)
+            base, w = self.rows.select(F.col(f"`{a.column}`").alias("_a"), F.col(f"`{b.column}`").alias("_b")), F.lit(1)
         wide = a.block.wide() if isinstance(a.block, Coo) else a.block
-        moved = _met(base, ka, wide).groupBy(kb).agg(*[F.sum(w * F.col(f"`{c}`")).alias(f"_m{k}") for k, c in enumerate(wide.names)])
-        return b.block.fold_product(moved, kb, [f"_m{k}" for k in range(len(wide.names))]).T
+        cols = [f"_m{k}" for k in range(len(wide.names))]
+        moved = _met(base, "_a", wide).groupBy("_b").agg(*[F.sum(w * F.col(f"`{c}`")).alias(m) for c, m in zip(wide.names, cols)])
+        return b.block.fold_cells(moved, "_b", cols), j, i
+
+    def _cross(self, i: int, j: int, pairs: str) -> np.ndarray:
+        cells, a, b = self._cross_cells(i, j, pairs)
+        shape = len(self.links[a].block.names), len(self.links[b].block.names)
+        got = dense.gathered([(cells, shape[0] * shape[1])])[0].reshape(shape)
+        return got if (a, b) == (i, j) else got.T
+
+    def kernel(self, on: str = "_row", max_rows: int = 5000) -> DataFrame:
+        """T T^T in long form (r, s, value) with r <= s, by the row id `on`; see Transposed.gram.
+
+        Rows are numbered in the order of their ids, on the driver (max_rows of them at most); each target
+        meets all rows once.
+        """
+        from foldstar.double import outer
 
-    def kernel(self, max_rows: int = 5000) -> DataFrame:
-        """T T^T in long form; see Transposed.gram. Each block's row products are taken once per pair of targets."""
         n = self.n_rows()
         if n > max_rows:
-            raise ValueError(f"{n} rows: the row Gram has their square; limit {max_rows}")
-        numbered = self.rows.withColumn("_i", F.monotonically_increasing_id())
-        f = lambda s: numbered.select(F.col("_i").alias(s), F.array(*[F.col(f"`{c}`") for c in self.own]).alias(f"_own_{s}"), *[F.col(f"`{k.column}`").alias(f"_l{q}_{s}") for q, k in enumerate(self.links)])
-        dot = lambda x, y: F.aggregate(F.zip_with(x, y, lambda p, q: p * q), F.lit(0.0), lambda t, v: t + v)
-        pairs = f("r").crossJoin(f("s")).where("r <= s")
-        value = dot(F.col("_own_r"), F.col("_own_s")) if self.own else F.lit(0.0)
-        for q, k in enumerate(self.links):
-            block = k.block.wide() if isinstance(k.block, Coo) else k.block
-            used = self.rows.select(F.col(f"`{k.column}`").alias("_t")).distinct()
-            packed = block.df.select(F.col(f"`{block.key}`").alias("_t"), F.array(*[F.col(f"`{c}`") for c in block.names]).alias("_x")).join(used, "_t", "left_semi")
-            small = packed.alias("a").crossJoin(packed.alias("b")).select(F.col("a._t").alias(f"_ta{q}"), F.col("b._t").alias(f"_tb{q}"), dot(F.col("a._x"), F.col("b._x")).alias(f"_g{q}"))
-            pairs = pairs.join(small, (F.col(f"_l{q}_r") == F.col(f"_ta{q}")) & (F.col(f"_l{q}_s") == F.col(f"_tb{q}")))
-            value = value + F.col(f"_g{q}")
-        return pairs.select("r", "s", value.alias("value"))
+            raise ValueError(f"{n} rows: the row Gram has their square; limit {max_rows}, or use kernel_blocks")
+        ids = [r[0] for r in self.rows.select(on).orderBy(on).collect()]
+        if len(set(ids)) < len(ids):
+            raise ValueError(f"`{on}` does not tell the rows apart")
+        spark = self.rows.sparkSession
+        kind = self.rows.schema[on].dataType.simpleString()
+        known = spark.createDataFrame([(v, i) for i, v in enumerate(ids)], f"_id {kind}, _n long")
+        here = self.on(self.rows.join(F.broadcast(known), F.col(f"`{on}`") == F.col("_id")).drop("_id", "_row").withColumnRenamed("_n", "_row"))
+        cells = outer(here, here, max_rows).where("r <= s")
+        name = lambda c: known.select(F.col("_n").alias(c), F.col("_id").alias(f"_{c}"))
+        return cells.join(F.broadcast(name("r")), "r").join(F.broadcast(name("s")), "s").select(F.col("_r").alias("r"), F.col("_s").alias("s"), "value")
+
+    def plus(self, other: FactoredMatrix) -> FactoredMatrix:
+        """T1 + T2 over one row frame with the same links: own features and blocks add up by key, so the sum is factored too.
+
+        Blocks must hold the same keys (`total`); features take the names of T1. Other sums are not factored.
+        """
+        if [k.column for k in self.links] != [k.column for k in other.links] or [len(k.block.names) for k in self.links] != [len(k.block.names) for k in other.links] or len(self.own) != len(other.own):
+            raise ValueError("both matrices must have the same links and widths; materialize them otherwise")
+        if any(isinstance(k.block, Coo) for k in [*self.links, *other.links]):
+            raise ValueError("sparse blocks: convert them first (Coo.wide)")
+        rows = self.rows
+        if self.own:
+            ids = [c for c in self.rows.columns if c not in self.own and c in other.rows.columns]
+            theirs = other.rows.select(*[F.col(f"`{c}`").alias(f"_j{i}") for i, c in enumerate(ids)], *[F.col(f"`{c}`").alias(f"_a{i}") for i, c in enumerate(other.own)])
+            met = rows.join(theirs, [F.col(f"`{c}`").eqNullSafe(F.col(f"_j{i}")) for i, c in enumerate(ids)])
+            keep = [F.col(f"`{c}`") for c in rows.columns if c not in self.own]
+            rows = met.select(*keep, *[(F.col(f"`{c}`") + F.col(f"_a{i}")).alias(c) for i, c in enumerate(self.own)])
+        links = []
+        for k, q in zip(self.links, other.links):
+            theirs = q.block.df.select(F.col(f"`{q.block.key}`").alias("_k"), *[F.col(f"`{c}`").alias(f"_a{i}") for i, c in enumerate(q.block.names)])
+            both = k.block.df.join(theirs, F.col(f"`{k.block.key}`") == F.col("_k"))
+            links.append(Link(k.column, Wide(both.select(F.col(f"`{k.block.key}`"), *[(F.col(f"`{c}`") + F.col(f"_a{i}")).alias(c) for i, c in enumerate(k.block.names)]), k.block.key, k.block.names)))
+        return FactoredMatrix(rows, self.own, links, [*self.trace, "sum of blocks"])
 
     def kernel_blocks(self, on: str, of, schema: str, block: int = 2000) -> DataFrame:
         """Every block of T T^T, of `block` rows by `block` rows about: the frames of of(ids, ids, values).

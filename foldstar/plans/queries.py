@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from foldstar import algos, cost, planner
 from foldstar.double import cross
 from foldstar.matrix import RowMatrix
-from foldstar.workloads import FIXTURES, TARGETS, Fixture, emb, keyed, self_join, thinned
+from foldstar.workloads import FIXTURES, PART33, SUPP31, TARGETS, Fixture, emb, keyed, self_join, thinned, with_keys
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLES: dict[str, str] = {}
@@ -139,14 +139,10 @@ def _linear_algebra() -> None:
     for method in ("hybrid", "cooc"):
         add(f"dmm_same_rows_{method}", dmm(method), sql_pairs(k2, [(a, b) for a in left for b in right], lambda a, b: f"sum({a} * {b})"))
 
-    def kernel(s, d):
-        t = FIXTURES["oc"].build(s, d).filter_rows("o_orderkey < 60")
-        i = t.kernel(100)
-        return i.select(F.col("value")).groupBy("value").agg(F.count("*").alias("n"))
-
-    oc = FIXTURES["oc"]
+    _double_products()
+    oc, sn = FIXTURES["oc"], FIXTURES["sn"]
     dots = " + ".join(f"a.{n} * b.{n}" for n in oc.features)
-    add("kernel_rows_oc", kernel, f"WITH t AS (SELECT * FROM ({oc.sql()}) WHERE o_orderkey < 60) SELECT {dots} AS value, count(*) AS n FROM t a JOIN t b ON a.o_orderkey <= b.o_orderkey GROUP BY 1")
+    add("kernel_rows_sn", lambda s, d: sn.build(s, d).T.gram("s_suppkey"), f"WITH t AS ({sn.sql()}) SELECT a.s_suppkey::BIGINT AS r, b.s_suppkey::BIGINT AS s, {' + '.join(f'a.{n} * b.{n}' for n in sn.features)} AS value FROM t a JOIN t b ON a.s_suppkey <= b.s_suppkey")
 
     def kernel_all(s, d):
         def ends(a, b, g):
@@ -181,19 +177,12 @@ def _linear_algebra() -> None:
     d1 = FIXTURES["d1"]
     add("scalar_mul_rows_d1", lambda s, d: keyed_rows(d1, (3 * d1.build(s, d)).row_sums()), f"WITH t AS ({d1.sql()}) SELECT {sql_ids(d1)}, 3 * ({' + '.join(d1.features)}) AS value FROM t")
 
-    def elementwise(s, d):
-        t = fx1.build(s, d).filter_rows("l_orderkey < 500")
-        x = t.rows.select("l_orderkey").distinct().select("l_orderkey", *[(F.col("l_orderkey") % 5 + 1.0).alias(n) for n in n1])
-        return t.elementwise(x, "l_orderkey", lambda a, b: a * b).agg(*[F.sum(n).alias(n) for n in n1])
-
-    add("elementwise_matrix_k1min", elementwise, f"WITH t AS ({fx1.sql()}) SELECT {', '.join(f'sum({n} * (l_orderkey % 5 + 1)) AS {n}' for n in n1)} FROM t WHERE l_orderkey < 500")
-
     def elementwise_all(s, d):
         t = fx1.build(s, d)
         x = t.rows.select("l_orderkey").distinct().select("l_orderkey", *[(F.col("l_orderkey") % 5 + 1.0).alias(n) for n in n1])
         return t.elementwise(x, "l_orderkey", lambda a, b: a * b).agg(*[F.sum(n).alias(n) for n in n1])
 
-    add("elementwise_matrix_all_k1min", elementwise_all, ORACLES["elementwise_matrix_k1min"].replace(" WHERE l_orderkey < 500", ""))
+    add("elementwise_matrix_all_k1min", elementwise_all, f"WITH t AS ({fx1.sql()}) SELECT {', '.join(f'sum({n} * (l_orderkey % 5 + 1)) AS {n}' for n in n1)} FROM t")
 
     def penrose(s, d):
         t = fx1.build(s, d)
@@ -206,21 +195,74 @@ def _linear_algebra() -> None:
     add("ginv_penrose_k1min", penrose, "SELECT unnest(['t p t', 'p t p', 'symmetric']) AS condition, unnest([0.0, 0.0, 0.0])::DOUBLE AS residual")
 
 
+def _double_products() -> None:
+    """Products with a second factored matrix that is short: 31 rows to the right of T, or rows against T's rows."""
+    sn = FIXTURES["sn"]
+    names = list(sn.features)
+    d = len(names)
+
+    def right(s, rows: int, own: int, width: int):
+        """`rows` numbered rows, `own` features of their own, the others from a block of three targets."""
+        from foldstar.normalized import FactoredMatrix, Wide
+
+        e = s.range(rows).select(F.col("id").alias("_row"), (F.col("id") % 3).alias("j"), *[((7 * F.col("id") + k) % 5).cast("double").alias(f"u{k}") for k in range(own)])
+        block = Wide(s.range(3).select("id", *[((F.col("id") + k) % 4).cast("double").alias(f"x{k}") for k in range(own, width)]), "id", [f"x{k}" for k in range(own, width)])
+        return FactoredMatrix.star(e, [(block, "j", "id", [])], [f"u{k}" for k in range(own)], ["_row"], total=True)
+
+    cell = lambda r, k, own: (7 * r + k) % 5 if k < own else (r % 3 + k) % 4
+    dots = [" + ".join(f"{cell(i, j, 2)} * {n}" for i, n in enumerate(names)) for j in range(4)]
+    sql = f"WITH t AS ({sn.sql()}) SELECT {sql_ids(sn)}, {', '.join(f'{x} AS v{j}' for j, x in enumerate(dots))} FROM t"
+    add("dmm_ab", lambda s, d_: keyed_rows(sn, sn.build(s, d_) @ right(s, d, 2, 4), [f"v{j}" for j in range(4)]), sql)
+    add("dmm_atbt", lambda s, d_: keyed_rows(sn, (right(s, d, 2, 4).T @ sn.build(s, d_).T).T, [f"v{j}" for j in range(4)]), sql)
+    # own widths: equal, T's narrower, T's wider than the right factor's
+    for label, own in (("", 1), ("_narrow", 3), ("_wide", 0)):
+        def abt(s, d_, own=own):
+            t = sn.build(s, d_)
+            t = t.on(t.rows.withColumn("_row", F.col("s_suppkey")))
+            return (t @ right(s, 7, own, d).T).select("r", F.col("s").cast("int").alias("s"), "value")
+
+        by = [" + ".join(f"{cell(r, k, own)} * {n}" for k, n in enumerate(names)) for r in range(7)]
+        add(f"dmm_abt{label}", abt, f"WITH t AS ({sn.sql()}) SELECT s_suppkey::BIGINT AS r, unnest(range(7))::INT AS s, unnest({_list(by)}) AS value FROM t")
+    for name in ("k1", "mn"):
+        fx = FIXTURES[name]
+        x = np.stack([weights(len(fx.features)), weights(len(fx.features), 1)])
+        add(f"trmm_{name}", lambda s, d_, fx=fx, x=x: keyed_rows(fx, (x @ fx.build(s, d_).T).T, ["v0", "v1"]), f"WITH t AS ({fx.sql()}) SELECT {sql_ids(fx)}, {', '.join(f'{sql_score(fx, i)} AS v{i}' for i in range(2))} FROM t")
+    mn, xx, k1 = FIXTURES["mn"], FIXTURES["xx"], FIXTURES["k1"]
+    add("gram_mn_naive", lambda s, d_: upper(s, list(mn.features), mn.build(s, d_).gram(method="naive")), ORACLES["gram_mn"])
+    pairs = [(a, b) for i, a in enumerate(xx.features) for b in list(xx.features)[i:]]
+    add("gram_xx", lambda s, d_: upper(s, list(xx.features), xx.build(s, d_).gram()), sql_pairs(xx, pairs, lambda a, b: f"sum({a} * {b})"))
+    oc = FIXTURES["oc"]
+    add("plus_same_links_oc", lambda s, d_: vector(s, oc.features, (oc.build(s, d_) + 2 * oc.build(s, d_)).col_sums()), sql_vector(oc, lambda n: f"sum({n} + 2 * {n})"))
+
+
+def _wide_sparse() -> None:
+    """Keys as features: T is wider than a driver holds, so its Gram stays a table."""
+    blocks = [("part", "p_partkey", "l_partkey", PART33, "part"), ("supp", "s_suppkey", "l_suppkey", SUPP31, "(SELECT s.*, n_regionkey FROM supplier s JOIN nation ON s_nationkey = n_nationkey)")]
+    ctes, shift = [], "0"
+    for name, key, fk, features, table in blocks:
+        cells = _list(f"{{'col': {i}, 'val': {e}}}" for i, e in enumerate(features.values()))
+        ctes.append(f"{name}_dense AS (SELECT {key} AS k, unnest({cells}, recursive := true) FROM {table})")
+        ctes.append(f"{name}_cells AS (SELECT k, {shift} + col AS col, val FROM {name}_dense WHERE val <> 0 UNION ALL SELECT {key}, {shift} + {len(features)} + row_number() OVER (ORDER BY {key}) - 1, 1.0 FROM {table})")
+        shift = f"(SELECT {len(features)} + count(*) FROM part)"
+    cells = "cells AS (SELECT l.r, x.col, x.val FROM l JOIN part_cells x ON l_partkey = x.k UNION ALL SELECT l.r, x.col, x.val FROM l JOIN supp_cells x ON l_suppkey = x.k)"
+    sql = f"WITH l AS (SELECT row_number() OVER () AS r, l_partkey, l_suppkey FROM lineitem), {', '.join(ctes)}, {cells} SELECT a.col::BIGINT AS i, b.col::BIGINT AS j, sum(a.val * b.val) AS value FROM cells a JOIN cells b ON a.r = b.r AND a.col <= b.col GROUP BY ALL HAVING value <> 0"
+    add("gram_long_k2z_keys", lambda s, d: with_keys(s, d).gram_long(), sql)
+
+
 def _sweeps() -> None:
     """The sweeps over tuple ratio and join-domain size on the given tables."""
     k1 = FIXTURES["k1"]
     names = list(k1.features)
     cells = [(a, b) for i, a in enumerate(names) for b in names[i:]]
-    for m in (1, 5, 15):
+    for m in (1, 2, 5, 10, 15, 20):  # the sweep's parameter: line items kept of 30
         thin = Fixture(k1.build, k1.ids, k1.features, k1.tables + f" WHERE (7 * l_orderkey + 11 * l_suppkey + l_linenumber) % 30 < {m}")
         add(f"gram_thin{m}_k1", lambda s, d, m=m: upper(s, names, thinned(s, d, m).gram()), sql_pairs(thin, cells, lambda a, b: f"sum({a} * {b})"))
-    for n_u in (5, 50, 250):
-        own = emb(8, duck=True)
+    for n_u in (10, 50, 100, 250, 500):
+        own = emb(64, duck=True)
         cols = [f"a_{n}" for n in own] + [f"b_{n}" for n in own]
-        side = lambda p: "(SELECT vec_id % {} AS j{}, {} FROM embeddings)".format(n_u, p, ", ".join(f"{e} AS {p}_{n}" for n, e in own.items()))  # noqa: B023, E731
-        pairs = [(a, b) for i, a in enumerate(cols) for b in cols[i:]]
-        sql = f"WITH t AS (SELECT * FROM {side('a')} JOIN {side('b')} ON ja = jb) SELECT unnest({_list(repr(a) for a, _ in pairs)}) AS i, unnest({_list(repr(b) for _, b in pairs)}) AS j, unnest({_list(f'sum({a} * {b})' for a, b in pairs)}) AS value FROM t"
-        add(f"gram_self_join_{n_u}", lambda s, d, n=n_u, cols=cols: upper(s, cols, self_join(s, d, n, 8).gram()), sql)
+        side = lambda p: f"(SELECT vec_id % {n_u} AS j{p}, {_list(own.values())} AS {p} FROM embeddings)"  # noqa: B023, E731
+        sql = f"WITH t AS (SELECT a || b AS x FROM {side('a')} JOIN {side('b')} ON ja = jb), n AS (SELECT {_list(repr(c) for c in cols)} AS names), p AS (SELECT unnest(range(1, {len(cols) + 1})) AS k) SELECT names[u.k] AS i, names[v.k] AS j, value FROM (SELECT p.k AS k, q.k AS l, sum(x[p.k] * x[q.k]) AS value FROM t, p, p q WHERE p.k <= q.k GROUP BY ALL) g JOIN p u ON g.k = u.k JOIN p v ON g.l = v.k, n"
+        add(f"gram_self_join_{n_u}", lambda s, d, n=n_u, cols=cols: upper(s, cols, self_join(s, d, n).gram()), sql)
     for kind in ("min", "max"):
         word = {"min": "least", "max": "greatest"}[kind]
         add(f"col_{kind}_k1", lambda s, d, k=kind: vector(s, names, k1.build(s, d).col_extreme(k)), sql_vector(k1, lambda n, k=kind: f"{k}({n})"))
@@ -241,6 +283,58 @@ def _gd_sql(fx: Fixture, iters: int, residual: str, step: str) -> str:
     return "WITH " + ", ".join(parts) + f" SELECT unnest({_list(repr(n) for n in names)}) AS feature, unnest({_list(f'round(w_{n}, 6) + 0.0' for n in names)}) AS value FROM w{iters}"
 
 
+def _kmeans_sql(fx: Fixture, names: list[str], c0: np.ndarray, iters: int) -> str:
+    """Rounds for three centroids: distances, the nearest (the first on ties), means."""
+    at = {n: i for i, n in enumerate(names)}
+    parts = [f"t AS ({fx.sql()})", "c0 AS (SELECT " + ", ".join(f"{c0[i, j]}::DOUBLE AS c{i}_{j}" for i in at.values() for j in range(3)) + ")"]
+    for it in range(iters):
+        dist = [" + ".join(f"({n} - c{i}_{j}) * ({n} - c{i}_{j})" for n, i in at.items()) for j in range(3)]
+        parts.append(f"a{it} AS (SELECT t.*, {', '.join(f'{x} AS d{j}' for j, x in enumerate(dist))} FROM t, c{it})")
+        pick = ["d0 <= d1 AND d0 <= d2", "d1 < d0 AND d1 <= d2", "d2 < d0 AND d2 < d1"]
+        parts.append(f"c{it + 1} AS (SELECT " + ", ".join(f"avg({n}) FILTER (WHERE {pick[j]}) AS c{i}_{j}" for n, i in at.items() for j in range(3)) + f" FROM a{it})")
+    return "WITH " + ", ".join(parts) + f" SELECT unnest({_list(repr(n) for n in names for _ in range(3))}) AS feature, unnest({_list(str(j) for _ in names for j in range(3))})::INT AS cluster, unnest({_list(f'round(c{i}_{j}, 6)' for i in at.values() for j in range(3))}) AS value FROM c{iters}"
+
+
+def _gnmf_sql(fx: Fixture, names: list[str], h0: np.ndarray, w0: list[str], iters: int) -> str:
+    """Rounds of rank 2: the small factor from sums over rows, then the tall one row by row."""
+    at = {n: i for i, n in enumerate(names)}
+    parts = [f"t0 AS (SELECT *, CAST({w0[0]} AS DOUBLE) AS w0, CAST({w0[1]} AS DOUBLE) AS w1 FROM ({fx.sql()}))", "h0 AS (SELECT " + ", ".join(f"{h0[i, j]}::DOUBLE AS h{i}_{j}" for i in at.values() for j in range(2)) + ")"]
+    for it in range(iters):
+        parts.append(f"s{it} AS (SELECT sum(w0 * w0) AS g00, sum(w0 * w1) AS g01, sum(w1 * w1) AS g11, " + ", ".join(f"sum(w{j} * {n}) AS p{i}_{j}" for n, i in at.items() for j in range(2)) + f" FROM t{it})")
+        den = lambda i, j: f"(h{i}_0 * g0{j} + h{i}_1 * g{'01' if j == 0 else '11'} + 1e-12)"
+        parts.append(f"h{it + 1} AS (SELECT " + ", ".join(f"h{i}_{j} * p{i}_{j} / {den(i, j)} AS h{i}_{j}" for i in at.values() for j in range(2)) + f" FROM h{it}, s{it})")
+        score = [" + ".join(f"{n} * h{i}_{j}" for n, i in at.items()) for j in range(2)]
+        hh = lambda a, b: "(" + " + ".join(f"h{i}_{a} * h{i}_{b}" for i in at.values()) + ")"
+        parts.append(f"t{it + 1} AS (SELECT t.* EXCLUDE (w0, w1), " + ", ".join(f"w{j} * ({score[j]}) / (w0 * {hh(0, j)} + w1 * {hh(1, j)} + 1e-12) AS w{j}" for j in range(2)) + f" FROM t{it} t, h{it + 1})")
+    return "WITH " + ", ".join(parts) + f" SELECT unnest({_list(repr(n) for n in names for _ in range(2))}) AS feature, unnest({_list(str(j) for _ in names for j in range(2))})::INT AS component, unnest({_list(f'round(h{i}_{j}, 6)' for i in at.values() for j in range(2))}) AS value FROM h{iters}"
+
+
+def _full_learning() -> None:
+    """The four methods on two and three attribute tables with all their features, factored and joined."""
+    a, b = 1e-5, 1e-7
+    w0 = ["((7919 * l_orderkey) % 1000 + 1) / 1000.0", "((7919 * l_partkey + 104729) % 1000 + 1) / 1000.0"]
+    for label, name in (("k2", "f2"), ("k2z", "f2z"), ("k3", "f3")):
+        fx = FIXTURES[name]
+        names = list(fx.features)
+        c0 = np.array([[((7 * i + 13 * j) % 10) / 10 for j in range(3)] for i in range(len(names))])
+        h0 = np.array([[((3 * i + 5 * j) % 9 + 1) / 10 for j in range(2)] for i in range(len(names))])
+        for tail, rep in (("", lambda t: t), ("_m", lambda t: t.materialize())):
+            add(f"logistic_gd_{label}{tail}", lambda s, d, fx=fx, rep=rep, names=names: vector(s, names, algos.logistic_gd(rep(fx.build(s, d)), "y", alpha=a, iters=3), 6), _gd_sql(fx, 3, "y / (1 + exp(y * ({s})))", f"+ {a}"))
+            add(f"linreg_gd_{label}{tail}", lambda s, d, fx=fx, rep=rep, names=names: vector(s, names, algos.linreg_gd(rep(fx.build(s, d)), "q", alpha=b, iters=3), 6), _gd_sql(fx, 3, "({s}) - q", f"- {b}"))
+
+            def kmeans(s, d, fx=fx, rep=rep, names=names, c0=c0):
+                c, _ = algos.kmeans(rep(fx.build(s, d)), c0, 2)
+                return s.createDataFrame([(n, j, round(float(c[i, j]), 6)) for i, n in enumerate(names) for j in range(3)], "feature string, cluster int, value double")
+
+            def gnmf(s, d, fx=fx, rep=rep, names=names, h0=h0):
+                _, h = algos.gnmf(rep(fx.build(s, d)), [F.expr(x) for x in w0], h0, 2)
+                return s.createDataFrame([(n, j, round(float(h[i, j]), 6)) for i, n in enumerate(names) for j in range(2)], "feature string, component int, value double")
+
+            if label != "k3":
+                add(f"kmeans_{label}{tail}", kmeans, _kmeans_sql(fx, names, c0, 2))
+                add(f"gnmf_{label}{tail}", gnmf, _gnmf_sql(fx, names, h0, w0, 2))
+
+
 def _learning() -> None:
     fx = FIXTURES["g1"]
     names = list(fx.features)
@@ -301,6 +395,8 @@ def _learning() -> None:
         parts.append(f"t{it + 1} AS (SELECT t.* EXCLUDE (w0, w1), " + ", ".join(f"w{j} * ({sc[j]}) / (w0 * {hh(0, j)} + w1 * {hh(1, j)} + 1e-12) AS w{j}" for j in range(2)) + f" FROM t{it} t, h{it + 1})")
     add("gnmf_k1", gnmf, "WITH " + ", ".join(parts) + f" SELECT unnest({_list(repr(n) for n in gf for _ in range(2))}) AS feature, unnest([0, 1, 0, 1, 0, 1])::INT AS component, unnest({_list(f'round(h{i}{j}, 6)' for i in range(3) for j in range(2))}) AS value FROM h2")
 
+    _full_learning()
+
     w = np.array([1.0, -2.0, 0.5, 3.0, -1.0])
     score = " + ".join(f"({x}) * {n}" for x, n in zip(w, names))
     tcte = f"WITH t AS ({fx.sql(extra)})"
@@ -369,6 +465,7 @@ def _measures() -> None:
 
 
 _linear_algebra()
+_wide_sparse()
 _sweeps()
 _learning()
 _measures()

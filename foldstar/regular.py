@@ -56,8 +56,18 @@ class RegularMatrix(Matrix):
         keep = [F.col(f"`{c}`") for c in self.frame.columns if not c.startswith("_v")]
         return RowMatrix(self.frame.select(*keep, *[_dot(self.names, x[:, j]).alias(c) for j, c in enumerate(cols)]), cols, self)
 
-    def folded(self, r: RowMatrix) -> np.ndarray:
-        return dense.products(r.frame, self.names, r.cols)
+    def folded(self, r: RowMatrix, extra: list = ()) -> np.ndarray | tuple[np.ndarray, np.ndarray]:
+        """T^T R; with `extra` (columns over R's frame) also their sums, in the same pass."""
+        d, m = self.d, len(r.cols)
+        if d * m + len(extra) <= dense.SQL_PRODUCTS:
+            got = dense.sums(r.frame, [dense.d(c) * F.col(v) for c in self.names for v in r.cols] + list(extra))
+        else:
+            def partial(x):
+                return np.concatenate([(x[:, :d].T @ x[:, d : d + m]).ravel(), x[:, d + m :].sum(axis=0)])
+
+            got = dense.gathered([(dense.flat(r.frame, [*self.names, *r.cols, *extra], partial, d * m + len(extra)), d * m + len(extra))])[0]
+        out = got[: d * m].reshape(d, m)
+        return (out, got[d * m :]) if len(extra) else out
 
     def gram(self, **_) -> np.ndarray:
         return dense.products(self.frame, self.names)

@@ -4,10 +4,11 @@ from __future__ import annotations
 
 from dataclasses import dataclass, field
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from foldstar.normalized import Coo, Wide
+from foldstar.lineage import cut
+from foldstar.normalized import Coo, KeyNames, Wide
 
 
 @dataclass
@@ -56,17 +57,27 @@ class FeatureSpec:
             parts.append(words.groupBy(key, (bucket + len(names)).cast("int").alias("col")).agg(F.count("*").cast("double").alias("val")))
             names += [f"{c}_{i}" for i in range(1 << self.bits)]
         if self.key_onehot:
-            ids = [r[0] for r in df.select(key).distinct().orderBy(key).collect()]
-            spark = df.sparkSession
-            known = spark.createDataFrame([(v, len(names) + i) for i, v in enumerate(ids)], f"`{key}` {df.schema[key].dataType.simpleString()}, col int")
+            known = numbered(df.select(key), key, len(names))
             parts.append(known.select(key, "col", F.lit(1.0).alias("val")))
-            names += [f"{key}={v}" for v in ids]
+            names += KeyNames(key, known.count())
         long = parts[0]
         for p in parts[1:]:
             long = long.unionByName(p)
         return Coo(long.where("val <> 0"), key, names, df.select(key).distinct())
 
 
+def numbered(keys: DataFrame, key: str, first: int = 0) -> DataFrame:
+    """Distinct keys with `col`, their position in sorted order from `first` on: no key comes to the driver, only one count a range."""
+    dealt = cut(keys.where(F.col(key).isNotNull()).distinct().repartitionByRange(key).withColumn("_p", F.spark_partition_id()), "keys")
+    base, n = [], first
+    for r in dealt.groupBy("_p").count().orderBy("_p").collect():
+        base.append((r["_p"], n))
+        n += r["count"]
+    start = keys.sparkSession.createDataFrame(base, "_p int, _n long")
+    at = F.row_number().over(Window.partitionBy("_p").orderBy(key)) - 1
+    return cut(dealt.withColumn("_i", at).join(F.broadcast(start), "_p").select(key, (F.col("_n") + F.col("_i")).cast("int").alias("col")), "keys")
+
+
 def packed(df: DataFrame, key: str, column: str, width: int, prefix: str = "x") -> Wide:
     """An array column as a wide block."""
     return Wide(df.select(key, *[F.get(F.col(column), F.lit(i)).cast("double").alias(f"{prefix}{i}") for i in range(width)]), key, [f"{prefix}{i}" for i in range(width)])
@@ -74,3 +85,11 @@ def packed(df: DataFrame, key: str, column: str, width: int, prefix: str = "x")
 
 def binarize(c: Column, threshold: float, labels: str = "pm1") -> Column:
     return F.when(c > threshold, 1.0).otherwise(-1.0 if labels == "pm1" else 0.0)
+
+
+def target_as_feature(t, y: str, name: str | None = None):
+    """T with the row column `y` as its first own feature, for methods without a target (K-Means, factorizations)."""
+    from foldstar.normalized import FactoredMatrix
+
+    name = name or f"target_{y}"
+    return FactoredMatrix(t.rows.withColumn(name, F.col(y).cast("double")), [name, *t.own], t.links, [*t.trace, "target as feature"])

@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from foldstar.keyed import KeyedJoin
-from foldstar.normalized import FactoredMatrix, Wide
+from foldstar.normalized import Coo, FactoredMatrix, KeyNames, Wide
 
 # The domains of the nominal columns.
 BRANDS = [f"Brand#{i}" for i in range(1, 26)]
@@ -39,6 +39,7 @@ LINE9 = LINE4 | _hot("l_returnflag", ["A", "N", "R"], "l_rf") | _hot("l_linestat
 PART2 = {"p_sz": _num("p_size"), "p_retail": _num("round(p_retailprice)")}
 PART33 = _hot("p_brand", BRANDS, "p_br") | _hot("p_type", TYPES, "p_ty") | PART2
 SUPP31 = _hot("s_nationkey", list(range(25)), "s_na") | _hot("n_regionkey", list(range(5)), "s_re") | {"s_bal": _num("round(s_acctbal)")}
+NAT30 = _hot("n_nationkey", list(range(25)), "n_na") | _hot("n_regionkey", list(range(5)), "n_re")
 ORD9 = _hot("o_orderpriority", PRIORITIES, "o_pr") | _hot("o_orderstatus", STATUSES, "o_st") | {"o_total": _num("round(o_totalprice / 100)")}
 CUST36 = _hot("c_nationkey", list(range(25)), "c_na") | _hot("n_regionkey", list(range(5)), "c_re") | _hot("c_mktsegment", SEGMENTS, "c_sg") | {"c_bal": _num("round(c_acctbal)")}
 EV7 = {"e_value": _num("round(value)")} | _hot("event_type", EVENT_TYPES, "e_ty") | {"e_k": _num("CAST(regexp_extract(props, '([0-9]+)', 1) AS INT)")}
@@ -68,6 +69,8 @@ def block(spark: SparkSession, sf: str, name: str) -> Wide:
         return _wide(read(spark, sf, "orders"), "o_orderkey", ORD9)
     if name == "cust36":
         return _wide(_with_nation(spark, sf, "customer", "c_nationkey"), "c_custkey", CUST36)
+    if name == "nat30":
+        return _wide(read(spark, sf, "nation"), "n_nationkey", NAT30)
     if name == "ev7":
         return _wide(read(spark, sf, "events"), "event_id", EV7)
     if name == "emb64":
@@ -146,6 +149,7 @@ FIXTURES: dict[str, Fixture] = {
     "d1": Fixture(_star("events", EV7, ["event_id"], [("emb64", "user_id")]), {"event_id": "event_id"}, EV7 | emb(duck=True), "events JOIN embeddings ON user_id = vec_id"),
     "d2": Fixture(_star("events", EV7, ["event_id"], [("cust36", "user_id"), ("emb64", "user_id")]), {"event_id": "event_id"}, EV7 | _CR | emb(duck=True), f"events JOIN {_CUST} cr ON user_id = c_custkey JOIN embeddings ON user_id = vec_id"),
     "oc": Fixture(_star("orders", ORD9, ["o_orderkey"], [("cust36", "o_custkey")]), {"o_orderkey": "o_orderkey"}, ORD9 | _CR, f"orders JOIN {_CUST} cr ON o_custkey = c_custkey"),
+    "sn": Fixture(_star("supplier", {"s_bal": SUPP31["s_bal"]}, ["s_suppkey"], [("nat30", "s_nationkey")]), {"s_suppkey": "s_suppkey"}, {"s_bal": SUPP31["s_bal"]} | NAT30, "supplier JOIN nation ON s_nationkey = n_nationkey"),
     "mn": Fixture(_mn, {"c_custkey": "_p0", "s_suppkey": "_p1"}, _CR | _SR, f"{_CUST} cr JOIN {_SUPP} sr ON c_nationkey = s_nationkey"),
     "eo": Fixture(_eo, {"event_id": "_p0", "o_orderkey": "_p1"}, EV7 | ORD9, "events JOIN orders ON user_id = o_custkey"),
     "ch": Fixture(_ch, {"s_suppkey": "_p0", "c_custkey": "_p1", "event_id": "_p2"}, _SR | _CR | EV7, f"{_SUPP} sr JOIN {_CUST} cr ON s_nationkey = c_nationkey JOIN events ON user_id = c_custkey"),
@@ -165,6 +169,52 @@ def _g1(spark, sf):
 FIXTURES["g1"] = Fixture(_g1, _LID, SCALED | SCALED_PART, "lineitem JOIN part ON l_partkey = p_partkey")
 
 
+#: Full feature sets for the learning methods, scaled by constants and not negative.
+FULL = SCALED | _hot("l_returnflag", ["A", "N", "R"], "l_rf") | _hot("l_linestatus", ["F", "O"], "l_ls")
+FULL_PART = _hot("p_brand", BRANDS, "p_br") | _hot("p_type", TYPES, "p_ty") | SCALED_PART
+FULL_SUPP = _hot("s_nationkey", list(range(25)), "s_na") | _hot("n_regionkey", list(range(5)), "s_re") | {"s_bal": _num("(s_acctbal + 1000) / 11000")}
+FULL_ORD = _hot("o_orderpriority", PRIORITIES, "o_pr") | _hot("o_orderstatus", STATUSES, "o_st") | {"o_total": _num("o_totalprice / 500000")}
+
+
+def _full(own: dict[str, str], orders: bool = False) -> Callable:
+    def build(spark, sf):
+        df = read(spark, sf, "lineitem").select(*LINE_IDS, *[F.expr(e).alias(n) for n, e in (own | TARGETS).items()])
+        blocks = [(_wide(read(spark, sf, "part"), "p_partkey", FULL_PART), "l_partkey"), (_wide(_with_nation(spark, sf, "supplier", "s_nationkey"), "s_suppkey", FULL_SUPP), "l_suppkey")]
+        if orders:
+            blocks.append((_wide(read(spark, sf, "orders"), "o_orderkey", FULL_ORD), "l_orderkey"))
+        return FactoredMatrix.star(df, [(b, fk, b.key, b.names) for b, fk in blocks], list(own), [*LINE_IDS, *TARGETS], total=True)
+
+    return build
+
+
+_FROM2 = f"lineitem JOIN part ON l_partkey = p_partkey JOIN {_SUPP} sr ON l_suppkey = s_suppkey"
+FIXTURES["f2"] = Fixture(_full(FULL), _LID, FULL | FULL_PART | FULL_SUPP, _FROM2)
+FIXTURES["f2z"] = Fixture(_full({}), _LID, FULL_PART | FULL_SUPP, _FROM2)
+FIXTURES["f3"] = Fixture(_full(FULL, True), _LID, FULL | FULL_PART | FULL_SUPP | FULL_ORD, _FROM2 + " JOIN orders ON l_orderkey = o_orderkey")
+
+
+def _all_pairs(spark, sf):
+    """Supplier with region on a constant: one join value, all pairs."""
+    return FactoredMatrix.mn(block(spark, sf, "supp31"), _wide(read(spark, sf, "region"), "r_regionkey", REG2))
+
+
+REG2 = {"r_key": _num("r_regionkey + 1"), "r_len": _num("length(r_name)")}
+FIXTURES["xx"] = Fixture(_all_pairs, {"s_suppkey": "_p0", "r_regionkey": "_p1"}, _SR | REG2, f"{_SUPP} sr, region")
+
+
+def with_keys(spark: SparkSession, sf: str) -> FactoredMatrix:
+    """k2z with the keys themselves as identity columns: part33 and supp31 as sparse blocks, d grows with the tables."""
+    from foldstar.schema import numbered
+
+    blocks = []
+    for name, fk in (("part33", "l_partkey"), ("supp31", "l_suppkey")):
+        b = block(spark, sf, name)
+        keys = numbered(b.df.select(b.key), b.key, len(b.names))
+        cells = b.cells().select(F.col("_key").alias(b.key), "col", "val").unionByName(keys.select(b.key, "col", F.lit(1.0).alias("val")))
+        blocks.append((Coo(cells, b.key, [*b.names, *KeyNames(b.key, keys.count())], b.df.select(b.key)), fk))
+    return FactoredMatrix.star(read(spark, sf, "lineitem").select("l_partkey", "l_suppkey"), [(b, fk, b.key, []) for b, fk in blocks], [], total=True)
+
+
 def thinned(spark: SparkSession, sf: str, m: int) -> FactoredMatrix:
     """k1 with about m of 30 line items kept: the tuple-ratio sweep."""
     t = FIXTURES["k1"].build(spark, sf)

@@ -48,7 +48,7 @@ def test_products(pair):
     assert (crossprod(t) == T.T @ T).all() and (crossprod(t, t) == T.T @ T).all() and (product(t.T, t) == T.T @ T).all()
     for lane in ("sql", "arrow"):
         assert (dense.products(m.frame, m.names, lane=lane) == T.T @ T).all()
-    k = {(a["r"], a["s"]): a["value"] for a in t.T.gram().collect()}
+    k = {(a["r"], a["s"]): a["value"] for a in t.T.gram("id").collect()}
     assert len(k) == 60 * 61 // 2 and abs(sum(v for (a, b), v in k.items() if a == b) - (T * T).sum()) < 1e-6
     b = t.cooc_bounds(0, 1)
     n = t.cooc(0, 1)
