@@ -20,7 +20,7 @@ def test_sparse_equals_wide(spark):
     t = FactoredMatrix.star(e, [(coo, "k", "k", [])], ["x"], ["id"])
     w = FactoredMatrix.star(e, [(coo.wide(), "k", "k", [])], ["x"], ["id"])
     T = w.materialize().collect()
-    assert t.names == ["x", "v", "c_0", "c_1", "k=1", "k=2", "k=3", "k=4"]
+    assert t.names == ["x", "v", "c_0", "c_1", "k#0", "k#1", "k#2", "k#3"]
     assert (t.gram() == T.T @ T).all() and (t.col_sums() == T.sum(axis=0)).all() and t.sum() == T.sum()
     x = np.arange(16.0).reshape(8, 2)
     a1 = sorted(map(tuple, (t @ x).frame.select("id", "_v0", "_v1").collect()))
