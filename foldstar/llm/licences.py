@@ -1,8 +1,12 @@
 """Licence scan: normalised text against licence templates by the Dice coefficient of word bigrams.
 
+Normalised text: lines that only state a copyright go, and so do comment marks, bullets and numbering at the
+beginning of a line; what is left is lower-cased, spelling variants become one, and the words are runs of
+letters, digits and plus signs (so quotes, dashes and line breaks do not count).
+
 The licence of a text is that of its best run of words, wherever it begins and ends (`Scanner.window`);
 lines, paragraphs and the whole text are such runs (`Scanner.text` compares these units only). A line
-counts in n_lines if it matches on its own. A unit's words are its lower-cased runs of letters, digits and plus signs. With a and b distinct
+counts in n_lines if it matches on its own. With a and b distinct
 bigrams and c in common, Dice is 2c / (a + b); since c <= min(a, b), a unit can reach the threshold t
 only for templates with t / (2 - t) <= a / b <= (2 - t) / t. Units out of every template's bounds are
 left after a count of words; the rest meet only templates within bounds that share a bigram.
@@ -11,7 +15,7 @@ The templates are a constant of this module, so what workers hold does not grow
 scan, no shuffle.
 
 Defined cases: null and empty texts and units of fewer than two words match nothing; texts are taken
-whole; ties go to the template listed first; repeated rows are scanned alike; an empty table gives
+whole; ties go to the larger template (it may contain the smaller), then to the one listed first; repeated rows are scanned alike; an empty table gives
 no rows; extra columns are not read.
 """
 
@@ -50,13 +54,39 @@ TEMPLATES = (
     ("CC-BY-ND-4.0", "Licensed under CC BY-ND 4.0."),
     ("CC0-1.0", "Released under CC0 1.0."),
     ("Unlicense", "This is free and unencumbered software released into the public domain."),
+    ("MIT", "Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files (the \"Software\"), to deal in the Software without restriction, including without limitation the rights to use, copy, modify, merge, publish, distribute, sublicense, and/or sell copies of the Software, and to permit persons to whom the Software is furnished to do so, subject to the following conditions: The above copyright notice and this permission notice shall be included in all copies or substantial portions of the Software. THE SOFTWARE IS PROVIDED \"AS IS\", WITHOUT WARRANTY OF ANY KIND, EXPRESS OR IMPLIED, INCLUDING BUT NOT LIMITED TO THE WARRANTIES OF MERCHANTABILITY, FITNESS FOR A PARTICULAR PURPOSE AND NONINFRINGEMENT. IN NO EVENT SHALL THE AUTHORS OR COPYRIGHT HOLDERS BE LIABLE FOR ANY CLAIM, DAMAGES OR OTHER LIABILITY, WHETHER IN AN ACTION OF CONTRACT, TORT OR OTHERWISE, ARISING FROM, OUT OF OR IN CONNECTION WITH THE SOFTWARE OR THE USE OR OTHER DEALINGS IN THE SOFTWARE."),
+    ("BSD-2-Clause", "Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met: 1. Redistributions of source code must retain the above copyright notice, this list of conditions and the following disclaimer. 2. Redistributions in binary form must reproduce the above copyright notice, this list of conditions and the following disclaimer in the documentation and/or other materials provided with the distribution. THIS SOFTWARE IS PROVIDED BY THE COPYRIGHT HOLDERS AND CONTRIBUTORS \"AS IS\" AND ANY EXPRESS OR IMPLIED WARRANTIES, INCLUDING, BUT NOT LIMITED TO, THE IMPLIED WARRANTIES OF MERCHANTABILITY AND FITNESS FOR A PARTICULAR PURPOSE ARE DISCLAIMED. IN NO EVENT SHALL THE COPYRIGHT HOLDER OR CONTRIBUTORS BE LIABLE FOR ANY DIRECT, INDIRECT, INCIDENTAL, SPECIAL, EXEMPLARY, OR CONSEQUENTIAL DAMAGES (INCLUDING, BUT NOT LIMITED TO, PROCUREMENT OF SUBSTITUTE GOODS OR SERVICES; LOSS OF USE, DATA, OR PROFITS; OR BUSINESS INTERRUPTION) HOWEVER CAUSED AND ON ANY THEORY OF LIABILITY, WHETHER IN CONTRACT, STRICT LIABILITY, OR TORT (INCLUDING NEGLIGENCE OR OTHERWISE) ARISING IN ANY WAY OUT OF THE USE OF THIS SOFTWARE, EVEN IF ADVISED OF THE POSSIBILITY OF SUCH DAMAGE."),
+    ("BSD-3-Clause", "Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met: 1. Redistributions of source code must retain the above copyright notice, this list of conditions and the following disclaimer. 2. Redistributions in binary form must reproduce the above copyright notice, this list of conditions and the following disclaimer in the documentation and/or other materials provided with the distribution. 3. Neither the name of the copyright holder nor the names of its contributors may be used to endorse or promote products derived from this software without specific prior written permission. THIS SOFTWARE IS PROVIDED BY THE COPYRIGHT HOLDERS AND CONTRIBUTORS \"AS IS\" AND ANY EXPRESS OR IMPLIED WARRANTIES, INCLUDING, BUT NOT LIMITED TO, THE IMPLIED WARRANTIES OF MERCHANTABILITY AND FITNESS FOR A PARTICULAR PURPOSE ARE DISCLAIMED. IN NO EVENT SHALL THE COPYRIGHT HOLDER OR CONTRIBUTORS BE LIABLE FOR ANY DIRECT, INDIRECT, INCIDENTAL, SPECIAL, EXEMPLARY, OR CONSEQUENTIAL DAMAGES (INCLUDING, BUT NOT LIMITED TO, PROCUREMENT OF SUBSTITUTE GOODS OR SERVICES; LOSS OF USE, DATA, OR PROFITS; OR BUSINESS INTERRUPTION) HOWEVER CAUSED AND ON ANY THEORY OF LIABILITY, WHETHER IN CONTRACT, STRICT LIABILITY, OR TORT (INCLUDING NEGLIGENCE OR OTHERWISE) ARISING IN ANY WAY OUT OF THE USE OF THIS SOFTWARE, EVEN IF ADVISED OF THE POSSIBILITY OF SUCH DAMAGE."),
+    ("BSD-3-Clause", "Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met: 1. Redistributions of source code must retain the above copyright notice, this list of conditions and the following disclaimer. 2. Redistributions in binary form must reproduce the above copyright notice, this list of conditions and the following disclaimer in the documentation and/or other materials provided with the distribution. 3. Neither the name of the copyright holder nor the names of its contributors may be used to endorse or promote products derived from this software without specific prior written permission."),
+    ("ISC", "Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted, provided that the above copyright notice and this permission notice appear in all copies. THE SOFTWARE IS PROVIDED \"AS IS\" AND THE AUTHOR DISCLAIMS ALL WARRANTIES WITH REGARD TO THIS SOFTWARE INCLUDING ALL IMPLIED WARRANTIES OF MERCHANTABILITY AND FITNESS. IN NO EVENT SHALL THE AUTHOR BE LIABLE FOR ANY SPECIAL, DIRECT, INDIRECT, OR CONSEQUENTIAL DAMAGES OR ANY DAMAGES WHATSOEVER RESULTING FROM LOSS OF USE, DATA OR PROFITS, WHETHER IN AN ACTION OF CONTRACT, NEGLIGENCE OR OTHER TORTIOUS ACTION, ARISING OUT OF OR IN CONNECTION WITH THE USE OR PERFORMANCE OF THIS SOFTWARE."),
+    ("Zlib", "This software is provided 'as-is', without any express or implied warranty. In no event will the authors be held liable for any damages arising from the use of this software. Permission is granted to anyone to use this software for any purpose, including commercial applications, and to alter it and redistribute it freely, subject to the following restrictions: 1. The origin of this software must not be misrepresented; you must not claim that you wrote the original software. If you use this software in a product, an acknowledgment in the product documentation would be appreciated but is not required. 2. Altered source versions must be plainly marked as such, and must not be misrepresented as being the original software. 3. This notice may not be removed or altered from any source distribution."),
+    ("BSL-1.0", "Permission is hereby granted, free of charge, to any person or organization obtaining a copy of the software and accompanying documentation covered by this license (the \"Software\") to use, reproduce, display, distribute, execute, and transmit the Software, and to prepare derivative works of the Software, and to permit third-parties to whom the Software is furnished to do so, all subject to the following: The copyright notices in the Software and this entire statement, including the above license grant, this restriction and the following disclaimer, must be included in all copies of the Software, in whole or in part, and all derivative works of the Software, unless such copies or derivative works are solely in the form of machine-executable object code generated by a source language processor. THE SOFTWARE IS PROVIDED \"AS IS\", WITHOUT WARRANTY OF ANY KIND, EXPRESS OR IMPLIED, INCLUDING BUT NOT LIMITED TO THE WARRANTIES OF MERCHANTABILITY, FITNESS FOR A PARTICULAR PURPOSE, TITLE AND NON-INFRINGEMENT. IN NO EVENT SHALL THE COPYRIGHT HOLDERS OR ANYONE DISTRIBUTING THE SOFTWARE BE LIABLE FOR ANY DAMAGES OR OTHER LIABILITY, WHETHER IN CONTRACT, TORT OR OTHERWISE, ARISING FROM, OUT OF OR IN CONNECTION WITH THE SOFTWARE OR THE USE OR OTHER DEALINGS IN THE SOFTWARE."),
+    ("Unlicense", "This is free and unencumbered software released into the public domain. Anyone is free to copy, modify, publish, use, compile, sell, or distribute this software, either in source code form or as a compiled binary, for any purpose, commercial or non-commercial, and by any means. In jurisdictions that recognize copyright laws, the author or authors of this software dedicate any and all copyright interest in the software to the public domain. We make this dedication for the benefit of the public at large and to the detriment of our heirs and successors. We intend this dedication to be an overt act of relinquishment in perpetuity of all present and future rights to this software under copyright law. THE SOFTWARE IS PROVIDED \"AS IS\", WITHOUT WARRANTY OF ANY KIND, EXPRESS OR IMPLIED, INCLUDING BUT NOT LIMITED TO THE WARRANTIES OF MERCHANTABILITY, FITNESS FOR A PARTICULAR PURPOSE AND NONINFRINGEMENT. IN NO EVENT SHALL THE AUTHORS BE LIABLE FOR ANY CLAIM, DAMAGES OR OTHER LIABILITY, WHETHER IN AN ACTION OF CONTRACT, TORT OR OTHERWISE, ARISING FROM, OUT OF OR IN CONNECTION WITH THE SOFTWARE OR THE USE OR OTHER DEALINGS IN THE SOFTWARE."),
+    ("GPL-3.0", "This program is free software: you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation, either version 3 of the License, or (at your option) any later version. This program is distributed in the hope that it will be useful, but WITHOUT ANY WARRANTY; without even the implied warranty of MERCHANTABILITY or FITNESS FOR A PARTICULAR PURPOSE. See the GNU General Public License for more details."),
+    ("GPL-2.0", "This program is free software: you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation, either version 2 of the License, or (at your option) any later version. This program is distributed in the hope that it will be useful, but WITHOUT ANY WARRANTY; without even the implied warranty of MERCHANTABILITY or FITNESS FOR A PARTICULAR PURPOSE. See the GNU General Public License for more details."),
+    ("LGPL-3.0", "This program is free software: you can redistribute it and/or modify it under the terms of the GNU Lesser General Public License as published by the Free Software Foundation, either version 3 of the License, or (at your option) any later version. This program is distributed in the hope that it will be useful, but WITHOUT ANY WARRANTY; without even the implied warranty of MERCHANTABILITY or FITNESS FOR A PARTICULAR PURPOSE. See the GNU Lesser General Public License for more details."),
+    ("AGPL-3.0", "This program is free software: you can redistribute it and/or modify it under the terms of the GNU Affero General Public License as published by the Free Software Foundation, either version 3 of the License, or (at your option) any later version. This program is distributed in the hope that it will be useful, but WITHOUT ANY WARRANTY; without even the implied warranty of MERCHANTABILITY or FITNESS FOR A PARTICULAR PURPOSE. See the GNU Affero General Public License for more details."),
 )
 
 _WORD = re.compile(r"[^\W_]+\+*|\+").findall
 
 
+_COPYRIGHT = re.compile(r"^[^\w\n]*(?:copyright\b|\(c\)|©)[^\n]{0,200}\b(?:19|20)\d\d\b[^\n]{0,200}$|^[^\w\n]*(?:copyright\b|©)[ \t]*(?:\(c\)|©)[^\n]{0,200}$", re.I | re.M)
+_MARK = re.compile(r"^[ \t]*(?:(?:/\*+|\*+/?|//+|#+|;+|--+|<!--|rem\b)[ \t]*)*(?:(?:\(?(?:\d{1,2}|[a-z]|[ivx]{1,4})[.)]|[-+•*])[ \t]+)?", re.I | re.M)
+
+# Spelling variants that are one word in licences.
+VARIANTS = {
+    "licence": "license", "licences": "licenses", "licenced": "licensed", "sublicence": "sublicense", "organisation": "organization", "recognise": "recognize",
+    "authorised": "authorized", "acknowledgement": "acknowledgment", "merchantibility": "merchantability", "noninfringement": "noninfringement", "favour": "favor", "honour": "honor",
+    "programme": "program", "whilst": "while", "utilisation": "utilization", "judgement": "judgment", "modelled": "modeled", "cancelled": "canceled",
+}
+
+
 def words_of(text: str) -> list[str]:
-    return _WORD(text.lower())
+    """The words of a normalised text."""
+    if "opyright" in text or "OPYRIGHT" in text or "(c)" in text or "(C)" in text or "©" in text:
+        text = _COPYRIGHT.sub("", text)
+    return [VARIANTS.get(w, w) for w in _WORD(_MARK.sub("", text).lower())]
 
 
 def bigrams(words: list[str]) -> set[tuple[str, str]]:
@@ -87,8 +117,7 @@ class Scanner:
         """Best (Dice, template) of a unit at or above the threshold."""
         if len(text) < self.least_chars:
             return None
-        low = text.lower()
-        w = _WORD(low)
+        w = words_of(text)
         if len(w) - 1 < self.least or self.first.isdisjoint(w):
             return None
         g = bigrams(w)
@@ -104,10 +133,14 @@ class Scanner:
             lo, hi = self.bounds[i]
             if lo <= a <= hi:
                 d = 2 * c / (a + self.sizes[i])
-                if d >= self.threshold and (best is None or (-d, i) < (-best[0], best[1])):
+                if d >= self.threshold and (best is None or self._order((d, i)) < self._order(best)):
                     best = (d, i)
         return best
 
+    def _order(self, found: tuple[float, int]) -> tuple:
+        """Best first: the higher Dice, then the larger template (it may contain the smaller), then the one listed first."""
+        return -found[0], -self.sizes[found[1]], found[1]
+
     def window(self, text: str | None) -> tuple[float, int] | None:
         """Best (Dice, template) of any run of words of a text at or above the threshold.
 
@@ -115,7 +148,7 @@ class Scanner:
         it: leaving such ends out never lowers Dice. So runs start at shared bigrams and grow until their
         distinct bigrams pass the upper bound or the first one comes again: linear in the text.
         """
-        w = _WORD((text or "").lower())
+        w = words_of(text or "")
         if len(w) - 1 < self.least or self.first.isdisjoint(w):
             return None
         grams = list(zip(w, w[1:]))
@@ -124,7 +157,7 @@ class Scanner:
             for i in self.by_gram.get(x, ()):
                 at.setdefault(i, []).append(p)
         best = None
-        for i in sorted(at):
+        for i in sorted(at, key=lambda i: (-self.sizes[i], i)):
             lo, hi = self.bounds[i]
             if len({grams[p] for p in at[i]}) < lo:  # c <= a: fewer in common cannot reach the threshold
                 continue
@@ -164,7 +197,7 @@ class Scanner:
             got = self.unit(line)
             if got:
                 n += 1
-                if best is None or (-got[0], got[1]) < (-best[0], best[1]):
+                if best is None or self._order(got) < self._order(best):
                     best = got
             if line.strip():
                 held.append(line)
@@ -177,7 +210,7 @@ class Scanner:
             larger.append(text)
         for u in larger:
             got = self.unit(u)
-            if got and (best is None or (-got[0], got[1]) < (-best[0], best[1])):
+            if got and (best is None or self._order(got) < self._order(best)):
                 best = got
         return (None, 0.0, n) if best is None else (self.names[best[1]], best[0], n)
 

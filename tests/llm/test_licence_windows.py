@@ -14,9 +14,9 @@ def brute(text, threshold=0.8):
                 a = S.bigrams(w[p:q])
                 d = 2 * len(a & b) / (len(a) + len(b))
                 if d >= threshold:
-                    found.append((-d, i))
+                    found.append((-d, -len(b), i))
     best = min(found, default=None)
-    return None if best is None else (-best[0], best[1])
+    return None if best is None else (-best[0], best[2])
 
 
 def test_windows_against_all_runs():

@@ -19,7 +19,7 @@ def brute(text, threshold=0.8):
             b = S.bigrams(S.words_of(t))
             d = 2 * len(a & b) / (len(a) + len(b))
             if d >= threshold:
-                found.append((-d, i))
+                found.append((-d, -len(b), i))
         return min(found, default=None)
 
     paragraphs, held = [], []
@@ -32,7 +32,7 @@ def brute(text, threshold=0.8):
     for u in lines:
         n += top(u) is not None
     best = min((t for t in map(top, [*lines, *paragraphs, text]) if t), default=None)
-    return (None, 0.0, n) if best is None else (S.TEMPLATES[best[1]][0], -best[0], n)
+    return (None, 0.0, n) if best is None else (S.TEMPLATES[best[2]][0], -best[0], n)
 
 
 def test_query(spark):
