@@ -2,13 +2,15 @@
 
 Cosine at least c means that unit vectors are within eps = sqrt(2 - 2c). Unit vectors are projected on
 their leading principal dimensions and sorted by grid cells of side eps, then by coordinates. The
-sorted sequence is cut into blocks; two blocks are joined unless their boxes are further apart than
-eps in the projection, which never lengthens a distance. Inside a task a pair of intervals is halved
-again and again under the same test, and only leaves that stay are compared, in double precision.
+sorted sequence is cut into blocks of fixed size and tiles of a few blocks. Pairs of intervals of the
+sequence are halved again and again, in Spark tables down to tiles and inside a task down to leaves,
+and left as soon as their boxes are further apart than eps in the projection, which never lengthens a
+distance. Only leaves that stay are compared, in double precision.
 
 Equal vectors form one class, so a vector that a third of the rows hold is one row of the join. A
 joined pair of blocks emits a sum of links for each class and a spanning forest, never all links.
-The number of blocks is bounded (MAX_BLOCKS), so what the driver plans with is bounded too.
+A block travels once for each near pair of its tile; a task holds one tile and streams the other. The
+driver sees counts of ranges only, never blocks or pairs.
 
 Defined cases: a vector that is null, empty, zero, or has null or non-finite components links with
 nothing, and so does a row with a null id; vectors of different lengths never link; repeated rows
@@ -27,7 +29,9 @@ from foldstar.llm.shared import partitions, ship, stored, table
 
 LEADING = 6
 BLOCK_ROWS = 2048
-MAX_BLOCKS = 4096
+#: Blocks of a tile, as far as a tile's vectors stay within TILE_BYTES.
+TILE_BLOCKS = 8
+TILE_BYTES = 64 << 20
 LEAF = 256
 SLACK = 1e-9
 
@@ -68,8 +72,8 @@ def principal(classes: DataFrame, dim: int, leading: int) -> np.ndarray:
     return vectors[:, ::-1][:, :leading].copy()
 
 
-def _blocks(classes: DataFrame, dim: int, directions: np.ndarray, eps: float, rows: int, count: int) -> DataFrame:
-    """One row per block: block, nodes, sizes, raw vectors (bytes), and the box lo, hi."""
+def _blocks(classes: DataFrame, dim: int, directions: np.ndarray, eps: float, rows: int, count: int) -> tuple[DataFrame, int]:
+    """One row per block: block (its place), nodes, sizes, raw vectors (bytes), and the box lo, hi; and how many."""
     p = directions.shape[1]
 
     @F.pandas_udf("array<double>")
@@ -106,7 +110,15 @@ def _blocks(classes: DataFrame, dim: int, directions: np.ndarray, eps: float, ro
 
     single = classes.schema["v"].dataType.elementType.simpleString() == "float"
     made = ordered.mapInPandas(cut, "node binary, n binary, v binary, x binary, lo array<double>, hi array<double>")
-    return stored(made.withColumn("block", F.monotonically_increasing_id()), "blocks")
+    cuts = stored(made.withColumn("at", F.monotonically_increasing_id()), "blocks")
+    # places in the whole sequence: the number of a range is in the upper bits of `at`, and only counts come here
+    base, n = [], 0
+    for r in cuts.groupBy(F.shiftright("at", 33).alias("p")).count().orderBy("p").collect():
+        base.append((r["p"], n))
+        n += r["count"]
+    known = classes.sparkSession.createDataFrame(base, "p long, first long")
+    place = (F.col("first") + F.col("at").bitwiseAND(F.lit((1 << 33) - 1))).alias("block")
+    return cuts.join(F.broadcast(known), F.shiftright("at", 33) == F.col("p")).select(place, "node", "n", "v", "x", "lo", "hi"), n
 
 
 def _near(lo_a, hi_a, lo_b, hi_b, eps: float) -> bool:
@@ -114,30 +126,26 @@ def _near(lo_a, hi_a, lo_b, hi_b, eps: float) -> bool:
     return float(gap @ gap) <= (eps + SLACK) ** 2
 
 
-def block_pairs(lo: np.ndarray, hi: np.ndarray, eps: float) -> list[tuple[int, int]]:
-    """Pairs i <= j of blocks in sequence order whose boxes are near, by halving intervals of the sequence."""
-    out = []
-
-    def box(s, t):
-        return lo[s:t].min(axis=0), hi[s:t].max(axis=0)
-
-    todo = [(0, len(lo), 0, len(lo))]
-    while todo:
-        a, b, c, d = todo.pop()
-        if a >= b or c >= d or not _near(*box(a, b), *box(c, d), eps):
-            continue
-        if b - a == 1 and d - c == 1:
-            out.append((a, c))
-        elif (a, b) == (c, d):
-            m = (a + b) // 2
-            todo += [(a, m, a, m), (a, m, m, b), (m, b, m, b)]
-        elif b - a >= d - c:
-            m = (a + b) // 2
-            todo += [(a, m, c, d), (m, b, c, d)]
-        else:
-            m = (c + d) // 2
-            todo += [(a, b, c, m), (a, b, m, d)]
-    return out
+def near_tiles(boxes: DataFrame, count: int, width: int, eps: float) -> DataFrame:
+    """Pairs a <= b of tiles whose boxes are near, by halving pairs of intervals of the sequence level by level.
+
+    boxes: tile, lo, hi for tiles 0 to count - 1. A level is one row an interval; its boxes are joined to the pairs.
+    """
+    spark = boxes.sparkSession
+    box = [*[F.min(F.col("lo")[i]).alias(f"l{i}") for i in range(width)], *[F.max(F.col("hi")[i]).alias(f"h{i}") for i in range(width)]]
+    tiles = stored(boxes.groupBy("tile").agg(F.array(*box[:width]).alias("lo"), F.array(*box[width:]).alias("hi")), "tiles")
+    pairs = spark.createDataFrame([(0, 0)], "a long, b long")
+    for level in range(max(count - 1, 0).bit_length() - 1, -1, -1):
+        size = 1 << level
+        at = F.floor(F.col("tile") / size).cast("long").alias("i")
+        part = tiles.groupBy(at).agg(F.array(*box[:width]).alias("lo"), F.array(*box[width:]).alias("hi")) if level else tiles.select(F.col("tile").alias("i"), "lo", "hi")
+        halves = [F.struct((2 * F.col("a") + x).alias("a"), (2 * F.col("b") + y).alias("b")) for x in (0, 1) for y in (0, 1)]
+        child = pairs.select(F.explode(F.array(*halves)).alias("c")).select("c.a", "c.b").where("a <= b")
+        met = child.join(part.select(F.col("i").alias("a"), F.col("lo").alias("la"), F.col("hi").alias("ha")), "a").join(part.select(F.col("i").alias("b"), F.col("lo").alias("lb"), F.col("hi").alias("hb")), "b")
+        gaps = [F.greatest(F.lit(0.0), F.col("la")[i] - F.col("hb")[i], F.col("lb")[i] - F.col("ha")[i]) for i in range(width)]
+        apart = sum((g * g for g in gaps[1:]), gaps[0] * gaps[0])
+        pairs = stored(met.where(apart <= (eps + SLACK) ** 2).select("a", "b"), "tile-pairs")
+    return pairs
 
 
 def _leaves(xa, xb, same: bool, eps: float):
@@ -168,34 +176,41 @@ def _joined(dim: int, cosine: float, eps: float, leading: int, single: bool):
         v = v / np.abs(v).max(axis=1, keepdims=True)
         return v, np.sqrt((v * v).sum(axis=1))
 
+    def one(p, q):
+        """Links between two blocks (or inside one): class, a class of its component, sum of links."""
+        same = p is q
+        (va, la, xa, na, ma), (vb, lb, xb, nb, mb) = p, q
+        shift = 0 if same else len(va)
+        sums = np.zeros(shift + len(vb), dtype=np.int64)
+        forest = Forest(len(sums))
+        for a, b, c, d in _leaves(xa, xb, same, eps):
+            i, j = np.nonzero((va[a:b] @ vb[c:d].T) / (la[a:b, None] * lb[None, c:d]) >= cosine)
+            i, j = i + a, j + c
+            if same:
+                keep = i < j
+                i, j = i[keep], j[keep]
+            np.add.at(sums, i, nb[j])
+            np.add.at(sums, j + shift, na[i])
+            forest.add(i, j + shift)
+        nodes = ma if same else np.concatenate([ma, mb])
+        hit = np.flatnonzero(sums)
+        return pd.DataFrame({"a": nodes[hit], "b": nodes[forest.up[hit]], "n": sums[hit]}) if len(hit) else None
+
     def run(frames):
+        now, held = None, []
         for f in frames:
             for r in f.itertuples(index=False):
-                same = r.a == r.b
-                va, la = load(r.v_a)
-                vb, lb = (va, la) if same else load(r.v_b)
-                xa = np.frombuffer(r.x_a).reshape(-1, leading)
-                xb = xa if same else np.frombuffer(r.x_b).reshape(-1, leading)
-                na = np.frombuffer(r.n_a, dtype=np.int64)
-                nb = na if same else np.frombuffer(r.n_b, dtype=np.int64)
-                shift = 0 if same else len(va)
-                sums = np.zeros(shift + len(vb), dtype=np.int64)
-                forest = Forest(len(sums))
-                for a, b, c, d in _leaves(xa, xb, same, eps):
-                    i, j = np.nonzero((va[a:b] @ vb[c:d].T) / (la[a:b, None] * lb[None, c:d]) >= cosine)
-                    i, j = i + a, j + c
-                    if same:
-                        keep = i < j
-                        i, j = i[keep], j[keep]
-                    np.add.at(sums, i, nb[j])
-                    np.add.at(sums, j + shift, na[i])
-                    forest.add(i, j + shift)
-                nodes = np.frombuffer(r.node_a, dtype=np.int64)
-                if not same:
-                    nodes = np.concatenate([nodes, np.frombuffer(r.node_b, dtype=np.int64)])
-                hit = np.flatnonzero(sums)
-                if len(hit):
-                    yield pd.DataFrame({"a": nodes[hit], "b": nodes[forest.up[hit]], "n": sums[hit]})
+                if (r.a, r.b) != now:
+                    now, held = (r.a, r.b), []
+                v, l = load(r.v)
+                block = (v, l, np.frombuffer(r.x).reshape(-1, leading), np.frombuffer(r.n, dtype=np.int64), np.frombuffer(r.node, dtype=np.int64))
+                if r.side == 0:
+                    held.append(block)
+                # within one tile a block meets itself and those before it; the other tile's blocks meet all held ones
+                for other in held if r.a == r.b or r.side == 1 else []:
+                    got = one(other, block)
+                    if got is not None:
+                        yield got
 
     return run
 
@@ -207,17 +222,17 @@ def _linked(classes: DataFrame, dim: int, cosine: float, leading: int) -> DataFr
     leading = min(leading, dim)
     directions = principal(classes, dim, leading)
     count = classes.count()
-    rows = max(BLOCK_ROWS, -(-count // MAX_BLOCKS))
-    blocks = _blocks(classes, dim, directions, eps, rows, count)
-    boxes = blocks.select("block", "lo", "hi").orderBy("block").collect()  # about MAX_BLOCKS and the number of tasks at most
-    if not boxes:
+    blocks, n = _blocks(classes, dim, directions, eps, BLOCK_ROWS, count)
+    if not n:
         return spark.createDataFrame([], "a long, b long, n long")
-    pairs = block_pairs(np.array([r["lo"] for r in boxes]), np.array([r["hi"] for r in boxes]), eps)
-    listed = spark.createDataFrame([(boxes[i]["block"], boxes[j]["block"]) for i, j in pairs], "a long, b long")
-    side = lambda s: blocks.select(F.col("block").alias(s), *[F.col(c).alias(f"{c}_{s}") for c in ("node", "n", "v", "x")])
-    met = listed.join(side("a"), "a").join(side("b"), "b").repartition(max(partitions(classes), min(len(pairs), 4 * partitions(classes))))
+    per = max(1, min(TILE_BLOCKS, TILE_BYTES // (8 * dim * BLOCK_ROWS)))
+    blocks = blocks.withColumn("tile", F.floor(F.col("block") / per).cast("long"))
+    pairs = near_tiles(blocks.select("tile", "lo", "hi"), -(-n // per), leading, eps)
+    sides = [pairs.select("a", "b", F.lit(0).alias("side"), F.col("a").alias("tile")), pairs.where("a < b").select("a", "b", F.lit(1).alias("side"), F.col("b").alias("tile"))]
+    met = sides[0].unionByName(sides[1]).join(blocks.select("tile", "block", "node", "n", "v", "x"), "tile")
+    dealt = met.repartition(4 * partitions(classes), "a", "b").sortWithinPartitions("a", "b", "side", "block")
     single = classes.schema["v"].dataType.elementType.simpleString() == "float"
-    return met.mapInPandas(_joined(dim, cosine, eps, leading, single), "a long, b long, n long")
+    return dealt.mapInPandas(_joined(dim, cosine, eps, leading, single), "a long, b long, n long")
 
 
 def near_vectors(df: DataFrame, key: str = "vec_id", vector: str = "embedding", cosine: float = 0.95, leading: int = LEADING) -> DataFrame:

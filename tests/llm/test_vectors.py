@@ -42,6 +42,7 @@ def test_query(spark):
 def test_planted_in_small_blocks(spark, monkeypatch):
     monkeypatch.setattr(V, "BLOCK_ROWS", 16)
     monkeypatch.setattr(V, "LEAF", 4)
+    monkeypatch.setattr(V, "TILE_BLOCKS", 2)
     g = np.random.default_rng(6)
     rows = []
     for c in range(12):
@@ -56,11 +57,13 @@ def test_planted_in_small_blocks(spark, monkeypatch):
     assert V.near_vectors(df.limit(0)).count() == 0
 
 
-def test_pairs_cover_everything_near():
+def test_tile_pairs_cover_everything_near(spark):
     r = random.Random(1)
-    lo = np.array([[r.random() * 5, r.random() * 5] for _ in range(40)])
+    lo = np.array([[r.random() * 5, r.random() * 5] for _ in range(21)])
     lo = lo[np.lexsort(lo.T[::-1])]
     hi = lo + 0.3
-    want = {(i, j) for i in range(40) for j in range(i, 40) if V._near(lo[i], hi[i], lo[j], hi[j], 0.5)}
-    got = V.block_pairs(lo, hi, 0.5)
+    want = {(i, j) for i in range(21) for j in range(i, 21) if V._near(lo[i], hi[i], lo[j], hi[j], 0.5)}
+    boxes = spark.createDataFrame([(i, lo[i].tolist(), hi[i].tolist()) for i in range(21)], "tile long, lo array<double>, hi array<double>")
+    got = [(x["a"], x["b"]) for x in V.near_tiles(boxes, 21, 2, 0.5).collect()]
     assert set(got) == want and len(got) == len(want)
+    assert [tuple(x) for x in V.near_tiles(boxes.limit(1), 1, 2, 0.5).collect()] == [(0, 0)]
