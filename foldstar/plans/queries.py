@@ -116,7 +116,8 @@ def _linear_algebra() -> None:
         add(f"gram_{label}", lambda s, d, fx=fx, fn=fn: upper(s, list(fx.features), fn(fx.build(s, d))), sql_pairs(fx, cells, lambda a, b: f"sum({a} * {b})"))
     k2 = FIXTURES["k2"]
     add("gram_cooc_k2", lambda s, d: upper(s, list(k2.features), k2.build(s, d).gram(pairs="cooc")), ORACLES["gram_k2"])
-    add("m_gram_k2", lambda s, d: upper(s, list(k2.features), k2.build(s, d).materialize().gram()), ORACLES["gram_k2"])
+    for name in ("k1", "k2", "k3"):
+        add(f"m_gram_{name}", lambda s, d, fx=FIXTURES[name]: upper(s, list(fx.features), fx.build(s, d).materialize().gram()), ORACLES[f"gram_{name}"])
     fx1 = FIXTURES["k1min"]
     n1 = list(fx1.features)
     c1 = [(a, b) for i, a in enumerate(n1) for b in n1[i:]]
