@@ -28,9 +28,10 @@ def test_factored_plan_moves_scores_not_features(spark):
     from foldstar.workloads import FIXTURES
 
     t = FIXTURES["k1"].build(spark, SF)
-    r = t @ [[1.0]] * 1 if False else t.scored(__import__("numpy").ones((t.d, 1)))
-    joined = r.frame._jdf.queryExecution().optimizedPlan().toString()
-    join = joined[joined.index("Join Inner") :]
-    right = join.split("+- ")[1]
-    assert right.count("p_br") == 0 or "_s0_0" in right
+    scores = t.links[0].block.scores(__import__("numpy").ones((33, 1)), "_s0_")
+    assert scores.columns == ["_key", "_s0_0"]
+    r = t.scored(__import__("numpy").ones((t.d, 1)))
+    assert not set(t.links[0].block.names) & set(r.frame.columns)
+    above = r.frame._jdf.queryExecution().optimizedPlan().toString().split("Join Inner")[0]
+    assert "p_br" not in above and "_s0_0" in above
     assert t.explain().startswith("star")
