@@ -50,9 +50,8 @@ def hashes(text: str | None, shingle: int) -> np.ndarray:
     return np.fromiter((digest(joined[a:b], SEED) for a, b in zip(starts[:n].tolist(), ends[shingle - 1 :].tolist())), dtype=np.uint64, count=n)
 
 
-def fingerprint(text: str | None, shingle: int = 3) -> int:
-    """Signed 64-bit SimHash of a text's word shingles, repeats included."""
-    h = hashes(text, shingle)
+def bits(h: np.ndarray) -> int:
+    """Signed 64-bit fingerprint: the bits set in over half of the hashes (none: zero)."""
     if not len(h):
         return 0
     ones = np.zeros(64, dtype=np.int64)
@@ -64,6 +63,11 @@ def fingerprint(text: str | None, shingle: int = 3) -> int:
     return int((_BIT[2 * ones > len(h)]).sum(dtype=np.uint64).astype(np.int64))
 
 
+def fingerprint(text: str | None, shingle: int = 3) -> int:
+    """Signed 64-bit SimHash of a text's word shingles, repeats included."""
+    return bits(hashes(text, shingle))
+
+
 def fingerprints(docs: DataFrame, key: str = "doc_id", text: str = "text", shingle: int = 3) -> DataFrame:
     """Columns _k (the key) and fp (long)."""
     ship(docs.sparkSession)

@@ -1,15 +1,20 @@
-"""Near-duplicates by the Jaccard similarity of sets of word shingles, without loss.
-
-Two sets of similarity t or more share at least t of the larger one, so in any common order of all
-shingles their first n - ceil(t n) + 1 members meet. The order here is by the number of texts that
-hold a shingle, rarest first: shingles of one text meet nothing, and a text with enough of them drops
-out. Every pair that meets is verified on the whole sets; components follow by rounds of stars.
-
-Equal sets are one node. Candidate pairs grow with the square of a group of texts that share a rare
-shingle: groups of near copies, not passages that many unlike texts hold.
-
-Defined cases: fewer than `shingle` words are one shingle; texts without a word have the empty set
-and are copies of each other; rows with a null key stay; extra columns pass through.
+"""Near-duplicates by the Jaccard similarity of sets of word shingles: SimHash blocks first, then an exact way for the rest.
+
+Pigeonhole blocks (simhash.links) find the sets whose fingerprints differ in few bits; a pair of similarity
+0.8 differs in about ten bits of 64 and is mostly out of their reach. For the rest: two sets of similarity t
+share at least t of the larger one, so in any common order of all shingles their first n - ceil(t n) + 1
+members meet. The order here is by the number of texts that hold a shingle, rarest first: shingles of one
+text meet nothing, and a text with enough of them drops out. Every pair is verified on the whole sets.
+
+A group (the texts that meet in one shingle) never emits all its pairs. In a group of more than `group`
+texts each is first tried against the text whose shingles are the most common, which near copies share;
+afterwards only texts outside the group's largest component are tried, against texts of other components.
+So a group of near copies costs its size, and no link between components is lost. The cost of a large group
+of texts that meet but are not alike remains their number outside that component times the group.
+
+Equal sets are one node. Defined cases: fewer than `shingle` words are one shingle; texts without a word have
+the empty set and are copies of each other; repeated rows share a node; ties of group leaders go to the
+larger node; rows with a null key stay; an empty table gives no rows; extra columns pass through.
 """
 
 from __future__ import annotations
@@ -19,54 +24,97 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from foldstar.llm import simhash
 from foldstar.llm.graph import components
 from foldstar.llm.shared import ship, stored, table
-from foldstar.llm.simhash import hashes
 
-THRESHOLD, SHINGLE = 0.8, 5
+THRESHOLD, SHINGLE, GROUP = 0.8, 5, 64
 
 
 def shingle_sets(docs: DataFrame, key: str, text: str, shingle: int) -> DataFrame:
-    """Columns _k, s (sorted distinct shingle hashes), node (a digest of s)."""
+    """Columns _k, s (sorted distinct shingle hashes), fp (their SimHash), node (a digest of s)."""
     ship(docs.sparkSession)
 
-    @F.pandas_udf("array<long>")
-    def sets(texts: pd.Series) -> pd.Series:
-        return pd.Series([np.unique(hashes(t, shingle).view(np.int64)) for t in texts])
+    @F.pandas_udf("s array<long>, fp long")
+    def sets(texts: pd.Series) -> pd.DataFrame:
+        found = [np.unique(simhash.hashes(t, shingle).view(np.int64)) for t in texts]
+        return pd.DataFrame({"s": found, "fp": np.fromiter((simhash.bits(s.view(np.uint64)) for s in found), dtype=np.int64, count=len(found))})
+
+    own = docs.select(F.col(f"`{key}`").alias("_k"), sets(F.col(f"`{text}`")).alias("x"))
+    return own.select("_k", "x.s", "x.fp").withColumn("node", F.xxhash64("s"))
+
+
+def _pairs(a, b) -> list:
+    return [F.least(a, b).alias("a"), F.greatest(a, b).alias("b")]
+
+
+def verified(pairs: DataFrame, nodes: DataFrame, threshold: float) -> DataFrame:
+    """The distinct pairs a, b of nodes with similarity `threshold` or more."""
+    sets = pairs.distinct().join(nodes.select(F.col("node").alias("a"), F.col("s").alias("sa")), "a").join(nodes.select(F.col("node").alias("b"), F.col("s").alias("sb")), "b")
+    common = F.size(F.array_intersect("sa", "sb"))
+    return sets.where(common * (1 + threshold) >= (F.size("sa") + F.size("sb")) * threshold - 1e-9).select("a", "b")
 
-    return docs.select(F.col(f"`{key}`").alias("_k"), sets(F.col(f"`{text}`")).alias("s")).withColumn("node", F.xxhash64("s"))
 
+def by_fingerprint(nodes: DataFrame) -> DataFrame:
+    """Candidate pairs a, b of nodes: a star in each fingerprint, and SimHash links between the stars."""
+    heads = stored(nodes.groupBy("fp").agg(F.min("node").alias("head")), "fingerprint-heads")
+    same = nodes.join(heads, "fp").where("node <> head").select(*_pairs("node", "head"))
+    near = simhash.links(heads.select("fp")).distinct()
+    ends = near.join(heads.toDF("a", "ha"), "a").join(heads.toDF("b", "hb"), "b").select(*_pairs("ha", "hb"))
+    return same.unionByName(ends)
 
-def links(nodes: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
-    """Edges a, b between nodes (columns node, s) of similarity `threshold` or more: all of them."""
+
+def prefixes(nodes: DataFrame, threshold: float) -> DataFrame:
+    """Columns node, n, score (mean count of the node's shingles), h: the rarest shingles of each node, of which similar nodes share one."""
     spread = nodes.select("node", F.size("s").alias("n"), F.explode("s").alias("h"))
     shared = stored(spread.groupBy("h").agg(F.count("*").alias("c")).where("c > 1"), "shared-shingles")
-    held = spread.join(shared, "h").groupBy("node", "n").agg(F.sort_array(F.collect_list(F.struct("c", "h"))).alias("x"))
+    held = spread.join(shared, "h").groupBy("node", "n").agg(F.sort_array(F.collect_list(F.struct("c", "h"))).alias("x"), (F.sum("c") / F.col("n")).alias("score"))
     # the n - size(x) shingles of this text alone come first in the order
     take = F.size("x") + 1 - F.ceil(F.col("n") * threshold - 1e-9).cast("int")
-    first = stored(held.withColumn("take", take).where("take > 0").select("node", "n", F.explode(F.slice("x", F.lit(1), F.col("take"))["h"]).alias("h")), "shingle-prefixes")
-    a, b = first.toDF("a", "na", "h"), first.toDF("b", "nb", "h")
-    close = (F.col("a") < F.col("b")) & (F.least("na", "nb") >= F.greatest("na", "nb") * threshold - 1e-9)
-    pairs = a.join(b, "h").where(close).select("a", "b").distinct()
-    sets = pairs.join(nodes.select(F.col("node").alias("a"), F.col("s").alias("sa")), "a").join(nodes.select(F.col("node").alias("b"), F.col("s").alias("sb")), "b")
-    common = F.size(F.array_intersect("sa", "sb"))
-    return sets.where(common * (1 + threshold) >= (F.size("sa") + F.size("sb")) * threshold - 1e-9).select("a", "b")
+    return stored(held.withColumn("take", take).where("take > 0").select("node", "n", "score", F.explode(F.slice("x", F.lit(1), F.col("take"))["h"]).alias("h")), "shingle-prefixes")
+
+
+def _placed(first: DataFrame, edges: DataFrame) -> DataFrame:
+    """`first` with the component of each node as `root`."""
+    return first.join(components(edges), "node", "left").withColumn("root", F.coalesce("root", "node"))
+
+
+def _met(a: DataFrame, b: DataFrame, threshold: float) -> DataFrame:
+    """Pairs of nodes that share a shingle h, are of like size and in different components."""
+    x, y = a.select("h", "node", "n", "root").toDF("h", "a", "na", "ra"), b.select("h", "node", "n", "root").toDF("h", "b", "nb", "rb")
+    like = F.least("na", "nb") >= F.greatest("na", "nb") * threshold - 1e-9
+    return x.join(y, "h").where(like & (F.col("ra") != F.col("rb"))).select(*_pairs("a", "b"))
+
+
+def links(nodes: DataFrame, threshold: float = THRESHOLD, group: int = GROUP) -> DataFrame:
+    """Edges a, b between nodes (columns node, s, fp) of similarity `threshold` or more, with the components of all such pairs."""
+    edges = stored(verified(by_fingerprint(nodes), nodes, threshold), "close-pairs")
+    first = prefixes(nodes, threshold)
+    placed = stored(_placed(first, edges), "placed-prefixes")
+    # the leader of a large group is the node whose shingles most texts hold
+    leaders = placed.groupBy("h").agg(F.count("*").alias("c"), F.max(F.struct("score", "node", "n", "root")).alias("l")).where(F.col("c") > group).select("h", "l.*")
+    edges = stored(edges.unionByName(verified(_met(placed, leaders, threshold), nodes, threshold)), "close-pairs")
+    placed = stored(_placed(first, edges), "placed-prefixes")
+    sizes = placed.groupBy("h", "root").agg(F.count("*").alias("c"))
+    largest = sizes.groupBy("h").agg(F.count("*").alias("parts"), F.max(F.struct("c", "root"))["root"].alias("main")).where("parts > 1").drop("parts")
+    apart = placed.join(largest, "h").where("root <> main")
+    return edges.unionByName(verified(_met(apart, placed, threshold), nodes, threshold))
 
 
-def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", threshold: float = THRESHOLD, shingle: int = SHINGLE) -> DataFrame:
+def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", threshold: float = THRESHOLD, shingle: int = SHINGLE, group: int = GROUP) -> DataFrame:
     """Per row: _k, component_id (smallest key reachable by links)."""
     own = stored(shingle_sets(docs, key, text, shingle), "shingle-sets")
-    classes = stored(own.groupBy("node").agg(F.min("_k").alias("rep"), F.first("s").alias("s")), "shingle-classes")
-    roots = components(links(classes.select("node", "s"), threshold))
+    classes = stored(own.groupBy("node").agg(F.min("_k").alias("rep"), F.first("s").alias("s"), F.first("fp").alias("fp")), "shingle-classes")
+    roots = components(links(classes.select("node", "s", "fp"), threshold, group))
     placed = classes.select("node", "rep").join(roots, "node", "left").select("node", "rep", F.coalesce("root", "node").alias("root"))
     named = placed.groupBy("root").agg(F.min("rep").alias("component_id"))
     return own.select("_k", "node").join(placed.join(named, "root").select("node", "component_id"), "node").select("_k", "component_id")
 
 
-def keep_first(docs: DataFrame, key: str = "doc_id", text: str = "text", threshold: float = THRESHOLD, shingle: int = SHINGLE) -> DataFrame:
+def keep_first(docs: DataFrame, key: str = "doc_id", text: str = "text", **how) -> DataFrame:
     """The rows of `docs` whose key is their component's smallest; rows with a null key stay."""
     keyed = docs.where(F.col(f"`{key}`").isNotNull())
-    kept = near_duplicates(keyed, key, text, threshold, shingle).where("_k = component_id").select(F.col("_k").alias(key)).distinct()
+    kept = near_duplicates(keyed, key, text, **how).where("_k = component_id").select(F.col("_k").alias(key)).distinct()
     return keyed.join(kept, key, "left_semi").select(*[F.col(f"`{c}`") for c in docs.columns]).unionByName(docs.where(F.col(f"`{key}`").isNull()))
 
 

@@ -3,8 +3,7 @@ from foldstar.llm.shared import stored
 from foldstar.llm.lines import SINGLE_WORDS
 from tests.llm.test_line_singles import brute as lines_brute
 from tests.llm.test_packing import check
-from tests.llm.test_simhash import brute as simhash_brute
-from tests.llm.test_simhash import slow_print
+from tests.llm.test_similar import brute as similar_brute
 from tests.llm.test_substrings import brute as substring_brute
 
 SF = "/root/testdata/sf0.001"
@@ -32,8 +31,7 @@ def test_stages_against_brute_force(spark):
     assert all(r["n_chars"] == len(r["text"]) for r in kept.collect())
     near = stored(stages["near-dedup"](spark, kept, SF), "test")
     assert near.columns == docs.columns
-    fps = {k: slow_print(t) for k, t in texts2.items()}
-    root = simhash_brute(sorted(texts2), fps)
+    root = similar_brute(texts2)
     texts3 = as_dict(near)
     assert texts3 == {k: t for k, t in texts2.items() if root[k] == k}
     cut = stored(stages["substring dedup"](spark, near, SF), "test")
