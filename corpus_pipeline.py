@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from foldstar.llm import lines, packing, quality, similar, simhash, substrings
+from foldstar.llm import lines, packing, quality, similar, substrings
 from foldstar.llm.shared import filtered, stored, table
 
 
@@ -33,8 +33,8 @@ def line_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near-duplicates stays."""
-    return simhash.keep_first(docs)
+    """One document of each group linked by a similarity of 0.8 or more on five-word shingles stays."""
+    return similar.keep_first(docs)
 
 
 def substring_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -57,32 +57,14 @@ STAGES = [
 ]
 
 
-
-def whole_line_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """line_stage, and later copies of single lines of lines.SINGLE_WORDS words or more."""
-    return _sized(docs, lines.deduped(docs, single_words=lines.SINGLE_WORDS))
-
-
-def similar_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group linked by a similarity of 0.8 or more on five-word shingles stays."""
-    return similar.keep_first(docs)
-
-
-#: The pipeline without the cuts of STAGES in line dedup and near-dedup (README).
-WHOLE_STAGES = [(name, {"line dedup": whole_line_stage, "near-dedup": similar_stage}.get(name, stage)) for name, stage in STAGES]
-
 #: SQL has no XXH64, no tokenizer and no automata: the tests hold every stage against brute force.
 ORACLE_SQL = None
 
 
-def run(spark: SparkSession, sf_dir: str, stages=STAGES) -> DataFrame:
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
-    for i, (_, stage) in enumerate(stages):
+    for i, (_, stage) in enumerate(STAGES):
         docs = stage(spark, docs, sf_dir)
-        if i < len(stages) - 1:
+        if i < len(STAGES) - 1:
             docs = stored(docs, f"stage-{i}")
     return docs
-
-
-def run_whole(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return run(spark, sf_dir, WHOLE_STAGES)
