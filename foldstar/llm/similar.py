@@ -3,24 +3,26 @@
 Pigeonhole blocks (simhash.links) find the sets whose fingerprints differ in few bits; a pair of similarity
 0.8 differs in about ten bits of 64 and is mostly out of their reach. For the rest: two sets of similarity t
 share at least t of the larger one, so in any common order of all shingles their first n - ceil(t n) + 1
-members meet. The order here is by the number of texts that hold a shingle, rarest first: shingles of one
-text meet nothing, and a text with enough of them drops out. Every pair is verified on the whole sets.
+members meet. The order here is by the count of a shingle's bucket (one of BUCKETS, counted over all texts),
+then by the hash, so that common shingles come last; only those first members cross a shuffle. Every pair is
+verified on the whole sets, which are made again from the texts that meet another.
 
 A group (the texts that meet in one shingle) never emits all its pairs. In a group of more than `group`
-texts each is first tried against the text whose shingles are the most common, which near copies share;
+texts each is first tried against the text whose shingles meet the most others, which near copies share;
 afterwards only texts outside the group's largest component are tried, against texts of other components.
 So a group of near copies costs its size, and no link between components is lost. The cost of a large group
 of texts that meet but are not alike remains their number outside that component times the group.
 
 Equal sets are one node. Defined cases: fewer than `shingle` words are one shingle; texts without a word have
 the empty set and are copies of each other; repeated rows share a node; ties of group leaders go to the
-larger node; rows with a null key stay; an empty table gives no rows; extra columns pass through.
+larger node; rows with a null key stay and have no component; an empty table gives no rows; extra columns pass through.
 """
 
 from __future__ import annotations
 
 import numpy as np
 import pandas as pd
+import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -29,19 +31,63 @@ from foldstar.llm.graph import components
 from foldstar.llm.shared import ship, stored, table
 
 THRESHOLD, SHINGLE, GROUP = 0.8, 5, 64
+BUCKETS = 1 << 16
 
 
-def shingle_sets(docs: DataFrame, key: str, text: str, shingle: int) -> DataFrame:
-    """Columns _k, s (sorted distinct shingle hashes), fp (their SimHash), node (a digest of s)."""
+def _set(text: str | None, shingle: int) -> np.ndarray:
+    return np.unique(simhash.hashes(text, shingle).view(np.int64))
+
+
+def _digest(s: np.ndarray) -> int:
+    return int(np.uint64(xxhash.xxh64_intdigest(s.tobytes())).astype(np.int64))
+
+
+def bucket_counts(docs: DataFrame, text: str, shingle: int) -> np.ndarray:
+    """How many distinct shingles of all texts fall in each bucket of hashes; BUCKETS numbers come to the driver."""
+
+    def run(frames):
+        total = np.zeros(BUCKETS, dtype=np.int64)
+        for f in frames:
+            for t in f["t"]:
+                np.add.at(total, _set(t, shingle) & (BUCKETS - 1), 1)
+        b = np.flatnonzero(total)
+        yield pd.DataFrame({"b": b, "c": total[b]})
+
+    ship(docs.sparkSession)
+    found = docs.select(F.col(f"`{text}`").alias("t")).mapInPandas(run, "b long, c long").groupBy("b").agg(F.sum("c").alias("c")).toPandas()
+    counts = np.zeros(BUCKETS, dtype=np.int64)
+    counts[found["b"].to_numpy(dtype=np.int64)] = found["c"].to_numpy(dtype=np.int64)
+    return counts
+
+
+def signatures(docs: DataFrame, key: str, text: str, threshold: float, shingle: int) -> DataFrame:
+    """Columns _k, node (a digest of the set), fp (its SimHash), n (its size), x (its first members, of which similar sets share one)."""
+    counts = bucket_counts(docs, text, shingle)
+
+    @F.pandas_udf("node long, fp long, n int, x array<long>")
+    def signed(texts: pd.Series) -> pd.DataFrame:
+        rows = []
+        for t in texts:
+            s = _set(t, shingle)
+            take = len(s) - int(np.ceil(threshold * len(s) - 1e-9)) + 1 if len(s) else 0
+            rows.append((_digest(s), simhash.bits(s.view(np.uint64)), len(s), s[np.lexsort((s, counts[s & (BUCKETS - 1)]))[:take]]))
+        return pd.DataFrame(rows, columns=["node", "fp", "n", "x"])
+
+    return docs.select(F.col(f"`{key}`").alias("_k"), signed(F.col(f"`{text}`")).alias("y")).select("_k", "y.*")
+
+
+def shingle_sets(docs: DataFrame, key: str, text: str, shingle: int, wanted: DataFrame) -> DataFrame:
+    """Columns node, s (sorted distinct shingle hashes) of the nodes in `wanted` (node, rep: a key of it)."""
     ship(docs.sparkSession)
 
-    @F.pandas_udf("s array<long>, fp long")
+    @F.pandas_udf("own long, s array<long>")
     def sets(texts: pd.Series) -> pd.DataFrame:
-        found = [np.unique(simhash.hashes(t, shingle).view(np.int64)) for t in texts]
-        return pd.DataFrame({"s": found, "fp": np.fromiter((simhash.bits(s.view(np.uint64)) for s in found), dtype=np.int64, count=len(found))})
+        found = [_set(t, shingle) for t in texts]
+        return pd.DataFrame({"own": [_digest(s) for s in found], "s": found})
 
-    own = docs.select(F.col(f"`{key}`").alias("_k"), sets(F.col(f"`{text}`")).alias("x"))
-    return own.select("_k", "x.s", "x.fp").withColumn("node", F.xxhash64("s"))
+    met = docs.select(F.col(f"`{key}`").alias("rep"), F.col(f"`{text}`").alias("_t")).join(wanted, "rep")
+    made = met.select("node", sets("_t").alias("y")).where("node = y.own")
+    return made.select("node", "y.s").dropDuplicates(["node"])
 
 
 def _pairs(a, b) -> list:
@@ -64,14 +110,11 @@ def by_fingerprint(nodes: DataFrame) -> DataFrame:
     return same.unionByName(ends)
 
 
-def prefixes(nodes: DataFrame, threshold: float) -> DataFrame:
-    """Columns node, n, score (mean count of the node's shingles), h: the rarest shingles of each node, of which similar nodes share one."""
-    spread = nodes.select("node", F.size("s").alias("n"), F.explode("s").alias("h"))
-    shared = stored(spread.groupBy("h").agg(F.count("*").alias("c")).where("c > 1"), "shared-shingles")
-    held = spread.join(shared, "h").groupBy("node", "n").agg(F.sort_array(F.collect_list(F.struct("c", "h"))).alias("x"), (F.sum("c") / F.col("n")).alias("score"))
-    # the n - size(x) shingles of this text alone come first in the order
-    take = F.size("x") + 1 - F.ceil(F.col("n") * threshold - 1e-9).cast("int")
-    return stored(held.withColumn("take", take).where("take > 0").select("node", "n", "score", F.explode(F.slice("x", F.lit(1), F.col("take"))["h"]).alias("h")), "shingle-prefixes")
+def prefixes(nodes: DataFrame) -> DataFrame:
+    """Columns node, n, h, c: the first members h of each node that c > 1 nodes have among theirs."""
+    spread = nodes.select("node", "n", F.explode("x").alias("h"))
+    shared = spread.groupBy("h").agg(F.count("*").alias("c")).where("c > 1")
+    return stored(spread.join(shared, "h").select("node", "n", "h", "c"), "shingle-prefixes")
 
 
 def _placed(first: DataFrame, edges: DataFrame) -> DataFrame:
@@ -86,29 +129,42 @@ def _met(a: DataFrame, b: DataFrame, threshold: float) -> DataFrame:
     return x.join(y, "h").where(like & (F.col("ra") != F.col("rb"))).select(*_pairs("a", "b"))
 
 
-def links(nodes: DataFrame, threshold: float = THRESHOLD, group: int = GROUP) -> DataFrame:
-    """Edges a, b between nodes (columns node, s, fp) of similarity `threshold` or more, with the components of all such pairs."""
-    edges = stored(verified(by_fingerprint(nodes), nodes, threshold), "close-pairs")
-    first = prefixes(nodes, threshold)
-    placed = stored(_placed(first, edges), "placed-prefixes")
-    # the leader of a large group is the node whose shingles most texts hold
-    leaders = placed.groupBy("h").agg(F.count("*").alias("c"), F.max(F.struct("score", "node", "n", "root")).alias("l")).where(F.col("c") > group).select("h", "l.*")
-    edges = stored(edges.unionByName(verified(_met(placed, leaders, threshold), nodes, threshold)), "close-pairs")
-    placed = stored(_placed(first, edges), "placed-prefixes")
+def links(nodes: DataFrame, sets_of, threshold: float = THRESHOLD, group: int = GROUP) -> DataFrame:
+    """Edges a, b between nodes (columns node, fp, n, x) of similarity `threshold` or more, with the components of all such pairs.
+
+    `sets_of` gives node and s for a table of nodes.
+    """
+    close, first = stored(by_fingerprint(nodes), "fingerprint-pairs"), prefixes(nodes)
+    meeting = first.select("node").unionByName(close.select(F.col("a").alias("node"))).unionByName(close.select(F.col("b").alias("node")))
+    sets = stored(sets_of(meeting.distinct()), "shingle-sets")
+    edges = stored(verified(close, sets, threshold), "close-pairs")
+    # the leader of a large group is the node whose first members meet the most
+    scores = first.groupBy("node").agg((F.sum("c") / F.first("n")).alias("score"))
+    large = _placed(first.where(F.col("c") > group), edges)
+    leaders = large.join(scores, "node").groupBy("h").agg(F.max(F.struct("score", "node", "n", "root")).alias("l")).select("h", "l.*")
+    edges = stored(edges.unionByName(verified(_met(large, leaders, threshold), sets, threshold)), "close-pairs")
+    placed = stored(_placed(first, edges).drop("c"), "placed-prefixes")
     sizes = placed.groupBy("h", "root").agg(F.count("*").alias("c"))
     largest = sizes.groupBy("h").agg(F.count("*").alias("parts"), F.max(F.struct("c", "root"))["root"].alias("main")).where("parts > 1").drop("parts")
     apart = placed.join(largest, "h").where("root <> main")
-    return edges.unionByName(verified(_met(apart, placed, threshold), nodes, threshold))
+    return edges.unionByName(verified(_met(apart, placed, threshold), sets, threshold))
 
 
 def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", threshold: float = THRESHOLD, shingle: int = SHINGLE, group: int = GROUP) -> DataFrame:
-    """Per row: _k, component_id (smallest key reachable by links)."""
-    own = stored(shingle_sets(docs, key, text, shingle), "shingle-sets")
-    classes = stored(own.groupBy("node").agg(F.min("_k").alias("rep"), F.first("s").alias("s"), F.first("fp").alias("fp")), "shingle-classes")
-    roots = components(links(classes.select("node", "s", "fp"), threshold, group))
+    """Per row: _k, component_id (smallest key reachable by links; null for a null key)."""
+    keyed = docs.where(F.col(f"`{key}`").isNotNull())
+    own = stored(signatures(keyed, key, text, threshold, shingle), "signatures")
+    classes = stored(own.groupBy("node").agg(F.min("_k").alias("rep"), F.first("fp").alias("fp"), F.first("n").alias("n"), F.first("x").alias("x")), "shingle-classes")
+
+    def sets_of(nodes):
+        return shingle_sets(keyed, key, text, shingle, classes.select("node", "rep").join(nodes, "node"))
+
+    roots = components(links(classes.select("node", "fp", "n", "x"), sets_of, threshold, group))
     placed = classes.select("node", "rep").join(roots, "node", "left").select("node", "rep", F.coalesce("root", "node").alias("root"))
     named = placed.groupBy("root").agg(F.min("rep").alias("component_id"))
-    return own.select("_k", "node").join(placed.join(named, "root").select("node", "component_id"), "node").select("_k", "component_id")
+    found = own.select("_k", "node").join(placed.join(named, "root").select("node", "component_id"), "node").select("_k", "component_id")
+    rest = docs.where(F.col(f"`{key}`").isNull()).select(F.col(f"`{key}`").alias("_k"), F.col(f"`{key}`").alias("component_id"))
+    return found.unionByName(rest)
 
 
 def keep_first(docs: DataFrame, key: str = "doc_id", text: str = "text", **how) -> DataFrame:
