@@ -4,8 +4,11 @@ Pigeonhole blocks (simhash.links) find the sets whose fingerprints differ in few
 0.8 differs in about ten bits of 64 and is mostly out of their reach. For the rest: two sets of similarity t
 share at least t of the larger one, so in any common order of all shingles their first n - ceil(t n) + 1
 members meet. The order here is by the count of a shingle's bucket (one of BUCKETS, counted over all texts),
-then by the hash, so that common shingles come last; only those first members cross a shuffle. Every pair is
-verified on the whole sets, which are made again from the texts that meet another.
+then by the hash, so that common shingles come last; only those first members cross a shuffle. Where h is the
+first member that two sets have in common, nothing before it counts, so what each set has from h on bounds
+their overlap; a meeting in h that this bound rules out is no candidate, and a similar pair always stays one
+where its first common member is. Every candidate is verified on the whole sets, which are made again from
+the texts of candidate pairs alone.
 
 A group (the texts that meet in one shingle) never emits all its pairs. In a group of more than `group`
 texts each is first tried against the text whose shingles meet the most others, which near copies share;
@@ -94,9 +97,11 @@ def _pairs(a, b) -> list:
     return [F.least(a, b).alias("a"), F.greatest(a, b).alias("b")]
 
 
-def verified(pairs: DataFrame, nodes: DataFrame, threshold: float) -> DataFrame:
-    """The distinct pairs a, b of nodes with similarity `threshold` or more."""
-    sets = pairs.distinct().join(nodes.select(F.col("node").alias("a"), F.col("s").alias("sa")), "a").join(nodes.select(F.col("node").alias("b"), F.col("s").alias("sb")), "b")
+def verified(pairs: DataFrame, sets_of, threshold: float) -> DataFrame:
+    """The distinct pairs a, b of nodes with similarity `threshold` or more; `sets_of` gives node and s for a table of nodes."""
+    pairs = stored(pairs.distinct(), "candidate-pairs")
+    nodes = stored(sets_of(pairs.select(F.col("a").alias("node")).unionByName(pairs.select(F.col("b").alias("node"))).distinct()), "shingle-sets")
+    sets = pairs.join(nodes.select(F.col("node").alias("a"), F.col("s").alias("sa")), "a").join(nodes.select(F.col("node").alias("b"), F.col("s").alias("sb")), "b")
     common = F.size(F.array_intersect("sa", "sb"))
     return sets.where(common * (1 + threshold) >= (F.size("sa") + F.size("sb")) * threshold - 1e-9).select("a", "b")
 
@@ -111,10 +116,10 @@ def by_fingerprint(nodes: DataFrame) -> DataFrame:
 
 
 def prefixes(nodes: DataFrame) -> DataFrame:
-    """Columns node, n, h, c: the first members h of each node that c > 1 nodes have among theirs."""
-    spread = nodes.select("node", "n", F.explode("x").alias("h"))
+    """Columns node, n, h, rest, c: the first members h of each node that c > 1 nodes have among theirs, with the count of its members from h on."""
+    spread = nodes.select("node", "n", F.posexplode("x").alias("at", "h")).withColumn("rest", F.col("n") - F.col("at")).drop("at")
     shared = spread.groupBy("h").agg(F.count("*").alias("c")).where("c > 1")
-    return stored(spread.join(shared, "h").select("node", "n", "h", "c"), "shingle-prefixes")
+    return stored(spread.join(shared, "h").select("node", "n", "h", "rest", "c"), "shingle-prefixes")
 
 
 def _placed(first: DataFrame, edges: DataFrame) -> DataFrame:
@@ -123,10 +128,12 @@ def _placed(first: DataFrame, edges: DataFrame) -> DataFrame:
 
 
 def _met(a: DataFrame, b: DataFrame, threshold: float) -> DataFrame:
-    """Pairs of nodes that share a shingle h, are of like size and in different components."""
-    x, y = a.select("h", "node", "n", "root").toDF("h", "a", "na", "ra"), b.select("h", "node", "n", "root").toDF("h", "b", "nb", "rb")
+    """Pairs of nodes in different components that share a shingle h and may be similar with h as their first common member."""
+    cols = ["h", "node", "n", "rest", "root"]
+    x, y = a.select(cols).toDF("h", "a", "na", "sa", "ra"), b.select(cols).toDF("h", "b", "nb", "sb", "rb")
     like = F.least("na", "nb") >= F.greatest("na", "nb") * threshold - 1e-9
-    return x.join(y, "h").where(like & (F.col("ra") != F.col("rb"))).select(*_pairs("a", "b"))
+    enough = F.least("sa", "sb") * (1 + threshold) >= (F.col("na") + F.col("nb")) * threshold - 1e-9
+    return x.join(y, "h").where(like & enough & (F.col("ra") != F.col("rb"))).select(*_pairs("a", "b"))
 
 
 def links(nodes: DataFrame, sets_of, threshold: float = THRESHOLD, group: int = GROUP) -> DataFrame:
@@ -135,19 +142,17 @@ def links(nodes: DataFrame, sets_of, threshold: float = THRESHOLD, group: int =
     `sets_of` gives node and s for a table of nodes.
     """
     close, first = stored(by_fingerprint(nodes), "fingerprint-pairs"), prefixes(nodes)
-    meeting = first.select("node").unionByName(close.select(F.col("a").alias("node"))).unionByName(close.select(F.col("b").alias("node")))
-    sets = stored(sets_of(meeting.distinct()), "shingle-sets")
-    edges = stored(verified(close, sets, threshold), "close-pairs")
+    edges = stored(verified(close, sets_of, threshold), "close-pairs")
     # the leader of a large group is the node whose first members meet the most
     scores = first.groupBy("node").agg((F.sum("c") / F.first("n")).alias("score"))
     large = _placed(first.where(F.col("c") > group), edges)
-    leaders = large.join(scores, "node").groupBy("h").agg(F.max(F.struct("score", "node", "n", "root")).alias("l")).select("h", "l.*")
-    edges = stored(edges.unionByName(verified(_met(large, leaders, threshold), sets, threshold)), "close-pairs")
+    leaders = large.join(scores, "node").groupBy("h").agg(F.max(F.struct("score", "node", "n", "rest", "root")).alias("l")).select("h", "l.*")
+    edges = stored(edges.unionByName(verified(_met(large, leaders, threshold), sets_of, threshold)), "close-pairs")
     placed = stored(_placed(first, edges).drop("c"), "placed-prefixes")
     sizes = placed.groupBy("h", "root").agg(F.count("*").alias("c"))
     largest = sizes.groupBy("h").agg(F.count("*").alias("parts"), F.max(F.struct("c", "root"))["root"].alias("main")).where("parts > 1").drop("parts")
     apart = placed.join(largest, "h").where("root <> main")
-    return edges.unionByName(verified(_met(apart, placed, threshold), sets, threshold))
+    return edges.unionByName(verified(_met(apart, placed, threshold), sets_of, threshold))
 
 
 def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", threshold: float = THRESHOLD, shingle: int = SHINGLE, group: int = GROUP) -> DataFrame:
