@@ -31,7 +31,7 @@ from pyspark.sql import functions as F
 
 from foldstar.llm import simhash
 from foldstar.llm.graph import components
-from foldstar.llm.shared import ship, stored, table
+from foldstar.llm.shared import filtered, ship, stored, table
 
 THRESHOLD, SHINGLE, GROUP = 0.8, 5, 64
 BUCKETS = 1 << 16
@@ -89,7 +89,7 @@ def shingle_sets(docs: DataFrame, key: str, text: str, shingle: int, wanted: Dat
         return pd.DataFrame({"own": [_digest(s) for s in found], "s": found})
 
     met = docs.select(F.col(f"`{key}`").alias("rep"), F.col(f"`{text}`").alias("_t")).join(wanted, "rep")
-    made = met.select("node", sets("_t").alias("y")).where("node = y.own")
+    made = filtered(met.select("node", sets("_t").alias("y")), F.expr("node = y.own"))  # a plain filter makes sets of all texts below the join
     return made.select("node", "y.s").dropDuplicates(["node"])
 
 
