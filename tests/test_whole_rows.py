@@ -1,5 +1,7 @@
 import numpy as np
 import pandas as pd
+import pytest
+from pyspark.sql import functions as F
 
 from foldstar.plans import queries as Q
 from foldstar.workloads import FIXTURES
@@ -22,3 +24,15 @@ def test_every_order_is_there(spark):
     n = spark.read.parquet(f"{SF}/orders.parquet").count()
     got = Q.QUERIES["kernel_all_rows_oc"](spark, SF).collect()
     assert len(got) == n > 60 and {r["n"] for r in got} == {n}
+
+
+def test_kernel_beyond_the_short_form(spark):
+    t = FIXTURES["sn"].build(spark, SF)
+    rows = lambda m: sorted(tuple(r) for r in t.T.gram("s_suppkey", max_rows=m).collect())
+    assert rows(1) == rows(5000) and len(rows(1)) == t.n_rows() * (t.n_rows() + 1) // 2
+
+
+def test_kernel_beyond_the_short_form_refuses_repeated_ids(spark):
+    t = FIXTURES["sn"].build(spark, SF)
+    with pytest.raises(ValueError):
+        t.on(t.rows.withColumn("s_suppkey", F.lit(1))).kernel("s_suppkey", max_rows=1)
