@@ -32,7 +32,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from foldstar.llm.shared import filtered, stored, table
+from foldstar.llm.shared import filtered, released, settled, stored, table
 
 MIN_LINES = 2
 #: Words from which a repeated line alone is a run.
@@ -83,7 +83,9 @@ def ranked(counts: DataFrame, keys: list[str], depth: int) -> tuple[DataFrame, i
     inside = Window.partitionBy("p").orderBy(*keys).rowsBetween(Window.unboundedPreceding, -1)
     placed = dealt.withColumns({"x": F.coalesce(F.sum("c").over(inside), F.lit(0)), "y": F.coalesce(F.sum(going).over(inside), F.lit(0))})
     known = dealt.sparkSession.createDataFrame(base, "p int, b long, g long")
-    return stored(placed.join(F.broadcast(known), "p").select(*keys, "c", "open", (F.col("b") + F.col("x")).alias("before"), (F.col("g") + F.col("y")).alias("ahead")), "line-ranks"), g
+    out = stored(placed.join(F.broadcast(known), "p").select(*keys, "c", "open", (F.col("b") + F.col("x")).alias("before"), (F.col("g") + F.col("y")).alias("ahead")), "line-ranks")
+    released(dealt)
+    return out, g
 
 
 def ranks(lines: DataFrame) -> DataFrame:
@@ -94,6 +96,7 @@ def ranks(lines: DataFrame) -> DataFrame:
     keyed, going = ranked(lines.groupBy("d1", "d2").agg(*size), ["d1", "d2"], 1)
     first = F.when(F.col("c") > 1, F.array("before")).otherwise(none).alias("seen")
     now = stored(lines.join(keyed, ["d1", "d2"]).select(*keep, F.col("before").alias("rank"), "open", "ahead", first), "suffixes")
+    released(keyed)
     depth, parts = 1, [now]
     while going:
         behind = None
@@ -108,6 +111,7 @@ def ranks(lines: DataFrame) -> DataFrame:
         moved = F.col("rank") + F.col("before") - F.col("past")
         longer = F.when(F.col("open"), F.concat("seen", F.array(moved))).otherwise(F.col("seen")).alias("seen")
         now = stored(pairs.withColumnRenamed("ahead", "past").join(step, ["rank", "second"]).select(*keep, moved.alias("rank"), "open", "ahead", longer), "suffixes")
+        released(pairs, step)
         parts.append(now)
     out = parts[0]
     for x in parts[1:]:
@@ -133,6 +137,7 @@ def prefixes(order: DataFrame) -> DataFrame:
     met = dealt.withColumn("b", F.lag(F.struct(*by, "seen")).over(inside)).join(F.broadcast(border), "p").withColumn("b", F.coalesce("b", "border")).drop("border")
     shared = F.coalesce(_levels(F.col("seen"), F.col("b.seen")), F.lit(0))
     first = stored(met.select("*", F.when(F.col("b.rank") == F.col("rank"), -1).otherwise(shared).alias("levels"), F.col("b._k").alias("_bk"), F.col("b._r").alias("_br"), F.col("b.n").alias("bn")).drop("b"), "neighbours")
+    released(dealt)
     power = lambda c: F.when(c > 0, F.pow(F.lit(2), c - 1).cast("int")).otherwise(0)
     told = first.where("levels < 2").select("p", *by, F.when(F.col("levels") < 0, F.col("left")).otherwise(F.col("levels")).alias("lcp"))
     going = first.where("levels > 1").select("p", *by, "_bk", "_br", "bn", power(F.col("levels")).alias("lcp"))
@@ -161,7 +166,9 @@ def intervals(array: DataFrame, least: dict[str, int]) -> DataFrame:
 
 def _array(docs: DataFrame, key: str, text: str, single_words: int | None = None) -> DataFrame:
     lines = stored(suffixes(docs, key, text, single_words).dropDuplicates(SUFFIX), "lines")
-    return prefixes(ranks(lines))
+    order = ranks(lines)
+    released(lines)
+    return prefixes(order)
 
 
 def runs(docs: DataFrame, key: str = "doc_id", text: str = "text", min_lines: int = MIN_LINES) -> DataFrame:
@@ -209,7 +216,7 @@ def _deleted(docs: DataFrame, key: str, text: str, min_lines: int, single_words:
 def _judged(docs: DataFrame, key: str, text: str, min_lines: int, single_words: int | None = None) -> DataFrame:
     """_row (all columns of `docs`), _kept (text without deleted lines), _n and _gone (counts of lines with a word)."""
     t = F.col(f"`{text}`")
-    gone = stored(_deleted(docs, key, text, min_lines, single_words), "deleted-lines")
+    gone = settled(lambda: _deleted(docs, key, text, min_lines, single_words), "deleted-lines")
     others = [F.col(f"`{c}`") for c in docs.columns if c != text]
     source = docs.select(F.struct(*others, F.lit(0).alias("_fill")).alias("_row"), F.col(f"`{key}`").alias("_k"), F.xxhash64(t).alias("_r"), t.alias("_t"))
     # a merge join at every size: `gone` grows with the corpus, so it is never broadcast

@@ -7,6 +7,8 @@ import os
 import tempfile
 import uuid
 import zipfile
+from collections.abc import Callable
+from contextvars import ContextVar
 from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
@@ -47,7 +49,45 @@ def stored(df: DataFrame, tag: str) -> DataFrame:
     spark = df.sparkSession
     path = work_path(spark, tag)
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    if (scope := _SCOPE.get()) is not None:
+        scope.append(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._stored_at = path
+    return out
+
+
+#: Paths that `stored` has written for the result that `settled` is making.
+_SCOPE: ContextVar[list[str] | None] = ContextVar("scope", default=None)
+
+
+def _delete(spark: SparkSession, path: str) -> None:
+    at = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
+
+
+def released(*frames: DataFrame) -> None:
+    """Delete tables that `stored` returned: every result made of them must be written by now. Other frames are left alone."""
+    for df in frames:
+        if (path := getattr(df, "_stored_at", None)) is not None:
+            _delete(df.sparkSession, path)
+
+
+def settled(make: Callable[[], DataFrame], tag: str) -> DataFrame:
+    """`stored(make(), tag)`, after which the tables that make() stored are deleted: only its result may read them.
+
+    After an error they stay.
+    """
+    inside: list[str] = []
+    token = _SCOPE.set(inside)
+    try:
+        out = stored(make(), tag)
+    finally:
+        _SCOPE.reset(token)
+    for path in inside[:-1]:
+        _delete(out.sparkSession, path)
+    if (scope := _SCOPE.get()) is not None:
+        scope.append(inside[-1])
+    return out
 
 
 #: Rows of an Arrow batch where the session has Spark's default: whole texts are long rows.

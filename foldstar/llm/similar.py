@@ -31,7 +31,7 @@ from pyspark.sql import functions as F
 
 from foldstar.llm import simhash
 from foldstar.llm.graph import components
-from foldstar.llm.shared import filtered, ship, stored, table
+from foldstar.llm.shared import filtered, settled, ship, stored, table
 
 THRESHOLD, SHINGLE, GROUP = 0.8, 5, 64
 BUCKETS = 1 << 16
@@ -142,12 +142,13 @@ def links(nodes: DataFrame, sets_of, threshold: float = THRESHOLD, group: int =
     `sets_of` gives node and s for a table of nodes.
     """
     close, first = stored(by_fingerprint(nodes), "fingerprint-pairs"), prefixes(nodes)
-    edges = stored(verified(close, sets_of, threshold), "close-pairs")
+    edges = settled(lambda: verified(close, sets_of, threshold), "close-pairs")
     # the leader of a large group is the node whose first members meet the most
     scores = first.groupBy("node").agg((F.sum("c") / F.first("n")).alias("score"))
     large = _placed(first.where(F.col("c") > group), edges)
     leaders = large.join(scores, "node").groupBy("h").agg(F.max(F.struct("score", "node", "n", "rest", "root")).alias("l")).select("h", "l.*")
-    edges = stored(edges.unionByName(verified(_met(large, leaders, threshold), sets_of, threshold)), "close-pairs")
+    more = settled(lambda: verified(_met(large, leaders, threshold), sets_of, threshold), "close-pairs")
+    edges = edges.unionByName(more)
     placed = stored(_placed(first, edges).drop("c"), "placed-prefixes")
     sizes = placed.groupBy("h", "root").agg(F.count("*").alias("c"))
     largest = sizes.groupBy("h").agg(F.count("*").alias("parts"), F.max(F.struct("c", "root"))["root"].alias("main")).where("parts > 1").drop("parts")
@@ -175,7 +176,7 @@ def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", th
 def keep_first(docs: DataFrame, key: str = "doc_id", text: str = "text", **how) -> DataFrame:
     """The rows of `docs` whose key is their component's smallest; rows with a null key stay."""
     keyed = docs.where(F.col(f"`{key}`").isNotNull())
-    kept = near_duplicates(keyed, key, text, **how).where("_k = component_id").select(F.col("_k").alias(key)).distinct()
+    kept = settled(lambda: near_duplicates(keyed, key, text, **how).where("_k = component_id").select(F.col("_k").alias(key)).distinct(), "kept-keys")
     return keyed.join(kept, key, "left_semi").select(*[F.col(f"`{c}`") for c in docs.columns]).unionByName(docs.where(F.col(f"`{key}`").isNull()))
 
 

@@ -32,7 +32,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from foldstar.llm.shared import partitions, ship, stored, table
+from foldstar.llm.shared import partitions, released, settled, ship, stored, table
 
 WINDOW = 50
 GRAM = 16
@@ -132,10 +132,13 @@ def _fragments(docs: DataFrame, window: int, gram: int) -> DataFrame:
             yield pd.DataFrame(out, columns=["_k", "_r", "at", "body"])
 
     known = docs.where(F.col("_k").isNotNull() & (F.length("_t") >= 2 * window - 1))
-    marks = stored(known.mapInPandas(scan, "_k long, _r long, a long"), "anchors")
-    twice = marks.groupBy("a").agg(F.min("_k").alias("lo"), F.max("_k").alias("hi")).where("lo < hi").select("a")
-    near = marks.join(twice, "a").groupBy("_k", "_r").agg(F.collect_list("a").alias("near"))
-    return stored(known.join(near.hint("merge"), ["_k", "_r"]).mapInPandas(cut, "_k long, _r long, at long, body string"), "fragments")
+    def fragments():
+        marks = stored(known.mapInPandas(scan, "_k long, _r long, a long"), "anchors")
+        twice = marks.groupBy("a").agg(F.min("_k").alias("lo"), F.max("_k").alias("hi")).where("lo < hi").select("a")
+        near = marks.join(twice, "a").groupBy("_k", "_r").agg(F.collect_list("a").alias("near"))
+        return known.join(near.hint("merge"), ["_k", "_r"]).mapInPandas(cut, "_k long, _r long, at long, body string")
+
+    return settled(fragments, "fragments")
 
 
 def _digest_pairs(body: str, window: int) -> tuple[np.ndarray, np.ndarray]:
@@ -179,6 +182,7 @@ def _owned(fragments: DataFrame, window: int) -> tuple[DataFrame, DataFrame]:
     met = stored(windows.join(shared, ["d1", "d2"]).where("owner < _k").select("_k", "_r", "owner").distinct(), "meetings")
     own = shared.groupBy(F.col("owner").alias("_k")).agg(F.collect_list(F.struct("d1", "d2")).alias("own"))
     passages = stored(fragments.join(own, "_k").mapInPandas(runs, "owner long, at long, body string"), "passages")
+    released(shared)
     return passages.dropDuplicates(["owner", "at", "body"]), met
 
 
@@ -237,8 +241,13 @@ def _ranges(auto, passages, key: int, body: str, owners: set[int], window: int)
 
 def repeats(docs: DataFrame, key: str = "doc_id", text: str = "text", window: int = WINDOW, gram: int = GRAM) -> DataFrame:
     """Columns _k, _r, spans: for each row with repeats, ranges [lo, hi) of words to remove. _r is xxhash64 of the text."""
-    spark = docs.sparkSession
-    ship(spark)
+    ship(docs.sparkSession)
+    found = settled(lambda: _found(docs, key, text, window, gram), "ranges")
+    return found.groupBy("_k", "_r").agg(F.sort_array(F.collect_list(F.struct("lo", "hi"))).alias("spans"))
+
+
+def _found(docs: DataFrame, key: str, text: str, window: int, gram: int) -> DataFrame:
+    """Columns _k, _r, lo, hi: the ranges of `repeats`."""
     source = docs.select(F.col(f"`{key}`").cast("long").alias("_k"), F.xxhash64(F.col(f"`{text}`")).alias("_r"), F.col(f"`{text}`").alias("_t"))
     fragments = _fragments(source, window, gram)
     passages, met = _owned(fragments, window)
@@ -271,8 +280,7 @@ def repeats(docs: DataFrame, key: str = "doc_id", text: str = "text", window: in
                     out.append((k, r, at + lo, at + hi))
             yield pd.DataFrame(out, columns=["_k", "_r", "lo", "hi"])
 
-    found = stored(both.mapInPandas(locate, "_k long, _r long, lo long, hi long").distinct(), "ranges")
-    return found.groupBy("_k", "_r").agg(F.sort_array(F.collect_list(F.struct("lo", "hi"))).alias("spans"))
+    return both.mapInPandas(locate, "_k long, _r long, lo long, hi long").distinct()
 
 
 def _marked(docs: DataFrame, key: str, text: str, window: int, gram: int) -> DataFrame:

@@ -31,3 +31,26 @@ def test_cluster_needs_a_shared_folder():
 
     with pytest.raises(RuntimeError):
         shared.shared_dir(Session())
+
+
+def test_stages_leave_one_table_each(spark, tmp_path, monkeypatch):
+    import corpus_pipeline as C
+
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet").limit(60)
+    for stage, left in ((C.line_stage, "deleted-lines"), (C.near_duplicate_stage, "kept-keys"), (C.substring_stage, "ranges")):
+        monkeypatch.setattr(shared, "shared_dir", lambda _, at=str(tmp_path / left): at)
+        assert stage(spark, docs, None).count() > 0
+        assert [p.name.rsplit("-", 1)[0] for p in (tmp_path / left / "foldstar").iterdir()] == [left]
+
+
+def test_settled_keeps_what_an_outer_step_made(spark, tmp_path, monkeypatch):
+    monkeypatch.setattr(shared, "shared_dir", lambda _: str(tmp_path))
+
+    def outer():
+        a = shared.stored(spark.range(5), "a")
+        b = shared.settled(lambda: shared.stored(a.where("id > 1"), "inner"), "b")
+        assert a.count() == 5 and b.count() == 3
+        return a.join(b, "id")
+
+    assert shared.settled(outer, "c").count() == 3
+    assert [p.name[0] for p in (tmp_path / "foldstar").iterdir()] == ["c"]
