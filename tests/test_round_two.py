@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 from foldstar.matrix import RowPseudoInverse
 from foldstar.normalized import FactoredMatrix, Wide
 from foldstar.schema import FeatureSpec, numbered
+from tests.compare import assert_same
 
 
 def small(spark, n=6, own=1, width=4, extra=0):
@@ -122,3 +123,12 @@ def test_statistics_of_the_gram(spark):
     s, _ = t.svd_gram(2)
     assert np.allclose(s, np.linalg.svd(x)[1][:2])
     assert np.allclose(t.map("pow", 3).col_sums(), (x**3).sum(axis=0))
+
+
+def test_invertibility_bound_reads_lineitem(spark):
+    from foldstar.plans import queries as Q
+
+    got = Q.QUERIES["invertibility_bound"](spark, "/root/testdata/sf0.001")
+    lines = spark.read.parquet("/root/testdata/sf0.001/lineitem.parquet").select("l_linenumber").distinct().count()
+    assert got.count() == 4 * lines and {r["possible"] for r in got.collect()} == {True, False}
+    assert_same(got, Q.ORACLES["invertibility_bound"], "/root/testdata/sf0.001")
