@@ -7,6 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from foldstar.lineage import cut
 from foldstar.operators import links
 from foldstar.plans.queries import sql_pairs, upper
 from foldstar.sources import tables
@@ -287,8 +288,10 @@ def gram_sparse_text_documents(s, d):
     """The long Gram of labels (0: quality, 1: toxic) and documents (2 to 25: language, source; then 2**12 hashed words)."""
     from foldstar.schema import FeatureSpec
 
-    docs = read(s, d, "documents").select("doc_id", "lang", "source", "text")
+    labelled = read(s, d, "labels").select("doc_id").distinct()
+    docs = read(s, d, "documents").select("doc_id", "lang", "source", "text").join(labelled, "doc_id", "left_semi")  # no other document has a hit
     coo = FeatureSpec(onehot={"lang": ["de", "en", "es", "fr"], "source": [f"src{i}" for i in range(20)]}, hashed=["text"]).coo(docs, "doc_id")
+    coo.df = cut(coo.df, "cells")
     labels = read(s, d, "labels").join(docs.select("doc_id"), "doc_id", "left_semi")
     own = [F.col(n).cast("double").alias(n) for n in ("quality", "toxic")]
     sums = labels.select("doc_id", *own).groupBy("doc_id").agg(F.count("*").alias("_hits"), *[F.sum(n).alias(n) for n in ("quality", "toxic")])

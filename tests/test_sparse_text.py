@@ -24,3 +24,15 @@ def test_words_are_in_the_gram(spark, tmp_path):
                 want[i, j] += u * v
     got = {(r["i"], r["j"]): r["value"] for r in A.LONG["gram_sparse_text_documents"](spark, SF).collect()}
     assert got == dict(want) and max(j for _, j in got) > 26
+
+
+def test_gram_of_cells_in_arrays(spark, monkeypatch):
+    from foldstar import normalized
+
+    cells = spark.createDataFrame([(1, 0, 2.0), (1, 3, -1.0), (1, 3, 4.0), (2, 3, 5.0), (2, 1, 1.0), (3, 2, 7.0)], "k long, col int, val double")
+    coo = normalized.Coo(cells, "k", list("abcd"), cells.select("k").distinct())
+    hits = spark.createDataFrame([(1, 2), (2, 3)], "k long, _hits long").withColumnRenamed("k", "f")
+    read = lambda: sorted(tuple(r) for r in coo.gram_long(hits, "f").select("i", "j", "value").collect())
+    got, plan = read(), coo.gram_long(hits, "f")._jdf.queryExecution().optimizedPlan().toString()
+    monkeypatch.setattr(normalized, "DENSE_WIDTH", 0)
+    assert got == read() and plan.count("Join") == 1
