@@ -14,6 +14,9 @@ from pathlib import Path
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from foldstar.lineage import swept
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
@@ -42,13 +45,14 @@ def work_path(spark: SparkSession, tag: str) -> str:
 
 
 def stored(df: DataFrame, tag: str) -> DataFrame:
-    """Write `df` as Parquet to the shared folder and read it again: lineage ends there.
+    """Write `df` as Parquet to the shared folder and read it again: lineage ends there, and its shuffle files go.
 
     A lost executor costs at most the tasks it ran; everything before is on shared storage.
     """
     spark = df.sparkSession
     path = work_path(spark, tag)
-    df.write.parquet(path)
+    with swept(spark):
+        df.write.parquet(path)
     if (scope := _SCOPE.get()) is not None:
         scope.append(path)
     out = spark.read.schema(df.schema).parquet(path)

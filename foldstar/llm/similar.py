@@ -7,8 +7,11 @@ members meet. The order here is by the count of a shingle's bucket (one of BUCKE
 then by the hash, so that common shingles come last; only those first members cross a shuffle. Where h is the
 first member that two sets have in common, nothing before it counts, so what each set has from h on bounds
 their overlap; a meeting in h that this bound rules out is no candidate, and a similar pair always stays one
-where its first common member is. Every candidate is verified on the whole sets, which are made again from
-the texts of candidate pairs alone.
+where its first common member is. A set's sketch is PARITY bits, each the parity of its members in one cell of
+the hashes: the bits in which two sketches differ are no more than the members that only one set has, so a pair
+with more of them than a similar pair can have goes without a look at the sets. Every other candidate is verified
+on the whole sets, which are made again from the texts of these pairs alone; texts meet the wanted keys where they
+are, without a shuffle, unless there are more than FEW_KEYS of these.
 
 A group (the texts that meet in one shingle) never emits all its pairs. In a group of more than `group`
 texts each is first tried against the text whose shingles meet the most others, which near copies share;
@@ -31,10 +34,12 @@ from pyspark.sql import functions as F
 
 from foldstar.llm import simhash
 from foldstar.llm.graph import components
-from foldstar.llm.shared import filtered, settled, ship, stored, table
+from foldstar.llm.shared import filtered, released, settled, ship, stored, table
 
 THRESHOLD, SHINGLE, GROUP = 0.8, 5, 64
-BUCKETS = 1 << 16
+BUCKETS, SLICE = 1 << 20, 1 << 12
+PARITY = 1024
+FEW_KEYS = 1 << 19
 
 
 def _set(text: str | None, shingle: int) -> np.ndarray:
@@ -45,6 +50,11 @@ def _digest(s: np.ndarray) -> int:
     return int(np.uint64(xxhash.xxh64_intdigest(s.tobytes())).astype(np.int64))
 
 
+def _sketch(s: np.ndarray) -> np.ndarray:
+    """Parities of the members in each of PARITY cells of the hashes, as longs."""
+    return np.packbits(np.bincount(s.view(np.uint64) >> np.uint64(54), minlength=PARITY) & 1).view(np.int64)
+
+
 def bucket_counts(docs: DataFrame, text: str, shingle: int) -> np.ndarray:
     """How many distinct shingles of all texts fall in each bucket of hashes; BUCKETS numbers come to the driver."""
 
@@ -52,29 +62,37 @@ def bucket_counts(docs: DataFrame, text: str, shingle: int) -> np.ndarray:
         total = np.zeros(BUCKETS, dtype=np.int64)
         for f in frames:
             for t in f["t"]:
-                np.add.at(total, _set(t, shingle) & (BUCKETS - 1), 1)
-        b = np.flatnonzero(total)
-        yield pd.DataFrame({"b": b, "c": total[b]})
+                s, c = np.unique(_set(t, shingle) & (BUCKETS - 1), return_counts=True)
+                total[s] += c
+        if total.any():
+            yield pd.DataFrame({"b": np.arange(0, BUCKETS, SLICE), "c": list(total.reshape(-1, SLICE))})
+
+    def added(frames):
+        for f in frames:
+            yield pd.DataFrame({"b": f["b"], "c": [np.sum([np.asarray(x) for x in parts], axis=0) for parts in f["parts"]]})
 
     ship(docs.sparkSession)
-    found = docs.select(F.col(f"`{text}`").alias("t")).mapInPandas(run, "b long, c long").groupBy("b").agg(F.sum("c").alias("c")).toPandas()
-    counts = np.zeros(BUCKETS, dtype=np.int64)
-    counts[found["b"].to_numpy(dtype=np.int64)] = found["c"].to_numpy(dtype=np.int64)
+    # a few tasks a core: each sends an array of all buckets, whatever it has read
+    some = docs.select(F.col(f"`{text}`").alias("t")).coalesce(8 * docs.sparkSession.sparkContext.defaultParallelism)
+    found = some.mapInPandas(run, "b long, c array<long>").groupBy("b").agg(F.collect_list("c").alias("parts")).mapInPandas(added, "b long, c array<long>").toPandas()
+    counts = np.zeros(BUCKETS, dtype=np.int32)
+    for b, c in zip(found["b"], found["c"]):
+        counts[b : b + SLICE] = np.minimum(c, np.iinfo(np.int32).max)
     return counts
 
 
 def signatures(docs: DataFrame, key: str, text: str, threshold: float, shingle: int) -> DataFrame:
-    """Columns _k, node (a digest of the set), fp (its SimHash), n (its size), x (its first members, of which similar sets share one)."""
+    """Columns _k, node (a digest of the set), fp (its SimHash), n (its size), x (its first members, of which similar sets share one), bits (its sketch)."""
     counts = bucket_counts(docs, text, shingle)
 
-    @F.pandas_udf("node long, fp long, n int, x array<long>")
+    @F.pandas_udf("node long, fp long, n int, x array<long>, bits array<long>")
     def signed(texts: pd.Series) -> pd.DataFrame:
         rows = []
         for t in texts:
             s = _set(t, shingle)
             take = len(s) - int(np.ceil(threshold * len(s) - 1e-9)) + 1 if len(s) else 0
-            rows.append((_digest(s), simhash.bits(s.view(np.uint64)), len(s), s[np.lexsort((s, counts[s & (BUCKETS - 1)]))[:take]]))
-        return pd.DataFrame(rows, columns=["node", "fp", "n", "x"])
+            rows.append((_digest(s), simhash.bits(s.view(np.uint64)), len(s), s[np.lexsort((s, counts[s & (BUCKETS - 1)]))[:take]], _sketch(s)))
+        return pd.DataFrame(rows, columns=["node", "fp", "n", "x", "bits"])
 
     return docs.select(F.col(f"`{key}`").alias("_k"), signed(F.col(f"`{text}`")).alias("y")).select("_k", "y.*")
 
@@ -88,7 +106,8 @@ def shingle_sets(docs: DataFrame, key: str, text: str, shingle: int, wanted: Dat
         found = [_set(t, shingle) for t in texts]
         return pd.DataFrame({"own": [_digest(s) for s in found], "s": found})
 
-    met = docs.select(F.col(f"`{key}`").alias("rep"), F.col(f"`{text}`").alias("_t")).join(wanted, "rep")
+    wanted = stored(wanted, "wanted-keys")
+    met = docs.select(F.col(f"`{key}`").alias("rep"), F.col(f"`{text}`").alias("_t")).join(F.broadcast(wanted) if wanted.count() <= FEW_KEYS else wanted, "rep")
     made = filtered(met.select("node", sets("_t").alias("y")), F.expr("node = y.own"))  # a plain filter makes sets of all texts below the join
     return made.select("node", "y.s").dropDuplicates(["node"])
 
@@ -97,6 +116,14 @@ def _pairs(a, b) -> list:
     return [F.least(a, b).alias("a"), F.greatest(a, b).alias("b")]
 
 
+def sieved(pairs: DataFrame, sketches: DataFrame, threshold: float) -> DataFrame:
+    """The distinct pairs a, b of nodes that their sketches (node, n, bits) do not rule out: every pair of similarity `threshold` or more stays."""
+    x, y = sketches.toDF("a", "na", "xa"), sketches.toDF("b", "nb", "xb")
+    differ = F.aggregate(F.zip_with("xa", "xb", lambda u, v: F.bit_count(u.bitwiseXOR(v))), F.lit(0), lambda u, v: u + v)
+    most = (F.col("na") + F.col("nb")) * ((1 - threshold) / (1 + threshold)) + 1e-6
+    return pairs.distinct().join(x, "a").join(y, "b").where(differ <= most).select("a", "b")
+
+
 def verified(pairs: DataFrame, sets_of, threshold: float) -> DataFrame:
     """The distinct pairs a, b of nodes with similarity `threshold` or more; `sets_of` gives node and s for a table of nodes."""
     pairs = stored(pairs.distinct(), "candidate-pairs")
@@ -137,36 +164,43 @@ def _met(a: DataFrame, b: DataFrame, threshold: float) -> DataFrame:
 
 
 def links(nodes: DataFrame, sets_of, threshold: float = THRESHOLD, group: int = GROUP) -> DataFrame:
-    """Edges a, b between nodes (columns node, fp, n, x) of similarity `threshold` or more, with the components of all such pairs.
+    """Edges a, b between nodes (columns node, fp, n, x, bits) of similarity `threshold` or more, with the components of all such pairs.
 
-    `sets_of` gives node and s for a table of nodes.
+    `sets_of` gives node and s for a table of nodes. A table of nodes that `stored` returned is deleted once it is read.
     """
     close, first = stored(by_fingerprint(nodes), "fingerprint-pairs"), prefixes(nodes)
-    edges = settled(lambda: verified(close, sets_of, threshold), "close-pairs")
+    sketches = stored(nodes.select("node", "n", "bits"), "sketches")
+    released(nodes)
+    tried = lambda pairs: verified(sieved(pairs, sketches, threshold), sets_of, threshold)
+    edges = settled(lambda: tried(close), "close-pairs")
     # the leader of a large group is the node whose first members meet the most
     scores = first.groupBy("node").agg((F.sum("c") / F.first("n")).alias("score"))
     large = _placed(first.where(F.col("c") > group), edges)
     leaders = large.join(scores, "node").groupBy("h").agg(F.max(F.struct("score", "node", "n", "rest", "root")).alias("l")).select("h", "l.*")
-    more = settled(lambda: verified(_met(large, leaders, threshold), sets_of, threshold), "close-pairs")
+    more = settled(lambda: tried(_met(large, leaders, threshold)), "close-pairs")
     edges = edges.unionByName(more)
     placed = stored(_placed(first, edges).drop("c"), "placed-prefixes")
+    released(first)
     sizes = placed.groupBy("h", "root").agg(F.count("*").alias("c"))
     largest = sizes.groupBy("h").agg(F.count("*").alias("parts"), F.max(F.struct("c", "root"))["root"].alias("main")).where("parts > 1").drop("parts")
     apart = placed.join(largest, "h").where("root <> main")
-    return edges.unionByName(verified(_met(apart, placed, threshold), sets_of, threshold))
+    return edges.unionByName(settled(lambda: tried(_met(apart, placed, threshold)), "close-pairs"))
 
 
 def near_duplicates(docs: DataFrame, key: str = "doc_id", text: str = "text", threshold: float = THRESHOLD, shingle: int = SHINGLE, group: int = GROUP) -> DataFrame:
     """Per row: _k, component_id (smallest key reachable by links; null for a null key)."""
     keyed = docs.where(F.col(f"`{key}`").isNotNull())
-    own = stored(signatures(keyed, key, text, threshold, shingle), "signatures")
-    classes = stored(own.groupBy("node").agg(F.min("_k").alias("rep"), F.first("fp").alias("fp"), F.first("n").alias("n"), F.first("x").alias("x")), "shingle-classes")
+    signed = stored(signatures(keyed, key, text, threshold, shingle), "signatures")
+    classes = stored(signed.groupBy("node").agg(F.min("_k").alias("rep"), *[F.first(c).alias(c) for c in ("fp", "n", "x", "bits")]), "shingle-classes")
+    own = stored(signed.select("_k", "node"), "row-nodes")
+    released(signed)
+    reps = stored(classes.select("node", "rep"), "node-keys")
 
     def sets_of(nodes):
-        return shingle_sets(keyed, key, text, shingle, classes.select("node", "rep").join(nodes, "node"))
+        return shingle_sets(keyed, key, text, shingle, reps.join(nodes, "node"))
 
-    roots = components(links(classes.select("node", "fp", "n", "x"), sets_of, threshold, group))
-    placed = classes.select("node", "rep").join(roots, "node", "left").select("node", "rep", F.coalesce("root", "node").alias("root"))
+    roots = components(links(classes, sets_of, threshold, group))
+    placed = reps.join(roots, "node", "left").select("node", "rep", F.coalesce("root", "node").alias("root"))
     named = placed.groupBy("root").agg(F.min("rep").alias("component_id"))
     found = own.select("_k", "node").join(placed.join(named, "root").select("node", "component_id"), "node").select("_k", "component_id")
     rest = docs.where(F.col(f"`{key}`").isNull()).select(F.col(f"`{key}`").alias("_k"), F.col(f"`{key}`").alias("component_id"))
