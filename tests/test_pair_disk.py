@@ -17,7 +17,7 @@ def shuffle_files(spark):
     return {found.apply(i).getName() for i in range(found.size()) if found.apply(i).getName().startswith("shuffle")}
 
 
-@pytest.mark.parametrize("call", ["lmm"])
+@pytest.mark.parametrize("call", ["lmm", "row_sums"])
 def test_only_the_sides_of_the_last_join_stay(spark, monkeypatch, call):
     t = FIXTURES["ch"].build(spark, SF)
     had = shuffle_files(spark)
